@@ -14,10 +14,13 @@ From signatures to components:
 1. Equal sets form one class; everything after works on classes.
 2. Signature rows are exchanged once and sorted; a streaming pass keeps those that two classes or more share and names each bucket by its
    members, so that buckets with the same members count once.
-3. Within a bucket each class is compared with one leader, by exact intersection of the sets. Links are joined to components.
-4. Buckets whose classes lie in one component are done. In the others, pairs of classes of different components are still
-   open: further leaders are tried while open pairs are many, and then every open pair is compared. So all links between
-   components are found, without listing all pairs of a group of copies.
+3. Within a bucket each class is compared with one leader, and links are joined to components.
+4. Buckets whose classes lie in one component are done. In the others, pairs of classes of different components are still open: the classes
+   outside the bucket's largest component are compared with all of the bucket, in blocks of bounded size, and only pairs that
+   may be similar leave a block. So all links between components are found, without listing all pairs of a group of copies.
+
+A comparison first uses parity sketches: bit j of a set's sketch is the parity of its members that hash to j, so the sketches of two
+sets differ in at most as many bits as the sets differ in members. Pairs that pass are decided by exact intersection.
 
 Exactness is up to collisions of 64-bit hashes. Texts without words, empty and null texts have the empty set and link with nothing;
 their component is their own id. Rows with a null id take part, but a component's id is its smallest id that is not
@@ -274,8 +277,25 @@ def _bloom(nodes: DataFrame, bits: int) -> np.ndarray:
     return total
 
 
+def sketch(ordered: np.ndarray) -> bytes:
+    """Parity sketch of a set: about two bits a member, a power of two of them, so that longer ones fold to shorter ones."""
+    bits = max(64, 1 << (2 * len(ordered) - 1).bit_length())
+    places = (mix(ordered ^ _U(0x6A09E667F3BCC909)) & _U(bits - 1)).astype(np.int64)
+    return np.packbits((np.bincount(places, minlength=bits) & 1).astype(np.uint8), bitorder="little").tobytes()
+
+
+def _folded(sketches: list[bytes], size: int) -> np.ndarray:
+    """Sketches as rows of words, folded to ``size`` bytes: bit j is then the parity modulo the shorter length."""
+    return np.stack([np.bitwise_xor.reduce(np.frombuffer(x, _U).reshape(-1, size // 8), axis=0) for x in sketches])
+
+
+def _may_link(na: np.ndarray, nb: np.ndarray, apart: np.ndarray, percent: int) -> np.ndarray:
+    """Whether sets of these sizes, whose sketches differ in so many bits, can be similar."""
+    return (apart * (100 + percent) <= (na + nb) * (100 - percent)) & (np.minimum(na, nb) * 100 >= np.maximum(na, nb) * percent)
+
+
 def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
-    """(node, grams) of the classes in ``members``: a Bloom filter picks the texts to hash, the join drops its false hits."""
+    """(node, grams, sketch) of the classes in ``members``: a Bloom filter picks the texts to hash, the join drops its false hits."""
     spark = docs.sparkSession
     bits = min(21, max(13, (8 * members.count()).bit_length()))
     shared = spark.sparkContext.broadcast(_bloom(members, bits))
@@ -298,10 +318,10 @@ def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
                     sets.append(s.view(np.int64))
             if nodes:
                 offsets = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(sets)))], ["node", "grams"])
+                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(sets))), pa.array([sketch(s.view(_U)) for s in sets], pa.binary())], ["node", "grams", "sketch"])
 
-    found = docs.mapInArrow(run, "node long, grams array<long>")
-    return found.join(members.select("node"), "node", "left_semi").groupBy("node").agg(F.first("grams").alias("grams"))
+    found = docs.mapInArrow(run, "node long, grams array<long>, sketch binary")
+    return found.join(members.select("node"), "node", "left_semi").groupBy("node").agg(F.first("grams").alias("grams"), F.first("sketch").alias("sketch"))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -325,13 +345,58 @@ def components(links: DataFrame) -> DataFrame:
     return edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("label"))
 
 
+def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) that may be similar by their sketches."""
+    both = pairs.join(sketches.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("sketch").alias("sa")), "a").join(sketches.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("sketch").alias("sb")), "b")
+
+    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in rows:
+            na, nb = b.column(2).to_numpy(), b.column(3).to_numpy()
+            apart = np.array([int(np.bitwise_count(np.bitwise_xor(*(_folded([s], min(len(x), len(y)))[0] for s in (x, y)))).sum()) for x, y in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True)], np.int64)
+            keep = pa.array(_may_link(na, nb, apart, percent))
+            yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], ["a", "b"])
+
+    return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(run, "a long, b long")
+
+
+def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, left: int = 256, right: int = 1024) -> DataFrame:
+    """Pairs of different components that share a bucket and may be similar, from (bucket, node, label).
+
+    Block by block: the classes outside a bucket's largest component against all of the bucket. A block holds about ``left`` or
+    ``right`` classes, whatever the bucket's size.
+    """
+    counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg(F.sum("k").alias("size"), F.max(F.struct("k", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("kinds"))
+    rows = placed.join(counts.where("kinds > 1").drop("kinds"), "bucket").join(sketches, "node")
+    block = lambda n: F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / F.lit(n))).cast("int")
+    gather = F.collect_list(F.struct("node", "label", "n", "sketch", (F.col("label") == F.col("main")).alias("in_main")))
+    some = rows.where("label <> main").groupBy("bucket", block(left).alias("i")).agg(gather.alias("l"))
+    every = rows.groupBy("bucket", block(right).alias("j")).agg(gather.alias("r"))
+
+    def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches_in:
+            for i in range(b.num_rows):
+                sides = [pa.RecordBatch.from_struct_array(b.column(c)[i].values) for c in (0, 1)]
+                (node_l, label_l, n_l, _), (node_r, label_r, n_r, main_r) = ([x.column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2, 4)] for x in sides)
+                texts = [x.column(3).to_pylist() for x in sides]
+                size = min(map(len, texts[0] + texts[1]))
+                rows_l, rows_r = (_folded(t, size) for t in texts)
+                out = [[], []]
+                for k in range(len(node_l)):
+                    apart = np.bitwise_count(rows_r ^ rows_l[k]).sum(axis=1, dtype=np.int64)
+                    hit = np.flatnonzero(_may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k]) & (main_r | (node_r > node_l[k])))
+                    out[0].append(np.full(len(hit), node_l[k], np.int64))
+                    out[1].append(node_r[hit])
+                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in out], ["a", "b"])
+
+    found = some.join(every, "bucket").select("l", "r").mapInArrow(run, "a long, b long")
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     """The pairs (a, b) of classes that are similar, by exact intersection."""
     both = pairs.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a").join(sets.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b")
-    shared = F.size(F.array_intersect("ga", "gb"))
-    least, most = F.least(F.size("ga"), F.size("gb")), F.greatest(F.size("ga"), F.size("gb"))
-    sized = both.where(least * 100 >= most * percent)
-    return sized.select("a", "b", (F.size("ga") + F.size("gb")).alias("n"), shared.alias("i")).where(F.col("i") * 100 >= (F.col("n") - F.col("i")) * percent).select("a", "b")
+    exact = both.select("a", "b", (F.size("ga") + F.size("gb")).alias("n"), F.size(F.array_intersect("ga", "gb")).alias("i"))
+    return exact.where(F.col("i") * 100 >= (F.col("n") - F.col("i")) * percent).select("a", "b")
 
 
 def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -341,29 +406,16 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     members = checkpointed(_shared(_signatures(docs, width, percent)))
     nodes = checkpointed(members.select("node").distinct())
     sets = checkpointed(_sets(docs, width, nodes))
-    links, labels = None, None
-    for turn in range(7):
-        open_members = members
-        if labels is not None:
-            placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
-            spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
-            open_members = checkpointed(placed.join(spread, "bucket"))
-            parts = open_members.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("n")).groupBy("bucket").agg(((F.sum("n") * F.sum("n") - F.sum(F.col("n") * F.col("n"))) / 2).alias("pairs"), F.sum("n").alias("n"))
-            pairs_left, n = parts.agg(F.coalesce(F.sum("pairs"), F.lit(0.0)), F.coalesce(F.sum("n"), F.lit(0))).first()
-            if not pairs_left:
-                break
-            if pairs_left <= max(100_000, 4 * n) or turn == 6:
-                right = open_members.select("bucket", F.col("node").alias("b"), F.col("label").alias("lb"))
-                pairs = open_members.select("bucket", F.col("node").alias("a"), F.col("label").alias("la")).join(right, "bucket").where("la < lb").select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-                links = links.unionByName(checkpointed(_verified(pairs, sets, percent)))
-                labels = components(links)
-                break
-        order = F.struct(F.xxhash64("node", F.lit(turn)), "node")
-        lead = open_members.groupBy("bucket").agg(F.min(order)["node"].alias("lead"))
-        star = open_members.join(lead, "bucket").where("node <> lead").select(F.least("node", "lead").alias("a"), F.greatest("node", "lead").alias("b")).distinct()
-        found = checkpointed(_verified(star, sets, percent))
-        links = found if links is None else links.unionByName(found)
-        labels = checkpointed(components(links))
+    sketches = checkpointed(sets.select("node", F.size("grams").cast("long").alias("n"), "sketch"))
+    lead = members.groupBy("bucket").agg(F.min("node").alias("lead"))
+    star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
+    links = checkpointed(_verified(_sketched(star, sketches, percent), sets, percent))
+    labels = checkpointed(components(links))
+    placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
+    spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
+    placed = checkpointed(placed.join(spread, "bucket"))
+    more = checkpointed(_verified(_open_pairs(placed, sketches, percent), sets, percent))
+    labels = components(links.unionByName(more))
     classes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     named = classes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
