@@ -16,8 +16,9 @@ From signatures to components:
    members, so that buckets with the same members count once.
 3. Within a bucket each class is compared with one leader, and links are joined to components.
 4. Buckets whose classes lie in one component are done. In the others, pairs of classes of different components are still open: the classes
-   outside the bucket's largest component are compared with all of the bucket, in blocks of bounded size, and only pairs that
-   may be similar leave a block. So all links between components are found, without listing all pairs of a group of copies.
+   outside the bucket's largest component are compared with all of the bucket, in blocks of bounded size. A block first gives the most
+   likely pair for each two components; their links join components, which closes most pairs. A last turn gives every
+   pair that may be similar and is still open. So all links between components are found, without listing all pairs of a group of copies.
 
 A comparison first uses parity sketches: bit j of a set's sketch is the parity of its members that hash to j, so the sketches of two
 sets differ in at most as many bits as the sets differ in members. Pairs that pass are decided by exact intersection.
@@ -278,8 +279,8 @@ def _bloom(nodes: DataFrame, bits: int) -> np.ndarray:
 
 
 def sketch(ordered: np.ndarray) -> bytes:
-    """Parity sketch of a set: about two bits a member, a power of two of them, so that longer ones fold to shorter ones."""
-    bits = max(64, 1 << (2 * len(ordered) - 1).bit_length())
+    """Parity sketch of a set: about 16 bits a member, a power of two of them, so that longer ones fold to shorter ones."""
+    bits = max(64, 1 << (12 * len(ordered) - 1).bit_length())
     places = (mix(ordered ^ _U(0x6A09E667F3BCC909)) & _U(bits - 1)).astype(np.int64)
     return np.packbits((np.bincount(places, minlength=bits) & 1).astype(np.uint8), bitorder="little").tobytes()
 
@@ -359,8 +360,8 @@ def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
     return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, left: int = 256, right: int = 1024) -> DataFrame:
-    """Pairs of different components that share a bucket and may be similar, from (bucket, node, label).
+def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, every: bool, left: int = 256, right: int = 1024) -> DataFrame:
+    """Pairs of different components that share a bucket and may be similar, from (bucket, node, label): ``every`` one, or a block's most likely one for each two components.
 
     Block by block: the classes outside a bucket's largest component against all of the bucket. A block holds about ``left`` or
     ``right`` classes, whatever the bucket's size.
@@ -370,7 +371,7 @@ def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, left: i
     block = lambda n: F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / F.lit(n))).cast("int")
     gather = F.collect_list(F.struct("node", "label", "n", "sketch", (F.col("label") == F.col("main")).alias("in_main")))
     some = rows.where("label <> main").groupBy("bucket", block(left).alias("i")).agg(gather.alias("l"))
-    every = rows.groupBy("bucket", block(right).alias("j")).agg(gather.alias("r"))
+    whole = rows.groupBy("bucket", block(right).alias("j")).agg(gather.alias("r"))
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches_in:
@@ -380,15 +381,22 @@ def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, left: i
                 texts = [x.column(3).to_pylist() for x in sides]
                 size = min(map(len, texts[0] + texts[1]))
                 rows_l, rows_r = (_folded(t, size) for t in texts)
-                out = [[], []]
+                out = [[], [], [], [], []]
                 for k in range(len(node_l)):
                     apart = np.bitwise_count(rows_r ^ rows_l[k]).sum(axis=1, dtype=np.int64)
                     hit = np.flatnonzero(_may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k]) & (main_r | (node_r > node_l[k])))
-                    out[0].append(np.full(len(hit), node_l[k], np.int64))
-                    out[1].append(node_r[hit])
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x), pa.int64()) for x in out], ["a", "b"])
-
-    found = some.join(every, "bucket").select("l", "r").mapInArrow(run, "a long, b long")
+                    for x, y in zip(out, (np.full(len(hit), node_l[k]), node_r[hit], np.full(len(hit), label_l[k]), label_r[hit], apart[hit]), strict=True):
+                        x.append(y)
+                a, c, low, high, apart = (np.concatenate(x).astype(np.int64) for x in out)
+                if not every and len(a):
+                    low, high = np.minimum(low, high), np.maximum(low, high)
+                    order = np.lexsort((apart, high, low))
+                    new = np.ones(len(order), bool)
+                    new[1:] = (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])
+                    a, c = a[order[new]], c[order[new]]
+                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(c)], ["a", "b"])
+
+    found = some.join(whole, "bucket").select("l", "r").mapInArrow(run, "a long, b long")
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
@@ -411,11 +419,24 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
     links = checkpointed(_verified(_sketched(star, sketches, percent), sets, percent))
     labels = checkpointed(components(links))
-    placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
-    spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
-    placed = checkpointed(placed.join(spread, "bucket"))
-    more = checkpointed(_verified(_open_pairs(placed, sketches, percent), sets, percent))
-    labels = components(links.unionByName(more))
+    tested, every = None, False
+    for turn in range(5):
+        every = every or turn == 4
+        placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
+        spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
+        pairs = _open_pairs(checkpointed(placed.join(spread, "bucket")), sketches, percent, every=every)
+        pairs = checkpointed(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
+        tested = pairs if tested is None else tested.unionByName(pairs)
+        more = checkpointed(_verified(pairs, sets, percent))
+        if more.isEmpty():
+            if every:
+                break
+            every = True  # nothing more by the most likely pairs: the last turn takes all
+            continue
+        links = links.unionByName(more)
+        labels = checkpointed(components(links))
+        if every:
+            break
     classes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     named = classes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
