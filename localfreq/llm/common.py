@@ -2,13 +2,14 @@
 
 from __future__ import annotations
 
+import gc
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-__all__ = ["checkpointed", "read_table", "string_bytes", "shuffle_parts", "texts_of"]
+__all__ = ["checkpointed", "read_table", "release", "string_bytes", "shuffle_parts", "texts_of"]
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -33,6 +34,12 @@ def checkpointed(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
+def release(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of plans that nothing refers to any more; it does so when its driver collects garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def texts_of(column: pa.Array) -> list[str]:
     """Texts of an Arrow column, null as the empty text."""
     return [x or "" for x in column.to_pylist()]

@@ -40,7 +40,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localfreq.llm.common import batches, checkpointed, read_table, string_bytes
+from localfreq.llm.common import batches, checkpointed, read_table, release, string_bytes
 
 __all__ = ["Bands", "components", "jaccard_components", "keep_one", "op2_ngram_jaccard_join", "shingle_sets", "word_hashes"]
 
@@ -295,6 +295,16 @@ def _may_link(na: np.ndarray, nb: np.ndarray, apart: np.ndarray, percent: int) -
     return (apart * (100 + percent) <= (na + nb) * (100 - percent)) & (np.minimum(na, nb) * 100 >= np.maximum(na, nb) * percent)
 
 
+def _may_hold(table: np.ndarray, nodes: np.ndarray, bits: int) -> np.ndarray:
+    """Which nodes a Bloom filter may hold."""
+    h = mix(np.ascontiguousarray(nodes, np.int64).view(_U))
+    out = np.ones(len(h), bool)
+    for i in range(3):
+        p = ((h >> _U(21 * i)) & _U((1 << bits) - 1)).astype(np.int64)
+        out &= (table[p >> 3] >> (7 - (p & 7)).astype(np.uint8) & 1).astype(bool)
+    return out
+
+
 def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
     """(node, grams, sketch) of the classes in ``members``: a Bloom filter picks the texts to hash, the join drops its false hits."""
     spark = docs.sparkSession
@@ -309,9 +319,7 @@ def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
                 node = _node(s) if len(s) else None
                 if node is None or node in seen:
                     continue
-                h = int(mix(np.array([node], np.int64).view(_U))[0])
-                places = [(h >> (21 * i)) & ((1 << bits) - 1) for i in range(3)]
-                if all(table[p >> 3] >> (7 - (p & 7)) & 1 for p in places):
+                if _may_hold(table, np.array([node], np.int64), bits)[0]:
                     if len(seen) >= 500_000:
                         seen.clear()
                     seen.add(node)
@@ -413,7 +421,9 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     rows = checkpointed(_classes(docs, width))
     members = checkpointed(_shared(_signatures(docs, width, percent)))
     nodes = checkpointed(members.select("node").distinct())
+    release(df.sparkSession)
     sets = checkpointed(_sets(docs, width, nodes))
+    release(df.sparkSession)
     sketches = checkpointed(sets.select("node", F.size("grams").cast("long").alias("n"), "sketch"))
     lead = members.groupBy("bucket").agg(F.min("node").alias("lead"))
     star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
@@ -445,10 +455,30 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
 
 
 def keep_one(df: DataFrame, *, width: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``df`` whose doc_id is the smallest of its component; of repeated ids one row stays, rows without id all stay."""
-    ids = jaccard_components(df, width=width, percent=percent).where("doc_id = component_id").select("doc_id").distinct()
-    kept = df.join(ids, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(df.where("doc_id is null"))
+    """The rows of ``df`` whose doc_id is the smallest of its component; of repeated ids one row stays, rows without id all stay.
+
+    Only rows whose id may be dropped or repeated, by a Bloom filter of such ids, are exchanged and decided exactly; all other
+    texts pass where they are.
+    """
+    found = checkpointed(jaccard_components(df, width=width, percent=percent).select("doc_id", "component_id"))
+    dropped = found.where("doc_id <> component_id").select("doc_id").distinct()
+    again = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and doc_id is not null").select("doc_id")
+    suspects = checkpointed(dropped.unionByName(again).distinct().select(F.col("doc_id").alias("node")))
+    bits = min(24, max(13, (8 * suspects.count()).bit_length()))
+    shared = df.sparkSession.sparkContext.broadcast(_bloom(suspects, bits))
+    at = df.columns.index("doc_id")
+
+    def side(hit: bool):
+        def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in rows:
+                ids = b.column(at)
+                maybe = _may_hold(shared.value, ids.cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False), bits) & ids.is_valid().to_numpy(zero_copy_only=False)
+                yield b.filter(pa.array(maybe if hit else ~maybe))
+
+        return run
+
+    checked = df.mapInArrow(side(True), df.schema).join(dropped, "doc_id", "left_anti").dropDuplicates(["doc_id"])
+    return df.mapInArrow(side(False), df.schema).unionByName(checked.select(*df.columns))
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
