@@ -29,8 +29,8 @@ def resolve_duplicates(tx: DataFrame, policy: str = "union", *, slots: int = 100
 
         return day_slot_timeline(tx.withColumn("_key", F.array_join("items", "|")), "t", ["_key"], slots=slots, name="_t").select(F.col("_t").alias("t"), "items")
     if policy == "error":
-        n = F.assert_true(F.count(F.lit(1)) == 1, F.lit("a time has several transactions"))
-        return tx.groupBy("t").agg(F.first("items").alias("items"), n.alias("_ok")).drop("_ok")
+        only = F.when(F.count(F.lit(1)) == 1, F.first("items")).otherwise(F.raise_error("a time has several transactions").cast("array<string>"))
+        return tx.groupBy("t").agg(only.alias("items"))
     raise ValueError(f"no such policy: {policy}")
 
 
