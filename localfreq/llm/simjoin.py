@@ -279,8 +279,8 @@ def _bloom(nodes: DataFrame, bits: int) -> np.ndarray:
 
 
 def sketch(ordered: np.ndarray) -> bytes:
-    """Parity sketch of a set: about 16 bits a member, a power of two of them, so that longer ones fold to shorter ones."""
-    bits = max(64, 1 << (12 * len(ordered) - 1).bit_length())
+    """Parity sketch of a set: two to four bits a member, a power of two of them, so that longer ones fold to shorter ones."""
+    bits = max(64, 1 << (2 * len(ordered) - 1).bit_length())
     places = (mix(ordered ^ _U(0x6A09E667F3BCC909)) & _U(bits - 1)).astype(np.int64)
     return np.packbits((np.bincount(places, minlength=bits) & 1).astype(np.uint8), bitorder="little").tobytes()
 
@@ -429,24 +429,19 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
     links = checkpointed(_verified(_sketched(star, sketches, percent), sets, percent))
     labels = checkpointed(components(links))
-    tested, every = None, False
-    for turn in range(5):
-        every = every or turn == 4
+    tested = None
+    for every in (False, True):
         placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
         spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
         pairs = _open_pairs(checkpointed(placed.join(spread, "bucket")), sketches, percent, every=every)
         pairs = checkpointed(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
         tested = pairs if tested is None else tested.unionByName(pairs)
         more = checkpointed(_verified(pairs, sets, percent))
+        release(df.sparkSession)
         if more.isEmpty():
-            if every:
-                break
-            every = True  # nothing more by the most likely pairs: the last turn takes all
             continue
         links = links.unionByName(more)
         labels = checkpointed(components(links))
-        if every:
-            break
     classes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     named = classes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
