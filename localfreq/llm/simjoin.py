@@ -17,8 +17,8 @@ From signatures to components:
 3. Within a bucket each class is compared with one leader, and links are joined to components.
 4. Buckets whose classes lie in one component are done. In the others, pairs of classes of different components are still open: the classes
    outside the bucket's largest component are compared with all of the bucket, in blocks of bounded size. A block first gives the most
-   likely pair for each two components; their links join components, which closes most pairs. A last turn gives every
-   pair that may be similar and is still open. So all links between components are found, without listing all pairs of a group of copies.
+   likely pair for each two components; their links join components, which closes most pairs. A last turn over the buckets that
+   held pairs back gives every pair that may be similar and is still open. So all links between components are found, without listing all pairs of a group of copies.
 
 A comparison first uses parity sketches: bit j of a set's sketch is the parity of its members that hash to j, so the sketches of two
 sets differ in at most as many bits as the sets differ in members. Pairs that pass are decided by exact intersection.
@@ -368,44 +368,60 @@ def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
     return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(run, "a long, b long")
 
 
-def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, every: bool, left: int = 256, right: int = 1024) -> DataFrame:
-    """Pairs of different components that share a bucket and may be similar, from (bucket, node, label): ``every`` one, or a block's most likely one for each two components.
+def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int, every: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(a, b, more) of two blocks, or of one with itself (right None): pairs of different labels that may be similar.
 
-    Block by block: the classes outside a bucket's largest component against all of the bucket. A block holds about ``left`` or
-    ``right`` classes, whatever the bucket's size.
+    Without ``every`` only the closest pair for each two labels is given, and ``more`` says whether it stands for others.
+    """
+    sides = [left] if right is None else [left, right]
+    texts = [x.column(3).to_pylist() for x in sides]
+    size = min(len(t) for x in texts for t in x)
+    folded = [_folded(t, size) for t in texts]
+    (node_l, label_l, n_l, main_l), (node_r, label_r, n_r, main_r) = ([sides[i].column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2, 4)] for i in (0, len(sides) - 1))
+    out: list[list[np.ndarray]] = [[], [], [], [], []]
+    for k in np.arange(len(node_l)) if right is not None else np.flatnonzero(~main_l):
+        apart = np.bitwise_count(folded[-1] ^ folded[0][k]).sum(axis=1, dtype=np.int64)
+        near = _may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k])
+        hit = np.flatnonzero(near & ~(main_l[k] & main_r) if right is not None else near & (main_r | (node_r > node_l[k])))
+        for x, y in zip(out, (np.full(len(hit), node_l[k]), node_r[hit], np.full(len(hit), label_l[k]), label_r[hit], apart[hit]), strict=True):
+            x.append(y)
+    a, b, low, high, apart = (np.concatenate(x).astype(np.int64) if x else np.zeros(0, np.int64) for x in out)
+    if every or not len(a):
+        return a, b, np.zeros(len(a), bool)
+    low, high = np.minimum(low, high), np.maximum(low, high)
+    order = np.lexsort((apart, high, low))
+    new = np.ones(len(order), bool)
+    new[1:] = (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])
+    more = np.diff(np.append(np.flatnonzero(new), len(order))) > 1
+    return a[order[new]], b[order[new]], more
+
+
+def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, every: bool, block: int = 512) -> DataFrame:
+    """(bucket, a, b, more): pairs of different components that share a bucket and may be similar, from (bucket, node, label).
+
+    Block by block: the classes outside a bucket's largest component against all of the bucket. A block holds about ``block``
+    classes, whatever the bucket's size; a bucket of one block is looked at where it was gathered, others meet in pairs of blocks.
     """
     counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg(F.sum("k").alias("size"), F.max(F.struct("k", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("kinds"))
     rows = placed.join(counts.where("kinds > 1").drop("kinds"), "bucket").join(sketches, "node")
-    block = lambda n: F.pmod(F.xxhash64("node"), F.ceil(F.col("size") / F.lit(n))).cast("int")
+    blocks = F.ceil(F.col("size") / F.lit(block))
+    place = F.pmod(F.xxhash64("node"), blocks).cast("int")
     gather = F.collect_list(F.struct("node", "label", "n", "sketch", (F.col("label") == F.col("main")).alias("in_main")))
-    some = rows.where("label <> main").groupBy("bucket", block(left).alias("i")).agg(gather.alias("l"))
-    whole = rows.groupBy("bucket", block(right).alias("j")).agg(gather.alias("r"))
+    gathered = rows.groupBy("bucket", (blocks > 1).alias("parts"), place.alias("i")).agg(gather.alias("l"))
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches_in:
             for i in range(b.num_rows):
-                sides = [pa.RecordBatch.from_struct_array(b.column(c)[i].values) for c in (0, 1)]
-                (node_l, label_l, n_l, _), (node_r, label_r, n_r, main_r) = ([x.column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2, 4)] for x in sides)
-                texts = [x.column(3).to_pylist() for x in sides]
-                size = min(map(len, texts[0] + texts[1]))
-                rows_l, rows_r = (_folded(t, size) for t in texts)
-                out = [[], [], [], [], []]
-                for k in range(len(node_l)):
-                    apart = np.bitwise_count(rows_r ^ rows_l[k]).sum(axis=1, dtype=np.int64)
-                    hit = np.flatnonzero(_may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k]) & (main_r | (node_r > node_l[k])))
-                    for x, y in zip(out, (np.full(len(hit), node_l[k]), node_r[hit], np.full(len(hit), label_l[k]), label_r[hit], apart[hit]), strict=True):
-                        x.append(y)
-                a, c, low, high, apart = (np.concatenate(x).astype(np.int64) for x in out)
-                if not every and len(a):
-                    low, high = np.minimum(low, high), np.maximum(low, high)
-                    order = np.lexsort((apart, high, low))
-                    new = np.ones(len(order), bool)
-                    new[1:] = (low[order][1:] != low[order][:-1]) | (high[order][1:] != high[order][:-1])
-                    a, c = a[order[new]], c[order[new]]
-                yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(c)], ["a", "b"])
-
-    found = some.join(whole, "bucket").select("l", "r").mapInArrow(run, "a long, b long")
-    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+                left = pa.RecordBatch.from_struct_array(b.column(1)[i].values)
+                right = pa.RecordBatch.from_struct_array(b.column(2)[i].values) if b.num_columns > 2 and b.column(2)[i].is_valid else None
+                x, y, more = _block_hits(left, right, percent, every)
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), b.column(0)[i].as_py(), np.int64)), pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(more)], ["bucket", "a", "b", "more"])
+
+    schema = "bucket long, a long, b long, more boolean"
+    alone = gathered.select("bucket", "l").mapInArrow(run, schema)
+    split = gathered.where("parts")
+    met = split.join(split.select("bucket", F.col("i").alias("j"), F.col("l").alias("r")), "bucket").where("i < j").select("bucket", "l", "r").mapInArrow(run, schema)
+    return alone.unionByName(met)
 
 
 def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
@@ -429,13 +445,15 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
     links = checkpointed(_verified(_sketched(star, sketches, percent), sets, percent))
     labels = checkpointed(components(links))
-    tested = None
+    tested, watched = None, members
     for every in (False, True):
-        placed = members.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
+        placed = watched.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
         spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
-        pairs = _open_pairs(checkpointed(placed.join(spread, "bucket")), sketches, percent, every=every)
+        hits = checkpointed(_open_pairs(checkpointed(placed.join(spread, "bucket")), sketches, percent, every=every))
+        pairs = hits.select("a", "b").distinct()
         pairs = checkpointed(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
-        tested = pairs if tested is None else tested.unionByName(pairs)
+        tested = pairs
+        watched = members.join(hits.where("more").select("bucket").distinct(), "bucket")  # only these had pairs that were not given
         more = checkpointed(_verified(pairs, sets, percent))
         release(df.sparkSession)
         if more.isEmpty():
