@@ -6,7 +6,7 @@ first channel holds the smoothed log-odds of the row among the training document
 numbers. Forward and backward gated recurrent units read a window, attention weighs their states, and a linear layer gives the window's
 logit. A document's logit is the largest of all its windows; training follows that window (multiple-instance learning).
 
-At most ``sample`` labelled documents of each kind train the model, of at most ``most_chars`` characters each. Scoring reads all
+At most ``sample`` toxic and ``clean`` other labelled documents train the model, of at most ``most_chars`` characters each. Scoring reads all
 windows of every whole text, in blocks of fixed size, without a shuffle.
 
 Null and empty texts and texts without words score as the least suspicious window would. Without labels of both kinds all
@@ -220,10 +220,10 @@ class AttentiveGru:
         return self
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500, most_chars: int = 20_000) -> AttentiveGru:
-    """A network from at most ``sample`` labelled documents of each kind that are not held out."""
+def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500, clean: int = 4000, most_chars: int = 20_000) -> AttentiveGru:
+    """A network from at most ``sample`` toxic and ``clean`` other labelled documents that are not held out."""
     known = labels.where("toxic is not null and doc_id is not null").where(F.crc32(F.col("doc_id").cast("string")) % 4 != 2).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
-    chosen = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample) for y in (0, 1)]
+    chosen = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for y, n in ((0, clean), (1, sample))]
     rows = documents.select("doc_id", "text").where(F.length("text") <= most_chars).join(F.broadcast(chosen[0].unionByName(chosen[1])), "doc_id").select("doc_id", "text", "toxic")
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
