@@ -8,7 +8,7 @@ large exchange, one small one, no driver loop; data are copied 1 + width / shard
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -16,7 +16,7 @@ from localfreq.operators.detect import last_time
 from localfreq.operators.segments import merge_runs
 from localfreq.schema import pattern_len, pattern_text
 
-__all__ = ["mine_dense_sharded", "mine_shard"]
+__all__ = ["mine_arrays", "mine_dense_sharded", "mine_shard"]
 
 
 def _runs(times: np.ndarray, width: int, sigma: int, lo: int, hi: int) -> list[tuple[int, int]]:
@@ -34,25 +34,39 @@ def _runs(times: np.ndarray, width: int, sigma: int, lo: int, hi: int) -> list[t
 
 
 def mine_shard(baskets: list[tuple[int, list[str]]], width: int, sigma: int, lo: int, hi: int, k_max: int | None) -> list[tuple[tuple[str, ...], int, int]]:
-    """(items, s, d) of all patterns that have dense starts in [lo, hi]: the level-wise search on sorted arrays."""
-    times: dict[str, list[int]] = {}
-    for t, items in baskets:
-        for x in items:
-            times.setdefault(x, []).append(t)
-    level = {}
-    out = []
-    for x in sorted(times):
-        occ = np.unique(np.array(times[x], np.int64))
-        runs = _runs(occ, width, sigma, lo, hi)
-        if runs:
-            level[(x,)] = occ
-            out += [((x,), s, d) for s, d in runs]
+    """(items, s, d) of all patterns that have dense starts in [lo, hi], from (time, items) pairs."""
+    names = sorted({x for _, items in baskets for x in items})
+    code = {x: i for i, x in enumerate(names)}
+    flat = [(code[x], t) for t, items in baskets for x in items]
+    pairs = np.array(flat, np.int64).reshape(-1, 2)
+    return mine_arrays(pairs[:, 0], pairs[:, 1], names, width, sigma, lo, hi, k_max)
+
+
+def mine_arrays(codes: np.ndarray, times: np.ndarray, names: list[str], width: int, sigma: int, lo: int, hi: int, k_max: int | None) -> list[tuple[tuple[str, ...], int, int]]:
+    """The level-wise search of one shard over (item code, time) pairs; ``names`` of the codes.
+
+    One sort and one vectorised test over all items find those with a dense start; only these get arrays of their own.
+    """
+    order = np.lexsort((times, codes))
+    c, t = codes[order], times[order]
+    new = np.ones(len(c), bool)
+    new[1:] = (c[1:] != c[:-1]) | (t[1:] != t[:-1])
+    c, t = c[new], t[new]
+    n = len(c) - sigma + 1
+    if n <= 0:
+        return []
+    near = (c[sigma - 1:] == c[:n]) & (t[sigma - 1:] - t[:n] <= width) & (np.maximum(lo, t[sigma - 1:] - width) <= np.minimum(hi, t[:n]))
+    level, out = {}, []
+    for x in np.unique(c[:n][near]).tolist():
+        i, j = np.searchsorted(c, [x, x + 1])
+        level[(names[x],)] = t[i:j]
+    level = dict(sorted(level.items()))
+    out += [(p, s, d) for p, occ in level.items() for s, d in _runs(occ, width, sigma, lo, hi)]
     k = 2
     while level and (k_max is None or k <= k_max):
-        upper = {}
-        names = sorted(level)
-        for i, p in enumerate(names):
-            for q in names[i + 1:]:
+        upper, keys = {}, sorted(level)
+        for i, p in enumerate(keys):
+            for q in keys[i + 1:]:
                 if q[:-1] != p[:-1]:
                     break
                 both = (*p, q[-1])
@@ -77,11 +91,14 @@ def mine_dense_sharded(tx: DataFrame, width: int, sigma: int, *, shard_width: in
     high = F.least(F.floor(F.col("t") / F.lit(c)), F.lit(last // c)).cast("long")
     dealt = tx.where(F.size("items") > 0).select("t", "items", F.explode(F.sequence(low, F.greatest(low, high))).alias("shard")).where(F.col("shard") <= last // c)
 
-    def local(key, rows: pd.DataFrame) -> pd.DataFrame:
-        lo = int(key[0]) * c
-        found = mine_shard(list(zip(rows["t"], rows["items"], strict=True)), width, sigma, lo, min(lo + c - 1, last), k_max)
-        return pd.DataFrame([(list(p), s, d) for p, s, d in found], columns=["items", "s", "d"])
+    def local(key: tuple, rows: pa.Table) -> pa.Table:
+        lo = int(key[0].as_py()) * c
+        items = rows.column("items").combine_chunks()
+        coded = items.flatten().dictionary_encode()
+        owner = items.value_lengths().to_numpy(zero_copy_only=False)
+        found = mine_arrays(coded.indices.to_numpy(zero_copy_only=False).astype(np.int64), np.repeat(rows.column("t").to_numpy(), owner), coded.dictionary.to_pylist(), width, sigma, lo, min(lo + c - 1, last), k_max)
+        return pa.table({"items": pa.array([list(p) for p, _, _ in found], pa.list_(pa.string())), "s": pa.array([s for _, s, _ in found], pa.int64()), "d": pa.array([d for _, _, d in found], pa.int64())})
 
-    runs = dealt.groupBy("shard").applyInPandas(local, "items array<string>, s long, d long")
+    runs = dealt.groupBy("shard").applyInArrow(local, "items array<string>, s long, d long")
     merged = merge_runs(runs.select(pattern_text(F.col("items")).alias("pattern"), "s", "d"), ["pattern"])
     return merged.select("pattern", pattern_len(F.col("pattern")).alias("len"), "s", (F.col("d") + width).alias("e")).where(F.col("len") >= min_len)
