@@ -9,7 +9,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-__all__ = ["checkpointed", "read_table", "release", "string_bytes", "shuffle_parts", "texts_of"]
+__all__ = ["checkpointed", "read_table", "release", "string_bytes", "shuffle_parts", "texts_of", "trim"]
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -40,6 +40,17 @@ def release(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
+def trim() -> None:
+    """Give memory that a worker has freed back to the system: Spark keeps workers for later tasks."""
+    import ctypes
+
+    gc.collect()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library keeps its own counsel
+        pass
+
+
 def texts_of(column: pa.Array) -> list[str]:
     """Texts of an Arrow column, null as the empty text."""
     return [x or "" for x in column.to_pylist()]
@@ -61,7 +72,7 @@ def string_bytes(column: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.nda
     return raw[starts[0]:starts[-1]], starts - starts[0]
 
 
-def batches(rows: Iterator[pa.RecordBatch], most_bytes: int = 32 << 20) -> Iterator[pa.RecordBatch]:
+def batches(rows: Iterator[pa.RecordBatch], most_bytes: int = 8 << 20) -> Iterator[pa.RecordBatch]:
     """Cut record batches so that each holds about ``most_bytes`` at most (one row at least)."""
     for b in rows:
         if b.num_rows <= 1 or b.nbytes <= most_bytes:
@@ -70,3 +81,4 @@ def batches(rows: Iterator[pa.RecordBatch], most_bytes: int = 32 << 20) -> Itera
         step = max(1, int(b.num_rows * most_bytes / b.nbytes))
         for i in range(0, b.num_rows, step):
             yield b.slice(i, step)
+    trim()

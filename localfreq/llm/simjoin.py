@@ -46,7 +46,7 @@ __all__ = ["Bands", "components", "jaccard_components", "keep_one", "op2_ngram_j
 
 _U = np.uint64
 _SPACES = [0x20, *range(0x09, 0x0E)]
-_SEGMENT = 1 << 22
+_SEGMENT = 1 << 20
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -201,7 +201,7 @@ def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
                 node = _node(s) if len(s) else None
                 if node is None or node in seen:
                     continue
-                if len(seen) >= 500_000:
+                if len(seen) >= 200_000:
                     seen.clear()
                 seen.add(node)
                 for x in bands.signatures(s):
@@ -320,7 +320,7 @@ def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
                 if node is None or node in seen:
                     continue
                 if _may_hold(table, np.array([node], np.int64), bits)[0]:
-                    if len(seen) >= 500_000:
+                    if len(seen) >= 200_000:
                         seen.clear()
                     seen.add(node)
                     nodes.append(node)

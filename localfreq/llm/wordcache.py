@@ -47,7 +47,7 @@ def byte_alphabet() -> dict[int, str]:
 class WordIds:
     """Ids of lower-casing, white-space-dropping vocabularies, as little-endian unsigned 32-bit bytes."""
 
-    def __init__(self, path: str, most: int = 400_000):
+    def __init__(self, path: str, most: int = 250_000):
         import regex
         import tiktoken
 
