@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from localfreq.operators.kernels import scan_by_pattern
 
-__all__ = ["ablation", "growth", "pattern_counts", "range_reduction", "timed"]
+__all__ = ["ablation", "growth", "pattern_counts", "peak_memory_mb", "range_reduction", "timed"]
 
 
 def ablation(occ: DataFrame, ranges: DataFrame, width: int, sigma: int, t_max: int) -> DataFrame:
@@ -48,3 +48,15 @@ def timed(make: Callable[[], DataFrame], repeats: int = 3) -> float:
 def growth(rows: DataFrame, x: str, y: str) -> DataFrame:
     """One row: least-squares slope, intercept and R squared of y over x."""
     return rows.agg(F.regr_slope(y, x).alias("slope"), F.regr_intercept(y, x).alias("intercept"), F.regr_r2(y, x).alias("r2"))
+
+
+def peak_memory_mb(spark) -> dict[str, float]:
+    """Largest resident memory so far of this Python process and of the driver's JVM, in MB (the whole engine in local mode)."""
+    import os
+
+    def high_water(pid: int) -> float:
+        with open(f"/proc/{pid}/status") as f:
+            return next(int(line.split()[1]) / 1024 for line in f if line.startswith("VmHWM"))
+
+    jvm = spark.sparkContext._jvm.java.lang.ProcessHandle.current().pid()
+    return {"python_mb": high_water(os.getpid()), "jvm_mb": high_water(int(jvm))}
