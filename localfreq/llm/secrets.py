@@ -15,6 +15,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from bisect import bisect_right
 from collections import Counter
 from collections.abc import Iterator
 
@@ -41,8 +42,9 @@ _PARTS = {
 }
 _NOT_SECRET = re.compile(r"^(?:true|false|null|none|nil|undefined|yes|no|example\w*|change_?me|placeholder|your\w*|x{3,}|\*{3,}|<.*>|\$\{.*\}|\{\{.*\}\})$", re.IGNORECASE)
 _WORDS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+")
-_NAME = re.compile(r"([A-Za-z_][A-Za-z0-9_.-]{0,127})[\"']?\]?[ \t]{0,16}$")
-_VALUE = re.compile(r"[>=]?[ \t]{0,16}(?:\"((?:[^\"\\\n]|\\.){1,4096})\"|'((?:[^'\\\n]|\\.){1,4096})'|([^\s,;\"'#(){}\[\]]+))")
+#: A name read backwards from its operator. Neither this nor a quoted value runs past the next operator or quote of its kind, so unbounded lengths cost one scan.
+_NAME = re.compile(r"\n?[ \t]*+\]?[\"']?([A-Za-z0-9_.-]*[A-Za-z_])")
+_VALUE = re.compile(r"[>=]?[ \t]*+(?:\"((?:[^\"\\\n]++|\\.)++)\"|'((?:[^'\\\n]++|\\.)++)'|([^\s,;\"'#(){}\[\]]+))")
 _OPERATOR = re.compile(r"[:=]")
 _BASE_HINTS = ("passw", "secret", "token", "api")
 
@@ -68,16 +70,30 @@ def literal_score(name: str, value: str) -> float:
 
 def _pairs(text: str) -> Iterator[tuple[str, str, int, int, bool]]:
     """(name, value, start, end, quoted) of each assignment-like pair, in text order."""
+    back = text[::-1]
     for m in _OPERATOR.finditer(text):
         p = m.start()
         before, after = text[p - 1:p], text[p + 1:p + 2]
         if before in ("=", "!", "<", ">", ":") or after == "/" or (after == "=" and m.group() == "="):
             continue
-        name = _NAME.search(text, max(0, p - 160), p)
+        name = _NAME.match(back, len(text) - p)
         value = name and _VALUE.match(text, p + 1)
         if value:
             g = value.lastindex
-            yield name.group(1), value.group(g), *value.span(g), g < 3
+            yield name.group(1)[::-1], value.group(g), *value.span(g), g < 3
+
+
+def _union(spans: list[tuple[int, int, int]]) -> tuple[list[int], list[int]]:
+    """Starts and ends of the stretches that sorted spans cover."""
+    starts: list[int] = []
+    ends: list[int] = []
+    for s, _, e in spans:
+        if ends and s <= ends[-1]:
+            ends[-1] = max(ends[-1], e)
+        else:
+            starts.append(s)
+            ends.append(e)
+    return starts, ends
 
 
 def find_spans(text: str | None, threshold: float = 0.45) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
@@ -94,13 +110,15 @@ def find_spans(text: str | None, threshold: float = 0.45) -> tuple[list[tuple[in
     base.sort()
     added: list[tuple[int, int, int]] = []
     if "=" in text or ":" in text:
+        starts, ends = _union(base)
         known: dict[str, tuple[str, int, int]] = {}
         seen = set()
         for name, value, s, e, quoted in _pairs(text):
             literal = (value, s, e) if quoted else known.get(value, (value, s, e))
             known[name] = literal
             value, s, e = literal
-            if (s, e) in seen or any(s < b[2] and b[0] < e for b in base):
+            i = bisect_right(starts, s) - 1
+            if (s, e) in seen or (i >= 0 and e <= ends[i]):  # base spans cover all of it
                 continue
             if literal_score(name, value) >= threshold:
                 seen.add((s, e))
