@@ -235,8 +235,16 @@ _COUNTS = "cnt as (select k.pattern, k.s, k.e, count(distinct campaign_id) as n
 _PROMO = f"{_DAYS}, {_NARROW}, {_WIDE}, {_CAMP}, {_RATIO}, {_COUNTS}"
 
 
+#: Longest patterns of the promotion experiment. The SQL lists singles and pairs only; it is the whole answer where no triple is dense.
+_DAYS_K_MAX = 5
+
+
+def _mine_days(spark, d, width: int, sigma: int) -> DataFrame:
+    return miner.mine_dense(transactions(spark, d, "brand", days=True), width, sigma, k_max=_DAYS_K_MAX)
+
+
 def _day_result(spark, d, width: int, sigma: int) -> DataFrame:
-    return promo.in_days(miner.mine_dense(transactions(spark, d, "brand", days=True), width, sigma, k_max=2))
+    return promo.in_days(_mine_days(spark, d, width, sigma))
 
 
 def _narrow(spark, d):
@@ -245,12 +253,12 @@ def _narrow(spark, d):
 
 @query(f"{_DAYS} select pattern, 1 as len, s, e from n1 union all select pattern, 2, s, e from n2")
 def mine_dense_days_47(spark, d):
-    return miner.mine_dense(transactions(spark, d, "brand", days=True), 47_000, 15, k_max=2)
+    return _mine_days(spark, d, 47_000, 15)
 
 
 @query(f"{_DAYS} select pattern, 1 as len, s, e from w1 union all select pattern, 2, s, e from w2")
 def mine_dense_days_141(spark, d):
-    return miner.mine_dense(transactions(spark, d, "brand", days=True), 141_000, 32, k_max=2)
+    return _mine_days(spark, d, 141_000, 32)
 
 
 @query(f"{_PROMO} select pattern, ratio from rat")
