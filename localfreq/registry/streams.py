@@ -62,7 +62,7 @@ def stream_dense_itemsets(spark, d):
     half = tx.agg(F.expr("percentile_approx(t, 0.5)")).first()[0] or 0
     for i, part in enumerate((tx.where(F.col("t") <= half), tx.where(F.col("t") > half))):
         part.write.parquet(f"{folder}/in/part={i}")
-    miner = ShardedTimeline(spark, f"{folder}/out", 250, 110, shard_width=4000, k_max=1)
+    miner = ShardedTimeline(spark, f"{folder}/out", 250, 110, shard_width=4000)
     stream = spark.readStream.schema("t long, items array<string>").option("maxFilesPerTrigger", 4).parquet(f"{folder}/in/part=*")
     windows.run_to_table(stream.where(F.size("items") > 0), each=miner.add)
     return miner.intervals()

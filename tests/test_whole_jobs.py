@@ -5,7 +5,7 @@ from itertools import combinations
 
 import pytest
 
-from localfreq.registry import accuracy
+from localfreq.registry import accuracy, streams
 
 
 def order_tables(spark, folder, orders):
@@ -34,3 +34,8 @@ def test_day_patterns_have_up_to_five_items(spark, days, name):
 
 def test_day_measures_count_larger_patterns(spark, days):
     assert {r["part"]: r["n_patterns"] for r in accuracy.QUERIES["window_exclusive_patterns"](spark, days).collect()} == {"common": len(SETS)}
+
+
+def test_streamed_itemsets_of_every_length(spark, tmp_path):
+    d = order_tables(spark, tmp_path, [(day, ["a", "b", "c"]) for day in range(400)])
+    assert {r["pattern"] for r in streams.QUERIES["stream_dense_itemsets"](spark, d).collect()} == {"a", "b", "c", "a|b", "a|c", "b|c", "a|b|c"}
