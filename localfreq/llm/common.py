@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 import gc
+import tempfile
+import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-__all__ = ["checkpointed", "read_table", "release", "string_bytes", "shuffle_parts", "texts_of", "trim"]
+__all__ = ["Scratch", "checkpointed", "free_name", "read_table", "shared_folder", "shuffle_parts", "string_bytes", "texts_of", "trim"]
 
 
 def read_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,23 +23,67 @@ def shuffle_parts(spark: SparkSession) -> int:
     return max(1, int(spark.conf.get("spark.sql.shuffle.partitions")))
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage by a reliable checkpoint, which survives the loss of executors.
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that driver and executors share: the one the session names in ``spark.checkpoint.dir``.
 
-    The folder is the one the session names in ``spark.checkpoint.dir``; only a session without
-    one (local tests) gets a folder of its own.
+    Only a session that runs in one machine gets a folder of its own where none is set; on a cluster that is an error.
     """
-    spark = df.sparkSession
     context = spark.sparkContext
     if context._jsc.sc().getCheckpointDir().isEmpty():
-        context.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", "/tmp/checkpoints"))
+        folder = spark.conf.get("spark.checkpoint.dir", None)
+        if folder is None:
+            if not context.master.startswith("local") or context.master.startswith("local-cluster"):
+                raise ValueError("spark.checkpoint.dir must name a folder that driver and executors share")
+            folder = tempfile.mkdtemp(prefix="checkpoints-")
+        context.setCheckpointDir(folder)
+    return context._jsc.sc().getCheckpointDir().get()
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cut the lineage by a reliable checkpoint, which survives the loss of executors."""
+    shared_folder(df.sparkSession)
     return df.checkpoint(eager=True)
 
 
-def release(spark: SparkSession) -> None:
-    """Let Spark delete the shuffle files of plans that nothing refers to any more; it does so when its driver collects garbage."""
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+class Scratch:
+    """Tables of one job in the shared folder. Each is written once, read by column, and deleted when its readers are done.
+
+    Written tables cut the lineage and survive lost executors. The shuffle files behind a table go as soon as it is written, by
+    Spark's own clean-up at the end of an execution, so that the disk holds one step's exchanges at a time.
+    """
+
+    _CLEAN = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+
+    def __init__(self, spark: SparkSession):
+        self.spark, self.base, self.turn = spark, f"{shared_folder(spark)}/tables-{uuid.uuid4().hex}", 0
+
+    def keep(self, df: DataFrame) -> DataFrame:
+        """``df`` as a written table."""
+        self.turn += 1
+        path, before = f"{self.base}/{self.turn}", self.spark.conf.get(self._CLEAN, "false")
+        self.spark.conf.set(self._CLEAN, "true")
+        try:
+            df.write.parquet(path)
+        finally:
+            self.spark.conf.set(self._CLEAN, before)
+        out = self.spark.read.schema(df.schema).parquet(path)
+        out._scratch_path = path
+        return out
+
+    def drop(self, *tables: DataFrame) -> None:
+        """Delete tables that nothing reads any more."""
+        jvm, conf = self.spark.sparkContext._jvm, self.spark.sparkContext._jsc.hadoopConfiguration()
+        for t in tables:
+            path = jvm.org.apache.hadoop.fs.Path(t._scratch_path)
+            path.getFileSystem(conf).delete(path, True)
+
+
+def free_name(df: DataFrame, wish: str) -> str:
+    """A column name like ``wish`` that ``df`` does not have."""
+    taken = {c.lower() for c in df.columns}
+    while wish.lower() in taken:
+        wish += "_"
+    return wish
 
 
 def trim() -> None:

@@ -12,16 +12,19 @@ of them: then some shared half is not empty. The few sets with more empty halves
 From signatures to components:
 
 1. Equal sets form one class; everything after works on classes.
-2. Signature rows are exchanged once and sorted; a streaming pass keeps those that two classes or more share and names each bucket by its
-   members, so that buckets with the same members count once.
-3. Within a bucket each class is compared with one leader, and links are joined to components.
+2. Signature rows are exchanged once and sorted; a streaming pass keeps those that two classes or more share, names each bucket by its
+   members, so that buckets with the same members count once, and numbers its rows in blocks of bounded size. A signature that many
+   classes of one batch share is dealt over many keys; its parts keep one bucket name and blocks of their own.
+3. Each class is compared with the leader (a bucket's smallest class) that it shares most buckets with; links are joined to components. Then
+   come the leaders in other components: the closest pair by sketches for each two components.
 4. Buckets whose classes lie in one component are done. In the others, pairs of classes of different components are still open: the classes
-   outside the bucket's largest component are compared with all of the bucket, in blocks of bounded size. A block first gives the most
+   outside the bucket's largest component meet each other and the blocks of the largest one. Two blocks first give the most
    likely pair for each two components; their links join components, which closes most pairs. A last turn over the buckets that
    held pairs back gives every pair that may be similar and is still open. So all links between components are found, without listing all pairs of a group of copies.
 
 A comparison first uses parity sketches: bit j of a set's sketch is the parity of its members that hash to j, so the sketches of two
-sets differ in at most as many bits as the sets differ in members. Pairs that pass are decided by exact intersection.
+sets differ in at most as many bits as the sets differ in members. Pairs that pass are decided by exact intersection of the sets of
+their texts. Every step's result is a written table of the shared folder, deleted after its last reader; nothing is broadcast or collected.
 
 Exactness is up to collisions of 64-bit hashes. Texts without words, empty and null texts have the empty set and link with nothing;
 their component is their own id. Rows with a null id take part, but a component's id is its smallest id that is not
@@ -39,14 +42,17 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from localfreq.llm.common import batches, checkpointed, read_table, release, string_bytes
+from localfreq.llm.common import Scratch, batches, free_name, read_table, string_bytes
 
 __all__ = ["Bands", "components", "jaccard_components", "keep_one", "op2_ngram_jaccard_join", "shingle_sets", "word_hashes"]
 
 _U = np.uint64
 _SPACES = [0x20, *range(0x09, 0x0E)]
 _SEGMENT = 1 << 20
+_BLOCK = 512
+_LEAST = -(1 << 63)
 
 
 def mix(h: np.ndarray) -> np.ndarray:
@@ -190,13 +196,30 @@ def _classes(docs: DataFrame, width: int) -> DataFrame:
     return docs.mapInArrow(run, "doc_id long, n_shingles long, node long")
 
 
-def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
-    """(sig, node), each class once a task at least."""
+def _signatures(docs: DataFrame, width: int, percent: int, *, hot: int = 256, held: int = 500_000) -> DataFrame:
+    """(sig, node, home), each class once a task at least.
+
+    A signature that ``hot`` classes or more of one batch of ``held`` rows share is dealt over 1,024 keys: ``home`` is then the signature
+    itself, and one of its rows stays under its own key and marks it.
+    """
+
+    def dealt(sigs: list[np.ndarray], nodes: list[np.ndarray]) -> pa.RecordBatch:
+        sig, node = np.concatenate(sigs), np.concatenate(nodes)
+        order = np.argsort(sig, kind="stable")
+        sig, node = sig[order], node[order]
+        start = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
+        size = np.diff(np.append(start, len(sig)))
+        often = np.repeat(size >= hot, size)
+        key = np.where(often, mix(sig + ((mix(node.view(_U)) & _U(1023)) + _U(1)) * _U(0x9E3779B97F4A7C15)), sig)
+        marks = start[size >= hot]
+        key, node, home = np.concatenate([key, sig[marks]]), np.concatenate([node, node[marks]]), np.concatenate([sig, sig[marks]])
+        plain = np.concatenate([~often, np.zeros(len(marks), bool)])
+        return pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(node), pa.array(home.view(np.int64), mask=plain)], ["sig", "node", "home"])
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         bands, seen = Bands(percent), set()
+        sigs, nodes, size = [], [], 0
         for b in batches(rows, _SEGMENT):
-            sigs, nodes, many = [], [], []
             for s in shingle_sets(b.column(1), width):
                 node = _node(s) if len(s) else None
                 if node is None or node in seen:
@@ -206,76 +229,91 @@ def _signatures(docs: DataFrame, width: int, percent: int) -> DataFrame:
                 seen.add(node)
                 for x in bands.signatures(s):
                     sigs.append(x)
-                    nodes.append(node)
-                    many.append(len(x))
-            if sigs:
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(sigs).view(np.int64)), pa.array(np.repeat(np.array(nodes, np.int64), many))], ["sig", "node"])
+                    nodes.append(np.full(len(x), node, np.int64))
+                    size += len(x)
+            if size >= held:
+                yield dealt(sigs, nodes)
+                sigs, nodes, size = [], [], 0
+        if size:
+            yield dealt(sigs, nodes)
 
-    return docs.mapInArrow(run, "sig long, node long")
+    return docs.mapInArrow(run, "sig long, node long, home long")
 
 
-def _shared(signatures: DataFrame) -> DataFrame:
-    """(bucket, node): the buckets of two or more classes. Sorted by Spark, read as a stream; a long bucket passes in pieces."""
+def _shared(signatures: DataFrame, *, long: int = 200_000) -> DataFrame:
+    """(bucket, i, node, lead): the buckets of two or more classes in blocks i. Sorted by Spark, read as a stream; a long bucket passes in pieces."""
 
-    def emit(sig: np.ndarray, node: np.ndarray) -> pa.RecordBatch | None:
-        order = np.lexsort((node, sig))
-        sig, node = sig[order], node[order]
+    def emit(sig: np.ndarray, node: np.ndarray, home: np.ndarray, known: np.ndarray, passed: tuple | None, more: bool) -> pa.RecordBatch | None:
+        """``passed``: (rows so far, lead) of the first signature, where pieces of it are out; ``more``: pieces of the last one follow."""
+        start = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
+        split = np.logical_or.reduceat(known, start)
+        origin = np.where(split, np.maximum.reduceat(np.where(known, home, _LEAST), start), sig[start])
         new = np.ones(len(sig), bool)
         new[1:] = (sig[1:] != sig[:-1]) | (node[1:] != node[:-1])
         sig, node = sig[new], node[new]
         start = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
         size = np.diff(np.append(start, len(sig)))
-        names = mix(np.add.reduceat(mix(node.view(_U)), start) + size.astype(_U)).view(np.int64)
-        keep = np.repeat(size > 1, size)
-        return pa.RecordBatch.from_arrays([pa.array(np.repeat(names, size)[keep]), pa.array(node[keep])], ["bucket", "node"]) if keep.any() else None
+        names = mix(np.add.reduceat(mix(node.view(_U)), start) + size.astype(_U))
+        base, lead, keep = np.zeros(len(start), np.int64), node[start], (size > 1) | split
+        pieces = split.copy()
+        if passed is not None:
+            base[0], lead[0], keep[0], pieces[0] = passed[0], passed[1], True, True
+        if more:
+            keep[-1] = pieces[-1] = True
+        names = np.where(pieces, mix(origin.view(_U) ^ _U(0xD1B54A32D192ED03)), names).view(np.int64)
+        offset = np.where(split, (mix(sig[start].view(_U)) & _U((1 << 40) - 1)).astype(np.int64) << 20, 0)
+        place = offset.repeat(size) + (np.arange(len(sig)) - start.repeat(size) + base.repeat(size)) // _BLOCK
+        rows = keep.repeat(size)
+        if not rows.any():
+            return None
+        return pa.RecordBatch.from_arrays([pa.array(x[rows]) for x in (names.repeat(size), place, node, lead.repeat(size))], ["bucket", "i", "node", "lead"])
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held_s, held_n, lead = np.zeros(0, np.int64), np.zeros(0, np.int64), None
+        open_rows = [np.zeros(0, np.int64)] * 3 + [np.zeros(0, bool)]
+        passed: tuple | None = None  # (signature, rows so far, lead) of a signature of which pieces are out
         for b in rows:
-            sig = np.concatenate([held_s, b.column(0).to_numpy()])
-            node = np.concatenate([held_n, b.column(1).to_numpy()])
-            cut = int(np.searchsorted(sig, sig[-1])) if len(sig) else 0
-            if cut == 0 and len(sig) > 200_000:  # one long bucket: its first class stays, so that its pieces are connected by it
-                lead = (sig[0], node[0]) if lead is None or lead[0] != sig[0] else lead
-                out = emit(np.append(sig, lead[0]), np.append(node, lead[1]))
-                if out is not None:
-                    out = pa.RecordBatch.from_arrays([pa.array(np.full(out.num_rows, lead[0], np.int64)), out.column(1)], ["bucket", "node"])
-                    yield out
-                held_s, held_n = np.array([lead[0]]), np.array([lead[1]])
+            now = [b.column(0).to_numpy(), b.column(1).to_numpy(), b.column(2).fill_null(0).to_numpy(), b.column(2).is_valid().to_numpy(zero_copy_only=False)]
+            sig, node, home, known = (np.concatenate(x) for x in zip(open_rows, now, strict=True))
+            if not len(sig):
                 continue
-            if cut:
-                out = emit(sig[:cut], node[:cut])
+            cut = int(np.searchsorted(sig, sig[-1]))
+            whole = len(sig) - cut <= long
+            end = cut if whole else len(sig)
+            if end:
+                before = passed[1:] if passed is not None and passed[0] == sig[0] else None
+                out = emit(sig[:end], node[:end], home[:end], known[:end], before, not whole)
                 if out is not None:
-                    if lead is not None and sig[0] == lead[0]:
-                        first = int(np.searchsorted(sig[:cut], sig[0], side="right"))
-                        yield pa.RecordBatch.from_arrays([pa.array(np.full(first, lead[0], np.int64)), pa.array(node[:first])], ["bucket", "node"])
                     yield out
-            held_s, held_n = sig[cut:], node[cut:]
-        if len(held_s):
-            out = emit(held_s, held_n)
+                if not whole:
+                    same = cut == 0 and before is not None
+                    passed = (sig[-1], len(sig) - cut + (before[0] if same else 0), before[1] if same else node[cut])
+            open_rows = [x[end:] for x in (sig, node, home, known)]
+        if len(open_rows[0]):
+            out = emit(*open_rows, passed[1:] if passed is not None and passed[0] == open_rows[0][0] else None, False)
             if out is not None:
                 yield out
-                if lead is not None and held_s[0] == lead[0]:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(held_s), lead[0], np.int64)), pa.array(held_n)], ["bucket", "node"])
 
-    return signatures.repartition("sig").sortWithinPartitions("sig").mapInArrow(run, "bucket long, node long").distinct()
+    return signatures.repartition("sig").sortWithinPartitions("sig", "node").mapInArrow(run, "bucket long, i long, node long, lead long").distinct()
 
 
-def _bloom(nodes: DataFrame, bits: int) -> np.ndarray:
-    """A Bloom filter of the nodes, 2**bits bits: bounded whatever their number."""
+def _texts(docs: DataFrame, width: int, chosen: DataFrame) -> DataFrame:
+    """(node, n, sketch, text) of the classes in ``chosen`` (node, key), each by the text of one row of that id.
 
-    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        flags = np.zeros(1 << bits, bool)
-        for b in rows:
-            h = mix(b.column(0).to_numpy().view(_U))
-            for i in range(3):
-                flags[(h >> _U(21 * i)) & _U((1 << bits) - 1)] = True
-        yield pa.RecordBatch.from_arrays([pa.array([np.packbits(flags).tobytes()], pa.binary())], ["filter"])
+    Rows are dealt by class and id, so that copies of one text, however many, spread.
+    """
+
+    def named(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches(rows, _SEGMENT):
+            sets = shingle_sets(b.column(1), width)
+            yield pa.RecordBatch.from_arrays([pa.array([_node(s) if len(s) else None for s in sets], pa.int64()), b.column(0).fill_null(_LEAST), b.column(1)], ["node", "key", "text"])
+
+    def sketched(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches(rows, _SEGMENT):
+            sets = shingle_sets(b.column(1), width)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array([len(s) for s in sets], pa.int64()), pa.array([sketch(s) for s in sets], pa.binary()), b.column(1)], ["node", "n", "sketch", "text"])
 
-    total = np.zeros(1 << (bits - 3), np.uint8)
-    for r in nodes.select("node").coalesce(4).mapInArrow(run, "filter binary").toLocalIterator():
-        total |= np.frombuffer(r["filter"], np.uint8)
-    return total
+    found = docs.mapInArrow(named, "node long, key long, text string").where("node is not null").join(chosen, ["node", "key"], "left_semi").dropDuplicates(["node", "key"])
+    return found.select("node", "text").mapInArrow(sketched, "node long, n long, sketch binary, text string")
 
 
 def sketch(ordered: np.ndarray) -> bytes:
@@ -295,50 +333,12 @@ def _may_link(na: np.ndarray, nb: np.ndarray, apart: np.ndarray, percent: int) -
     return (apart * (100 + percent) <= (na + nb) * (100 - percent)) & (np.minimum(na, nb) * 100 >= np.maximum(na, nb) * percent)
 
 
-def _may_hold(table: np.ndarray, nodes: np.ndarray, bits: int) -> np.ndarray:
-    """Which nodes a Bloom filter may hold."""
-    h = mix(np.ascontiguousarray(nodes, np.int64).view(_U))
-    out = np.ones(len(h), bool)
-    for i in range(3):
-        p = ((h >> _U(21 * i)) & _U((1 << bits) - 1)).astype(np.int64)
-        out &= (table[p >> 3] >> (7 - (p & 7)).astype(np.uint8) & 1).astype(bool)
-    return out
-
-
-def _sets(docs: DataFrame, width: int, members: DataFrame) -> DataFrame:
-    """(node, grams, sketch) of the classes in ``members``: a Bloom filter picks the texts to hash, the join drops its false hits."""
-    spark = docs.sparkSession
-    bits = min(21, max(13, (8 * members.count()).bit_length()))
-    shared = spark.sparkContext.broadcast(_bloom(members, bits))
-
-    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table, seen = shared.value, set()
-        for b in batches(rows, _SEGMENT):
-            nodes, sets = [], []
-            for s in shingle_sets(b.column(1), width):
-                node = _node(s) if len(s) else None
-                if node is None or node in seen:
-                    continue
-                if _may_hold(table, np.array([node], np.int64), bits)[0]:
-                    if len(seen) >= 200_000:
-                        seen.clear()
-                    seen.add(node)
-                    nodes.append(node)
-                    sets.append(s.view(np.int64))
-            if nodes:
-                offsets = np.cumsum([0, *map(len, sets)]).astype(np.int32)
-                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.ListArray.from_arrays(pa.array(offsets), pa.array(np.concatenate(sets))), pa.array([sketch(s.view(_U)) for s in sets], pa.binary())], ["node", "grams", "sketch"])
-
-    found = docs.mapInArrow(run, "node long, grams array<long>, sketch binary")
-    return found.join(members.select("node"), "node", "left_semi").groupBy("node").agg(F.first("grams").alias("grams"), F.first("sketch").alias("sketch"))
-
-
-def components(links: DataFrame) -> DataFrame:
-    """(node, label): the smallest node that each node of (a, b) reaches. Large-star and small-star steps until nothing moves.
+def components(links: DataFrame, scratch: Scratch) -> DataFrame:
+    """A table (node, label): the smallest node that each node of (a, b) reaches. Large-star and small-star steps until nothing moves.
 
     Minima are aggregated before the exchange and joined back, so the centre of a large star is no hot task.
     """
-    edges = checkpointed(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
+    edges = scratch.keep(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct())
     state = None
     while True:
         count = edges.agg(F.count(F.lit(1)), F.coalesce(F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")), F.lit(0))).first()
@@ -350,22 +350,25 @@ def components(links: DataFrame) -> DataFrame:
         large = both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         down = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(down, "u").select(F.explode(F.array(F.struct(F.col("u").alias("u"), F.col("m").alias("v")), F.struct(F.col("v").alias("u"), F.col("m").alias("v")))).alias("e")).select("e.u", "e.v").where("u <> v").distinct()
-        edges = checkpointed(small)
-    return edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("label"))
+        before, edges = edges, scratch.keep(small)
+        scratch.drop(before)
+    labels = scratch.keep(edges.groupBy(F.col("u").alias("node")).agg(F.min("v").alias("label")))
+    scratch.drop(edges)
+    return labels
 
 
 def _sketched(pairs: DataFrame, sketches: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) that may be similar by their sketches."""
+    """(a, b, apart) of the pairs (a, b) that may be similar by their sketches."""
     both = pairs.join(sketches.select(F.col("node").alias("a"), F.col("n").alias("na"), F.col("sketch").alias("sa")), "a").join(sketches.select(F.col("node").alias("b"), F.col("n").alias("nb"), F.col("sketch").alias("sb")), "b")
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in rows:
             na, nb = b.column(2).to_numpy(), b.column(3).to_numpy()
             apart = np.array([int(np.bitwise_count(np.bitwise_xor(*(_folded([s], min(len(x), len(y)))[0] for s in (x, y)))).sum()) for x, y in zip(b.column(4).to_pylist(), b.column(5).to_pylist(), strict=True)], np.int64)
-            keep = pa.array(_may_link(na, nb, apart, percent))
-            yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], ["a", "b"])
+            keep = pa.array(_may_link(na, nb, apart, percent), pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep), pa.array(apart).filter(keep)], ["a", "b", "apart"])
 
-    return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(run, "a long, b long")
+    return both.select("a", "b", "na", "nb", "sa", "sb").mapInArrow(run, "a long, b long, apart long")
 
 
 def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int, every: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -377,12 +380,12 @@ def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int
     texts = [x.column(3).to_pylist() for x in sides]
     size = min(len(t) for x in texts for t in x)
     folded = [_folded(t, size) for t in texts]
-    (node_l, label_l, n_l, main_l), (node_r, label_r, n_r, main_r) = ([sides[i].column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2, 4)] for i in (0, len(sides) - 1))
+    (node_l, label_l, n_l), (node_r, label_r, n_r) = ([sides[i].column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2)] for i in (0, len(sides) - 1))
     out: list[list[np.ndarray]] = [[], [], [], [], []]
-    for k in np.arange(len(node_l)) if right is not None else np.flatnonzero(~main_l):
+    for k in range(len(node_l)):
         apart = np.bitwise_count(folded[-1] ^ folded[0][k]).sum(axis=1, dtype=np.int64)
         near = _may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k])
-        hit = np.flatnonzero(near & ~(main_l[k] & main_r) if right is not None else near & (main_r | (node_r > node_l[k])))
+        hit = np.flatnonzero(near if right is not None else near & (node_r > node_l[k]))
         for x, y in zip(out, (np.full(len(hit), node_l[k]), node_r[hit], np.full(len(hit), label_l[k]), label_r[hit], apart[hit]), strict=True):
             x.append(y)
     a, b, low, high, apart = (np.concatenate(x).astype(np.int64) if x else np.zeros(0, np.int64) for x in out)
@@ -396,70 +399,121 @@ def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int
     return a[order[new]], b[order[new]], more
 
 
-def _open_pairs(placed: DataFrame, sketches: DataFrame, percent: int, *, every: bool, block: int = 512) -> DataFrame:
-    """(bucket, a, b, more): pairs of different components that share a bucket and may be similar, from (bucket, node, label).
+def _open_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, percent: int, scratch: Scratch, *, every: bool) -> DataFrame:
+    """A table (bucket, a, b, more): pairs of different components that share a bucket and may be similar.
 
-    Block by block: the classes outside a bucket's largest component against all of the bucket. A block holds about ``block``
-    classes, whatever the bucket's size; a bucket of one block is looked at where it was gathered, others meet in pairs of blocks.
+    Block by block: the classes outside a bucket's largest component meet each other and the blocks of the largest one. No block
+    holds more than about ``_BLOCK`` classes, and joins of members are by bucket and block, whatever the bucket's size.
     """
-    counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg(F.sum("k").alias("size"), F.max(F.struct("k", "label"))["label"].alias("main"), F.count(F.lit(1)).alias("kinds"))
-    rows = placed.join(counts.where("kinds > 1").drop("kinds"), "bucket").join(sketches, "node")
-    blocks = F.ceil(F.col("size") / F.lit(block))
-    place = F.pmod(F.xxhash64("node"), blocks).cast("int")
-    gather = F.collect_list(F.struct("node", "label", "n", "sketch", (F.col("label") == F.col("main")).alias("in_main")))
-    gathered = rows.groupBy("bucket", (blocks > 1).alias("parts"), place.alias("i")).agg(gather.alias("l"))
+    placed = members.join(labels, "node", "left").select("bucket", "i", "node", F.coalesce("label", "node").alias("label"))
+    spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
+    cells = placed.select("bucket", "i").distinct().join(spread, "bucket")
+    placed = scratch.keep(placed.join(cells, ["bucket", "i"]))
+    counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg((F.sum("k") - F.max("k")).alias("others"), F.max(F.struct("k", "label"))["label"].alias("main"))
+    mains = placed.select("bucket", "i").distinct().join(counts, "bucket")
+    rows = placed.join(mains, ["bucket", "i"]).join(sketches, "node")
+    apart = F.pmod(F.xxhash64("node"), F.ceil(F.col("others") / F.lit(_BLOCK))).cast("long")
+    outside = F.col("label") != F.col("main")
+    gather = F.collect_list(F.struct("node", "label", "n", "sketch")).alias("l")
+    gathered = scratch.keep(rows.groupBy("bucket", outside.alias("outside"), F.when(outside, apart).otherwise(F.col("i")).alias("i")).agg(gather))
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches_in:
             for i in range(b.num_rows):
                 left = pa.RecordBatch.from_struct_array(b.column(1)[i].values)
-                right = pa.RecordBatch.from_struct_array(b.column(2)[i].values) if b.num_columns > 2 and b.column(2)[i].is_valid else None
+                right = pa.RecordBatch.from_struct_array(b.column(2)[i].values) if b.column(2)[i].is_valid else None
                 x, y, more = _block_hits(left, right, percent, every)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), b.column(0)[i].as_py(), np.int64)), pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(more)], ["bucket", "a", "b", "more"])
 
-    schema = "bucket long, a long, b long, more boolean"
-    alone = gathered.select("bucket", "l").mapInArrow(run, schema)
-    split = gathered.where("parts")
-    met = split.join(split.select("bucket", F.col("i").alias("j"), F.col("l").alias("r")), "bucket").where("i < j").select("bucket", "l", "r").mapInArrow(run, schema)
-    return alone.unionByName(met)
+    out = gathered.where("outside").select("bucket", "i", "l")
+    other = gathered.select("bucket", "outside", F.col("i").alias("j"), F.col("l").alias("r"))
+    met = out.join(other, "bucket").where("not outside or i < j").select("bucket", "l", "r")
+    alone = out.select("bucket", "l", F.lit(None).cast(gathered.schema["l"].dataType).alias("r"))
+    hits = scratch.keep(alone.unionByName(met).mapInArrow(run, "bucket long, a long, b long, more boolean"))
+    scratch.drop(placed, gathered)
+    return hits
 
 
-def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
-    """The pairs (a, b) of classes that are similar, by exact intersection."""
-    both = pairs.join(sets.select(F.col("node").alias("a"), F.col("grams").alias("ga")), "a").join(sets.select(F.col("node").alias("b"), F.col("grams").alias("gb")), "b")
-    exact = both.select("a", "b", (F.size("ga") + F.size("gb")).alias("n"), F.size(F.array_intersect("ga", "gb")).alias("i"))
-    return exact.where(F.col("i") * 100 >= (F.col("n") - F.col("i")) * percent).select("a", "b")
+def _verified(pairs: DataFrame, texts: DataFrame, width: int, percent: int) -> DataFrame:
+    """The pairs (a, b) of classes that are similar, by exact intersection. A class that many pairs name as b is dealt over many tasks."""
+    dealt = pairs.select("a", "b", F.pmod(F.xxhash64("a"), F.lit(1024)).alias("part"))
+    ours = texts.select(F.col("node").alias("a"), F.col("text").alias("ta"))
+    theirs = dealt.select("b", "part").distinct().join(texts.select(F.col("node").alias("b"), F.col("text").alias("tb")), "b")
+    both = dealt.join(ours, "a").join(theirs, ["b", "part"]).select("a", "b", "ta", "tb")
 
+    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches(rows, _SEGMENT):
+            keep = []
+            for x, y in zip(shingle_sets(b.column(2), width), shingle_sets(b.column(3), width), strict=True):
+                common = len(np.intersect1d(x, y, assume_unique=True))
+                keep.append(100 * common >= percent * (len(x) + len(y) - common))
+            keep = pa.array(keep, pa.bool_())
+            yield pa.RecordBatch.from_arrays([b.column(0).filter(keep), b.column(1).filter(keep)], ["a", "b"])
 
-def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """(doc_id, n_shingles, component_id) of every row: texts link when 100 * |intersection| >= percent * |union|."""
-    docs = df.select(df[doc_id].cast("long").alias("doc_id"), df[text].cast("string").alias("text"))
-    rows = checkpointed(_classes(docs, width))
-    members = checkpointed(_shared(_signatures(docs, width, percent)))
-    nodes = checkpointed(members.select("node").distinct())
-    release(df.sparkSession)
-    sets = checkpointed(_sets(docs, width, nodes))
-    release(df.sparkSession)
-    sketches = checkpointed(sets.select("node", F.size("grams").cast("long").alias("n"), "sketch"))
-    lead = members.groupBy("bucket").agg(F.min("node").alias("lead"))
-    star = members.join(lead, "bucket").where("node <> lead").select(F.col("node").alias("a"), F.col("lead").alias("b")).distinct()
-    links = checkpointed(_verified(_sketched(star, sketches, percent), sets, percent))
-    labels = checkpointed(components(links))
-    tested, watched = None, members
+    return both.mapInArrow(run, "a long, b long")
+
+
+def _with_labels(pairs: DataFrame, labels: DataFrame) -> DataFrame:
+    """``pairs`` (a, b, ...) with the components x and y of their classes, those of one component left out."""
+    for side, name in (("a", "x"), ("b", "y")):
+        pairs = pairs.join(labels.select(F.col("node").alias(side), F.col("label").alias(name)), side, "left").withColumn(name, F.coalesce(name, side))
+    return pairs.where("x <> y")
+
+
+def _solved(docs: DataFrame, width: int, percent: int, scratch: Scratch, *, long: int = 200_000, **sizes: int) -> tuple[DataFrame, DataFrame]:
+    """Tables (doc_id, n_shingles, node) of all rows and (node, label) of the classes that have links."""
+    rows = scratch.keep(_classes(docs, width))
+    members = scratch.keep(_shared(_signatures(docs, width, percent, **sizes), long=long))
+    first = rows.where("node is not null").groupBy("node").agg(F.min(F.coalesce("doc_id", F.lit(_LEAST))).alias("key"))
+    texts = scratch.keep(_texts(docs, width, first.join(members.select("node").distinct(), "node", "left_semi")))
+    sketches = texts.select("node", "n", "sketch")
+    star = scratch.keep(members.where("node <> lead").groupBy(F.col("node").alias("a"), F.col("lead").alias("b")).agg(F.count(F.lit(1)).alias("k")))
+    best = F.max(F.struct("k", F.bitwise_not("b").alias("c")))["c"]
+    tested = scratch.keep(star.groupBy("a").agg(F.bitwise_not(best).alias("b")))
+    found = scratch.keep(_verified(tested, texts, width, percent))
+    labels = components(found, scratch)
+    scratch.drop(found)
+
+    def joined(pairs: DataFrame) -> None:
+        nonlocal labels
+        if pairs.isEmpty():
+            return
+        links = scratch.keep(_verified(pairs, texts, width, percent))
+        if not links.isEmpty():
+            before, labels = labels, components(labels.select(F.col("node").alias("a"), F.col("label").alias("b")).unionByName(links), scratch)
+            scratch.drop(before)
+        scratch.drop(links)
+
+    rest = _with_labels(star.select("a", "b").join(tested, ["a", "b"], "left_anti"), labels)
+    near = _with_labels(_sketched(rest.select("a", "b"), sketches, percent), labels)
+    closest = scratch.keep(near.groupBy(F.least("x", "y"), F.greatest("x", "y")).agg(F.min(F.struct("apart", "a", "b")).alias("p")).select("p.a", "p.b"))
+    joined(closest)
+    scratch.drop(star)
+    done = [tested, closest]
+    watched = members
     for every in (False, True):
-        placed = watched.join(labels, "node", "left").select("bucket", "node", F.coalesce("label", "node").alias("label"))
-        spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
-        hits = checkpointed(_open_pairs(checkpointed(placed.join(spread, "bucket")), sketches, percent, every=every))
+        hits = _open_pairs(watched, labels, sketches, percent, scratch, every=every)
         pairs = hits.select("a", "b").distinct()
-        pairs = checkpointed(pairs if tested is None else pairs.join(tested, ["a", "b"], "left_anti"))
-        tested = pairs
-        watched = members.join(hits.where("more").select("bucket").distinct(), "bucket")  # only these had pairs that were not given
-        more = checkpointed(_verified(pairs, sets, percent))
-        release(df.sparkSession)
+        for t in done:
+            pairs = pairs.join(t.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")), ["a", "b"], "left_anti")
+        pairs = scratch.keep(pairs)
+        done.append(pairs)
+        joined(pairs)
+        more = hits.where("more").select("bucket").distinct()
         if more.isEmpty():
-            continue
-        links = links.unionByName(more)
-        labels = checkpointed(components(links))
+            break
+        watched = members.join(more, "bucket", "left_semi")  # only these had pairs that were not given
+    scratch.drop(*done, texts, members)
+    return rows, labels
+
+
+def _docs(df: DataFrame, doc_id: str, text: str) -> DataFrame:
+    return df.select(df[doc_id].cast("long").alias("doc_id"), df[text].cast("string").alias("text"))
+
+
+def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
+    """(doc_id, n_shingles, component_id) of every row: texts link when 100 * |intersection| >= percent * |union|."""
+    rows, labels = _solved(_docs(df, doc_id, text), width, percent, Scratch(df.sparkSession), **sizes)
     classes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
     named = classes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
@@ -467,31 +521,39 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     return rows.join(final, "node", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
-def keep_one(df: DataFrame, *, width: int = 5, percent: int = 80) -> DataFrame:
-    """The rows of ``df`` whose doc_id is the smallest of its component; of repeated ids one row stays, rows without id all stay.
-
-    Only rows whose id may be dropped or repeated, by a Bloom filter of such ids, are exchanged and decided exactly; all other
-    texts pass where they are.
+def keep_one(df: DataFrame, *, width: int = 5, percent: int = 80, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """One row of each component, all its columns: that of the smallest id, rows without id last; of rows that share this id too, the smallest in
+    the order of columns. Rows are told apart by id and set of shingles, so repeated ids of different texts are judged each on its own. Texts without words stay.
     """
-    found = checkpointed(jaccard_components(df, width=width, percent=percent).select("doc_id", "component_id"))
-    dropped = found.where("doc_id <> component_id").select("doc_id").distinct()
-    again = found.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1 and doc_id is not null").select("doc_id")
-    suspects = checkpointed(dropped.unionByName(again).distinct().select(F.col("doc_id").alias("node")))
-    bits = min(24, max(13, (8 * suspects.count()).bit_length()))
-    shared = df.sparkSession.sparkContext.broadcast(_bloom(suspects, bits))
-    at = df.columns.index("doc_id")
-
-    def side(hit: bool):
-        def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            for b in rows:
-                ids = b.column(at)
-                maybe = _may_hold(shared.value, ids.cast(pa.int64()).fill_null(0).to_numpy(zero_copy_only=False), bits) & ids.is_valid().to_numpy(zero_copy_only=False)
-                yield b.filter(pa.array(maybe if hit else ~maybe))
-
-        return run
-
-    checked = df.mapInArrow(side(True), df.schema).join(dropped, "doc_id", "left_anti").dropDuplicates(["doc_id"])
-    return df.mapInArrow(side(False), df.schema).unionByName(checked.select(*df.columns))
+    scratch = Scratch(df.sparkSession)
+    rows, labels = _solved(_docs(df, doc_id, text), width, percent, scratch)
+    keys = ["node", "known", "key"]
+    known, key = F.col("doc_id").isNotNull(), F.coalesce("doc_id", F.lit(0))
+    each = rows.where("node is not null").groupBy("node", known.alias("known"), key.alias("key")).agg(F.count(F.lit(1)).alias("n"))
+    each = each.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
+    best = each.groupBy("label").agg(F.min(F.struct((~F.col("known")).alias("last"), "key", "node")).alias("best"), F.sum("n").alias("size")).where("size > 1").drop("size")
+    ours = (F.col("best.node") == F.col("node")) & (F.col("best.key") == F.col("key")) & (F.col("best.last") != F.col("known"))
+    judged = each.join(best, "label").select(*keys, ours.alias("ours"), "n").where("not ours or n > 1")
+    judged = scratch.keep(judged.select(*keys, "ours"))
+    scratch.drop(rows, labels)
+
+    at, names = df.columns.index(text), [free_name(df, f"of_{k}") for k in keys]
+    node, known, key = names
+
+    def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches(batches_in, _SEGMENT):
+            sets = shingle_sets(b.column(at).cast(pa.string()), width)
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array([_node(s) if len(s) else None for s in sets], pa.int64())], [*b.schema.names, node])
+
+    spread = F.when(F.col(node).isNull(), F.xxhash64(*df.columns)).otherwise(F.coalesce(F.col(doc_id).cast("long"), F.lit(0)))  # rows without words match nothing, wherever they go
+    told = df.mapInArrow(run, StructType([*df.schema.fields]).add(node, "long")).withColumns({known: F.col(doc_id).isNotNull(), key: spread})
+    judged = judged.select(*(F.col(k).alias(n) for k, n in zip(keys, names, strict=True)), "ours")
+    out = told.join(judged.select(*names), names, "left_anti").select(*df.columns)
+    again = judged.where("ours").select(*names)
+    if again.isEmpty():
+        return out
+    rows = told.join(again, names, "left_semi").groupBy(*names).agg(F.min(F.struct(*df.columns)).alias("row"))
+    return out.unionByName(rows.select("row.*"))
 
 
 def op2_ngram_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

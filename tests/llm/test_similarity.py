@@ -70,8 +70,34 @@ def test_join_edges(spark):
     got = sorted(map(tuple, simjoin.jaccard_components(df).collect()), key=str)
     assert got == sorted([(7, 2, 7), (7, 2, 7), (None, 2, 7), (9, 1, 9), (11, 0, 11)], key=str)
     kept = simjoin.keep_one(df).collect()
-    assert sorted((r["doc_id"] for r in kept), key=str) == sorted([7, 9, 11, None], key=str)
+    assert sorted((r["doc_id"] for r in kept), key=str) == sorted([7, 9, 11], key=str)
     assert simjoin.jaccard_components(df.limit(0)).count() == 0
+    assert simjoin.keep_one(df.limit(0)).count() == 0
+
+
+def test_join_with_hot_signatures_and_long_buckets(spark):
+    """Parts of a signature dealt over many keys, and buckets read in pieces, lose no link."""
+    rows = corpus(4, 220)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    want = brute(rows, 4, 80)
+    for sizes in ({"hot": 3, "held": 40}, {"long": 2}, {"hot": 3, "held": 40, "long": 2}):
+        assert sorted(map(tuple, simjoin.jaccard_components(df, width=4, percent=80, **sizes).collect())) == want
+
+
+def test_keep_one_judges_rows(spark):
+    """Repeated ids of different texts are judged each on its own; equal rows leave one; clashing columns stay as they are."""
+    text = " ".join(f"w{i}" for i in range(40))
+    rows = [(1, text, "a"), (5, text, "b"), (5, "quite another text of nine words stands here alone", "c"), (6, "one two three four five six", "d"), (6, "one two three four five six", "d"), (None, text.upper(), "e"), (None, None, "f"), (None, "", "f"), (8, "short", "g"), (9, "SHORT", "h")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, node string")
+    got = sorted(map(tuple, simjoin.keep_one(df).collect()), key=str)
+    assert got == sorted([rows[0], rows[2], rows[3], rows[6], rows[7], rows[8]], key=str)
+
+
+def test_join_on_a_whole_table(spark):
+    """All of the documents of a given table against all pairs of them."""
+    rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
+    got = simjoin.op2_ngram_jaccard_join(spark, "/root/testdata/sf0.001")
+    assert sorted(map(tuple, got.collect())) == brute(rows, 4, 85)
 
 
 def test_similar_sets_share_a_signature():
@@ -101,11 +127,12 @@ def test_words_as_by_pattern():
     assert [bytes(raw[a:b]).decode() for a, b in zip(s, e, strict=True)] == [w for t in texts for w in WORD.findall(t or "")]
 
 
-def test_fingerprints(spark):
+def test_fingerprints(spark, tmp_path):
+    folder = str(tmp_path)
     a, b = "One is.\nTwo was. Three!\n" * 30 + "End.", "Other text.\nWith lines. Of its own!\n" * 30
     rows = [(5, a), (3, b), (8, a), (1, None), (9, "Two was. One is."), (10, "One is. Two was."), (11, ""), (None, "x")]
-    spark.createDataFrame(rows, "doc_id long, text string").write.mode("overwrite").parquet("/tmp/checkpoints/fp/documents.parquet")
-    got = {r["doc_id"]: r for r in fingerprint.op4_document_fingerprints(spark, "/tmp/checkpoints/fp").collect()}
+    spark.createDataFrame(rows, "doc_id long, text string").write.mode("overwrite").parquet(f"{folder}/documents.parquet")
+    got = {r["doc_id"]: r for r in fingerprint.op4_document_fingerprints(spark, folder).collect()}
     assert len(got) == len(rows)
     order = sorted((r for r in rows), key=lambda r: (r[0] is None, -(r[0] or 0)))
     import hashlib
