@@ -4,7 +4,8 @@ Every stage takes (spark, docs, sf_dir) and returns a DataFrame that is written
 the next stage's ``docs``. A stage works on all that its predecessor kept. All but the last return the columns of
 ``documents``; the last returns the placed pieces of the packed corpus.
 
-Rows with nulls: a null text is an empty one; rows without id pass the filters by their texts, all stay in the duplicate stage.
+Rows with nulls: a null text is an empty one; rows without id pass the filters by their texts; among near copies
+a row with an id stays before them.
 """
 
 from __future__ import annotations
@@ -16,7 +17,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from localfreq.llm.bradleyterry import fit_ranker, score_quality
-from localfreq.llm.common import checkpointed, read_table
+from localfreq.llm.common import checkpointed, read_table, shared_folder
 from localfreq.llm.packing import pack_pieces, token_pieces
 from localfreq.llm.secrets import redact
 from localfreq.llm.simjoin import keep_one
@@ -67,9 +68,7 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The stages over ``documents``, each result written to the shared folder and read again."""
     docs = read_table(spark, sf_dir, "documents")
-    if spark.sparkContext._jsc.sc().getCheckpointDir().isEmpty():
-        spark.sparkContext.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", "/tmp/checkpoints"))
-    folder = f"{spark.sparkContext._jsc.sc().getCheckpointDir().get()}/pipeline-{uuid.uuid4().hex}"
+    folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES[:-1]:
         stage(spark, docs, sf_dir).write.parquet(f"{folder}/{name}")
         docs = spark.read.parquet(f"{folder}/{name}")
