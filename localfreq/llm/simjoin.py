@@ -206,12 +206,13 @@ def _signatures(docs: DataFrame, width: int, percent: int, *, hot: int = 256, he
     def dealt(sigs: list[np.ndarray], nodes: list[np.ndarray]) -> pa.RecordBatch:
         sig, node = np.concatenate(sigs), np.concatenate(nodes)
         order = np.argsort(sig, kind="stable")
-        sig, node = sig[order], node[order]
-        start = np.flatnonzero(np.concatenate([[True], sig[1:] != sig[:-1]]))
+        start = np.flatnonzero(np.concatenate([[True], sig[order][1:] != sig[order][:-1]]))
         size = np.diff(np.append(start, len(sig)))
-        often = np.repeat(size >= hot, size)
-        key = np.where(often, mix(sig + ((mix(node.view(_U)) & _U(1023)) + _U(1)) * _U(0x9E3779B97F4A7C15)), sig)
-        marks = start[size >= hot]
+        often = np.zeros(len(sig), bool)
+        often[order] = np.repeat(size >= hot, size)
+        key = sig.copy()
+        key[often] = mix(sig[often] + ((mix(node[often].view(_U)) & _U(1023)) + _U(1)) * _U(0x9E3779B97F4A7C15))
+        marks = order[start[size >= hot]]
         key, node, home = np.concatenate([key, sig[marks]]), np.concatenate([node, node[marks]]), np.concatenate([sig, sig[marks]])
         plain = np.concatenate([~often, np.zeros(len(marks), bool)])
         return pa.RecordBatch.from_arrays([pa.array(key.view(np.int64)), pa.array(node), pa.array(home.view(np.int64), mask=plain)], ["sig", "node", "home"])
