@@ -6,13 +6,14 @@ the query's digits are summed by carry-save adders, all bitmaps of one weight at
 chosen from the most significant slice of the sum downward; rows that tie at the boundary are resolved exactly
 by the smaller id.
 
-Work is dealt out as (candidate block, query block) pairs, so no task holds more than two blocks and nothing
-that grows with the data is broadcast. Each pair yields at most k rows per query, which one window per query
-merges.
+Work is dealt out as (candidate block, group of queries) cells. A cell's candidates come first in its sorted rows, so one task
+indexes a block once and streams queries past it; it holds one block and nothing that grows with the data is
+broadcast. Each cell yields at most k rows per query, which one window per query merges.
 
-Vectors that are null, empty, or hold a null or non-finite component take no part, nor do rows without an id.
+Vectors that are null, or hold a null or non-finite component take no part, nor do rows without an id; an empty vector scores 0.
+A vector the sum of whose squared codes reaches 2**62 is an error, since its products may not fit a long; all others are exact.
 Vectors shorter than the longest of their block are padded by zeros, which leaves inner products as they are.
-Rows that share the query's id never appear in its result. Quantised components are cut at +-2**24.
+Rows that share the query's id never appear in its result.
 Repeated rows of another id each take a place; of rows that share a query's id the smallest vector asks. An empty table gives an empty result.
 """
 
@@ -31,8 +32,6 @@ from localfreq.llm.common import read_table
 
 __all__ = ["BitSlicedIndex", "op7_exact_topk", "quantised", "topk_inner"]
 
-_LIMIT = 1 << 24
-
 
 class BitSlicedIndex:
     """Bit-sliced index of integer rows: ``slices[d][j]`` marks the rows whose shifted attribute d has digit j."""
@@ -126,69 +125,92 @@ class BitSlicedIndex:
         if not len(rows):
             return np.zeros(0, np.int64)
         word, bit = rows >> 6, (rows & 63).astype(np.uint64)
-        return sum(((s[word] >> bit) & np.uint64(1)).astype(np.int64) << w for w, s in enumerate(slices)) + np.zeros(len(rows), np.int64)
+        kind = np.int64 if len(slices) < 63 else object  # coded sums may be wider than the scores
+        return sum(((s[word] >> bit) & np.uint64(1)).astype(np.int64).astype(kind) << w for w, s in enumerate(slices)) + np.zeros(len(rows), kind)
 
 
 def quantised(df: DataFrame, *, vec_id: str = "vec_id", embedding: str = "embedding", scale: int = 64) -> DataFrame:
     """(vec_id, code array<int>) of the vectors that take part."""
     x = F.col(embedding).cast("array<double>")
     finite = F.forall(x, lambda v: v.isNotNull() & ~F.isnan(v) & (F.abs(v) < F.lit(float("inf"))))
-    code = F.transform(x, lambda v: F.greatest(F.lit(-_LIMIT), F.least(F.lit(_LIMIT), F.floor(F.greatest(F.lit(-1e12), F.least(F.lit(1e12), v * scale))))).cast("int"))
-    return df.where(F.col(vec_id).isNotNull() & F.col(embedding).isNotNull() & (F.size(embedding) > 0)).where(finite).select(F.col(vec_id).cast("long").alias("vec_id"), code.alias("code"))
+    code = F.transform(x, lambda v: F.floor(v * scale).cast("long"))
+    size = F.aggregate(x, F.lit(0.0), lambda s, v: s + F.pow(F.floor(v * scale).cast("double"), 2))
+    wide = F.raise_error("a vector is too long for exact products in 64 bits").cast("array<bigint>")
+    rows = df.where(F.col(vec_id).isNotNull() & F.col(embedding).isNotNull()).where(finite)
+    return rows.select(F.col(vec_id).cast("long").alias("vec_id"), F.when(size < float(1 << 62), code).otherwise(wide).alias("code"))
+
+
+def _matrix(codes: pa.Array, width: int) -> np.ndarray:
+    """Rows of codes, padded by zeros."""
+    many = np.diff(codes.offsets.to_numpy()) if len(codes) else np.zeros(0, np.int64)
+    flat = codes.flatten().to_numpy(zero_copy_only=False)
+    out = np.zeros((len(codes), max(width, int(many.max(initial=0)))), np.int64)
+    place = np.arange(len(flat)) - np.repeat(np.cumsum(many) - many, many)
+    out[np.repeat(np.arange(len(codes)), many), place] = flat
+    return out
 
 
-def _matrix(codes: list) -> np.ndarray:
-    width = max(map(len, codes), default=0)
-    out = np.zeros((len(codes), width), np.int64)
-    for i, c in enumerate(codes):
-        out[i, :len(c)] = c
-    return out
+class _Cell:
+    """The index of one block of candidates, in the order of their ids."""
 
+    def __init__(self, parts: list[tuple[np.ndarray, pa.Array]]):
+        self.ids = np.concatenate([i for i, _ in parts]) if parts else np.zeros(0, np.int64)
+        rows = [_matrix(c, 0) for _, c in parts]
+        self.width = max((r.shape[1] for r in rows), default=0)
+        self.index = BitSlicedIndex(np.concatenate([np.pad(r, ((0, 0), (0, self.width - r.shape[1]))) for r in rows]) if rows else np.zeros((0, 0), np.int64))
 
-def _blocks(df: DataFrame, n: int, name: str) -> DataFrame:
-    """Rows gathered into n blocks of about equal size, whatever their ids."""
-    place = F.pmod(F.xxhash64(F.monotonically_increasing_id(), F.spark_partition_id()), F.lit(n)).cast("int")
-    return df.withColumn(name, place).groupBy(name).agg(F.collect_list(F.struct("vec_id", "code")).alias(f"{name}_rows"))
+    def best(self, mine: int, query: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
+        """(ids, scores) of the k best rows of other ids."""
+        index, ids = self.index, self.ids
+        slices, add = index.scores(query[:self.width])
+        allowed = index.full
+        lo, hi = np.searchsorted(ids, mine, side="left"), np.searchsorted(ids, mine, side="right")
+        if hi > lo:
+            allowed = allowed.copy()
+            own = np.arange(lo, hi)
+            np.bitwise_and.at(allowed, own >> 6, ~(np.uint64(1) << (own & 63).astype(np.uint64)))
+        sure, tied = index.top_rows(slices, k, allowed)
+        rows = np.concatenate([sure, tied[:max(0, k - len(sure))]]).astype(np.int64)
+        return ids[rows], (index.values(slices, rows) + add).astype(np.int64)
 
 
-def topk_inner(candidates: DataFrame, queries: DataFrame, k: int = 20, *, block: int = 8192, query_block: int = 512) -> DataFrame:
-    """The k candidates of highest inner product for each query, both as (vec_id, code) frames.
+def topk_inner(candidates: DataFrame, queries: DataFrame, k: int = 20, *, block: int = 8192) -> DataFrame:
+    """The k candidates of highest inner product for each query, both as (vec_id, code) frames; queries have one row an id.
 
-    Blocks hold about ``block`` and ``query_block`` rows, whatever the number of rows.
+    Blocks hold about ``block`` candidates, whatever their number. Equal rows, however many, are counted before they are dealt by
+    their hash, and stand for at most k places. Few blocks are met by several groups of queries, so that all cores have work.
     """
-    n, nq = (x.count() for x in (candidates, queries))
-    cb, qb = max(1, math.ceil(n / block)), max(1, math.ceil(nq / query_block))
-    left = _blocks(candidates, cb, "cb").withColumn("qb", F.explode(F.sequence(F.lit(0), F.lit(qb - 1))))
-    pairs = left.join(_blocks(queries, qb, "qb").hint("shuffle_hash"), "qb").repartition(min(cb * qb, 4096), "cb", "qb").select("cb_rows", "qb_rows")
+    same = candidates.groupBy("vec_id", "code").agg(F.count(F.lit(1)).alias("n"))
+    n = candidates.count()
+    blocks = max(1, math.ceil(n / block))
+    groups = max(1, math.ceil(2 * candidates.sparkSession.sparkContext.defaultParallelism / blocks))
+    place = lambda seed, parts: F.pmod(F.xxhash64(F.lit(seed), "vec_id", "code"), F.lit(parts)).cast("int")
+    times = F.explode(F.array_repeat(F.lit(0), F.least("n", F.lit(k)).cast("int")))
+    left = same.select("vec_id", "code", place(1, blocks).alias("block"), times.alias("kind")).withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(groups - 1))))
+    right = queries.select("vec_id", "code", place(2, groups).alias("part"), F.lit(1).alias("kind")).withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    columns = ["block", "part", "kind", "vec_id", "code"]
+    cells = left.select(*columns).unionByName(right.select(*columns)).repartition(blocks * groups, "block", "part").sortWithinPartitions("block", "part", "kind", "vec_id")
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        at, parts, cell = None, [], None
         for b in rows:
-            for i in range(b.num_rows):
-                c, q = b.column(0)[i].as_py(), b.column(1)[i].as_py()
-                ids = np.array([x["vec_id"] for x in c], np.int64)
-                order = np.argsort(ids, kind="stable")
-                ids = ids[order]
-                rows_c, rows_q = _matrix([x["code"] for x in c])[order], _matrix([x["code"] for x in q])
-                width = max(rows_c.shape[1], rows_q.shape[1])
-                rows_c, rows_q = (np.pad(m, ((0, 0), (0, width - m.shape[1]))) for m in (rows_c, rows_q))
-                index = BitSlicedIndex(rows_c)
-                out: list[list[np.ndarray]] = [[], [], []]
-                for query, mine in zip(rows_q, (x["vec_id"] for x in q), strict=True):
-                    slices, add = index.scores(query)
-                    allowed = index.full
-                    lo, hi = np.searchsorted(ids, [mine, mine + 1] if mine < 2**63 - 1 else [mine, mine], side="left")
-                    if hi > lo:
-                        allowed = allowed.copy()
-                        own = np.arange(lo, hi)
-                        np.bitwise_and.at(allowed, own >> 6, ~(np.uint64(1) << (own & 63).astype(np.uint64)))
-                    sure, tied = index.top_rows(slices, k, allowed)
-                    best = np.concatenate([sure, tied[:max(0, k - len(sure))]]).astype(np.int64)  # rows are in id order
-                    out[0].append(np.full(len(best), mine, np.int64))
-                    out[1].append(ids[best])
-                    out[2].append(index.values(slices, best) + add)
-                yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64()) for x in out], ["query_id", "vec_id", "score"])
-
-    found = pairs.mapInArrow(run, "query_id long, vec_id long, score long")
+            block, part, kind, ids = (b.column(i).to_numpy() for i in range(4))
+            cuts = np.flatnonzero((block[1:] != block[:-1]) | (part[1:] != part[:-1]) | (kind[1:] != kind[:-1])) + 1
+            for i, j in zip([0, *cuts.tolist()], [*cuts.tolist(), b.num_rows], strict=True):
+                if i == j:
+                    continue
+                if (block[i], part[i]) != at:
+                    at, parts, cell = (block[i], part[i]), [], None
+                if kind[i] == 0:
+                    parts.append((ids[i:j].copy(), b.column(4).slice(i, j - i)))
+                    continue
+                if cell is None:
+                    cell, parts = _Cell(parts), []
+                found = [(q, *cell.best(int(q), code, k)) for q, code in zip(ids[i:j], _matrix(b.column(4).slice(i, j - i), cell.width), strict=True)]
+                many = [len(x[1]) for x in found]
+                yield pa.RecordBatch.from_arrays([pa.array(np.repeat([x[0] for x in found], many)), *(pa.array(np.concatenate([x[c] for x in found])) for c in (1, 2))], ["query_id", "vec_id", "score"])
+
+    found = cells.mapInArrow(run, "query_id long, vec_id long, score long")
     by = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 

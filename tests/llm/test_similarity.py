@@ -4,6 +4,7 @@ import random
 import re
 
 import numpy as np
+import pytest
 from pyspark.sql import functions as F
 
 from localfreq.llm import fingerprint, simjoin, topk
@@ -151,12 +152,13 @@ def test_fingerprints(spark, tmp_path):
 def test_topk_is_exact(spark):
     rng = np.random.default_rng(7)
     vecs = [(int(i), [float(x) for x in rng.normal(0, 0.3, 16).astype(np.float32)]) for i in range(90)]
-    vecs += [(200 + i, vecs[3][1]) for i in range(8)] + [(300, [0.1, None]), (301, [float("nan")] * 16), (302, None), (303, [float("inf")] * 16), (None, vecs[0][1]), (20, vecs[5][1])]
+    vecs += [(201, vecs[3][1])] * 30 + [(400, []), (401, [1.0]), (402, [])] + [(200 + i, vecs[3][1]) for i in range(8)] + [(300, [0.1, None]), (301, [float("nan")] * 16), (302, None), (303, [float("inf")] * 16), (None, vecs[0][1]), (20, vecs[5][1])]
     df = spark.createDataFrame(vecs, "vec_id long, embedding array<float>")
     rows = topk.quantised(df)
     queries = rows.where(F.pmod("vec_id", F.lit(20)) == 0).groupBy("vec_id").agg(F.min("code").alias("code"))
-    got = sorted((r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in topk.topk_inner(rows, queries, 20, block=40, query_block=3).collect())
+    got = sorted((r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in topk.topk_inner(rows, queries, 20, block=40).collect())
     ok = [(i, np.floor(64 * np.array(v, np.float64)).astype(int)) for i, v in vecs if i is not None and v is not None and all(x is not None and np.isfinite(x) for x in v)]
+    ok = [(i, np.pad(c, (0, 16 - len(c)))) for i, c in ok]
     want = []
     for q in sorted({i for i, _ in ok if i % 20 == 0}):
         code = min(tuple(c) for i, c in ok if i == q)
@@ -164,3 +166,23 @@ def test_topk_is_exact(spark):
         want += [(q, r + 1, i, -s) for r, (s, i) in enumerate(best)]
     assert got == sorted(want)
     assert topk.topk_inner(rows.limit(0), queries.limit(0), 20).count() == 0
+
+
+def test_topk_of_large_components(spark):
+    rows = [(20, [1e6, 1.0]), (1, [1e6, 0.0]), (2, [5e5, 0.0]), (3, [-1e6, 2.0])]
+    code = topk.quantised(spark.createDataFrame(rows, "vec_id long, embedding array<double>"))
+    got = topk.topk_inner(code, code.where("vec_id = 20"), 20).orderBy("rank").collect()
+    assert [(r["vec_id"], r["score"]) for r in got] == [(1, 4096000000000000), (2, 2048000000000000), (3, -4096000000000000 + 64 * 128)]
+    with pytest.raises(Exception, match="too long"):
+        topk.quantised(spark.createDataFrame([(1, [1e300])], "vec_id long, embedding array<double>")).collect()
+
+
+def test_topk_query_on_a_whole_table(spark):
+    rows = [(r["vec_id"], np.floor(64 * np.array(r["embedding"], float)).astype(int)) for r in spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet").collect()]
+    got = sorted((r["query_id"], r["rank"], r["vec_id"], r["score"]) for r in topk.op7_exact_topk(spark, "/root/testdata/sf0.001").collect())
+    want = []
+    for q, code in rows:
+        if q % 20 == 0:
+            best = sorted((-int(np.dot(c, code)), i) for i, c in rows if i != q)[:20]
+            want += [(q, r + 1, i, -x) for r, (x, i) in enumerate(best)]
+    assert got == sorted(want)
