@@ -135,7 +135,7 @@ def test_fingerprints(spark, tmp_path):
     spark.createDataFrame(rows, "doc_id long, text string").write.mode("overwrite").parquet(f"{folder}/documents.parquet")
     got = {r["doc_id"]: r for r in fingerprint.op4_document_fingerprints(spark, folder).collect()}
     assert len(got) == len(rows)
-    order = sorted((r for r in rows), key=lambda r: (r[0] is None, -(r[0] or 0)))
+    order = sorted(rows, key=lambda r: (r[0] is None, -(r[0] or 0)))
     import hashlib
 
     for i, (d, t) in enumerate(order):
@@ -186,3 +186,28 @@ def test_topk_query_on_a_whole_table(spark):
             best = sorted((-int(np.dot(c, code)), i) for i, c in rows if i != q)[:20]
             want += [(q, r + 1, i, -x) for r, (x, i) in enumerate(best)]
     assert got == sorted(want)
+
+
+def test_fingerprints_of_a_hot_id(spark, tmp_path):
+    """An id that holds most rows is cut by its texts' hashes: every row is there once, with one next text each."""
+    from collections import Counter
+
+    rows = [(7, f"text {i}. Of one id.") for i in range(60)] + [(i, f"other {i}. Text.") for i in range(100, 110)] + [(None, "null one"), (None, "null two")] + [(7, "text 3. Of one id.")]
+    spark.createDataFrame(rows, "doc_id long, text string").repartition(3).write.parquet(f"{tmp_path}/documents.parquet")
+    paired = fingerprint.with_next(spark.read.parquet(f"{tmp_path}/documents.parquet"), 16).where("ghost = 0").collect()
+    assert Counter((r["doc_id"], r["text"]) for r in paired) == Counter(rows)
+    assert Counter(r["next_text"] for r in paired) == Counter(t for _, t in rows)
+    assert len({r["bucket"] for r in paired if r["doc_id"] == 7}) > 4
+    assert fingerprint.op4_document_fingerprints(spark, str(tmp_path)).count() == len(rows)
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/none/documents.parquet")
+    assert fingerprint.op4_document_fingerprints(spark, f"{tmp_path}/none").count() == 0
+
+
+def test_fingerprints_change_by_paragraphs(spark):
+    """Inserting and deleting paragraphs gives the fingerprint of the changed document, without reading it again."""
+    unit = lambda rows: fingerprint.fingerprint_sums(spark.createDataFrame(rows, "doc_id long, unit string"), ["doc_id"], "unit")
+    before = [(1, u) for u in ("a", "b", "b", "c")] + [(2, "x")]
+    now = fingerprint.changed_sums(unit(before), unit([(1, "d"), (3, "new")]), unit([(1, "b"), (1, "c")]), ["doc_id"])
+    after = unit([(1, u) for u in ("d", "b", "a")] + [(2, "x"), (3, "new")])
+    got, want = ({r["doc_id"]: r["f"] for r in x.select("doc_id", fingerprint.fingerprint_of().alias("f")).collect()} for x in (now, after))
+    assert got == want and len(set(got.values())) == 3
