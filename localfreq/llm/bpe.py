@@ -50,9 +50,12 @@ def chunk_ends(raw: np.ndarray, mean: int = 1024) -> np.ndarray:
 
 
 class ByteBpe:
-    """The given byte-level vocabulary: for a text, (number of ids, decimal ids each with a comma, decoded bytes)."""
+    """The given byte-level vocabulary: for a text, (number of ids, decimal ids each with a comma, decoded bytes).
 
-    def __init__(self, path: str, mean: int = 1024, most_chunks: int = 16_000, most_words: int = 50_000, special_as_text: bool = False):
+    With ``packed`` the ids are little-endian numbers of so many bytes instead.
+    """
+
+    def __init__(self, path: str, mean: int = 1024, most_chunks: int = 16_000, most_words: int = 50_000, special_as_text: bool = False, packed: int | None = None):
         import tiktoken
 
         self.tok, self.mean, self.most_chunks, self.most_words = load_tokenizer(path), mean, most_chunks, most_words
@@ -65,7 +68,7 @@ class ByteBpe:
             self.piece[i] = token.encode() if whole else bytes(back[c] for c in token)
         if any(len(self.piece.get(i, b"")) != 1 for i in range(256)):
             raise ValueError("a byte-level vocabulary is needed")
-        self.decimal = {i: f"{i},".encode() for i in self.piece}
+        self.decimal = {i: i.to_bytes(packed, "little") if packed else f"{i},".encode() for i in self.piece}
         ranks = {p: i for i, p in self.piece.items() if i not in special}
         self.fast = tiktoken.Encoding("bytes", pat_str=_SPLIT, mergeable_ranks=ranks, special_tokens={}).encode_ordinary
         self.chunks: dict[bytes, tuple[int, bytes, bytes]] = {}

@@ -26,17 +26,27 @@ __all__ = ["file_blocks", "flat_blocks", "op9_token_counts", "scan_separators"]
 
 
 def file_blocks(spark: SparkSession, path: str, *, width: int = 2, block_tokens: int = 1 << 20) -> DataFrame:
-    """(file, block, data) of the flat token files at ``path``, by Spark's own binary reader."""
+    """(file, block, data) of the flat token files at ``path``, of any size: Spark lists them, and every block is its own range of bytes.
+
+    Ranges are read by Arrow's file systems (local, HDFS, S3, GCS), wherever the block's task runs. An empty file has one empty block.
+    """
+    step = width * block_tokens
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        step = width * block_tokens
+        from pyarrow import fs
+
         for b in rows:
-            for name, data in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                view = memoryview(data.as_buffer()) if data.is_valid else memoryview(b"")
-                for k in range(max(1, -(-len(view) // step))):
-                    yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([k], pa.int64()), pa.array([bytes(view[k * step:(k + 1) * step])], pa.binary())], ["file", "block", "data"])
+            for name, k, size in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
+                system, inner = fs.FileSystem.from_uri(name)
+                with system.open_input_file(inner) as f:
+                    f.seek(k * step)
+                    data = f.read(max(0, min(step, size - k * step)))
+                yield pa.RecordBatch.from_arrays([pa.array([name]), pa.array([k], pa.int64()), pa.array([data], pa.binary())], ["file", "block", "data"])
 
-    return spark.read.format("binaryFile").load(path).select("path", "content").mapInArrow(run, "file string, block long, data binary")
+    files = spark.read.format("binaryFile").load(path).select("path", "length")
+    last = F.greatest(F.lit(0), F.ceil(F.col("length") / F.lit(step)) - 1)
+    ranges = files.select("path", F.explode(F.sequence(F.lit(0).cast("long"), last.cast("long"))).alias("block"), "length")
+    return ranges.repartition("path", "block").mapInArrow(run, "file string, block long, data binary")
 
 
 def _scan(data: bytes | None, dtype: str, end_id: int) -> tuple[int, np.ndarray]:
@@ -45,33 +55,36 @@ def _scan(data: bytes | None, dtype: str, end_id: int) -> tuple[int, np.ndarray]
 
 
 def scan_separators(blocks: DataFrame, *, end_id: int, width: int = 2) -> DataFrame:
-    """(file, ordinal, start, n_tokens, ended): one row per document of each file, in the file's order."""
-    dtype = {2: "<u2", 4: "<u4"}[width]
+    """(file, ordinal, start, n_tokens, ended): one row per document of each file, in the file's order.
+
+    Blocks that know which documents end in them (``doc_ids``) give doc_id as well.
+    """
+    dtype, names = {2: "<u2", 4: "<u4"}[width], ["file", "block", "data", *(["doc_ids"] if "doc_ids" in blocks.columns else [])]
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in rows:
             found = [_scan(x, dtype, end_id) for x in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([n for n, _ in found], pa.int64()), pa.array([p.tolist() for _, p in found], pa.list_(pa.int64()))], ["file", "block", "size", "places"])
+            offsets = pa.array(np.cumsum([0, *(len(p) for _, p in found)]), pa.int32())
+            places = pa.ListArray.from_arrays(offsets, pa.array(np.concatenate([p for _, p in found]) if found else np.zeros(0, np.int64)))
+            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([n for n, _ in found], pa.int64()), places, *b.columns[3:]], ["file", "block", "size", "places", *names[3:]])
 
-    return stitched(blocks.select("file", "block", "data").mapInArrow(run, "file string, block long, size long, places array<long>"))
+    return stitched(blocks.select(*names).mapInArrow(run, "file string, block long, size long, places array<long>" + ", doc_ids array<long>" * (len(names) - 3)))
 
 
 def stitched(scanned: DataFrame) -> DataFrame:
     """Documents from (file, block, size, places of separators within the block): the prefix scan."""
     by = Window.partitionBy("file").orderBy("block")
-    n = F.size("places")
     before = by.rowsBetween(Window.unboundedPreceding, -1)
-    with_start = scanned.withColumn("at", F.coalesce(F.sum("size").over(before), F.lit(0))).withColumn("seen", F.coalesce(F.sum(n).over(before), F.lit(0)))
+    n = F.size("places")
     last = F.when(n > 0, F.col("at") + F.element_at("places", -1))
-    carried = (
-        with_start.withColumn("since", F.coalesce(F.last(last, ignorenulls=True).over(before) + 1, F.lit(0)))
-        .withColumn("final", F.lead("block").over(by).isNull())
-        .withColumn("docs", F.transform("places", lambda p, i: F.struct((F.col("seen") + i).alias("ordinal"), F.when(i == 0, F.col("since")).otherwise(F.col("at") + F.element_at("places", F.greatest(i, F.lit(1))) + 1).alias("start"), (F.col("at") + p).alias("stop"), F.lit(True).alias("ended"))))
-    )
-    tail = F.when(n > 0, last + 1).otherwise(F.col("since"))
-    stop = F.col("at") + F.col("size")
-    rest = F.when(F.col("final") & (stop > tail), F.array(F.struct((F.col("seen") + n).alias("ordinal"), tail.alias("start"), stop.alias("stop"), F.lit(False).alias("ended")))).otherwise(F.array().cast("array<struct<ordinal:bigint,start:bigint,stop:bigint,ended:boolean>>"))
-    return carried.select("file", F.explode(F.concat("docs", rest)).alias("d")).select("file", F.col("d.ordinal").alias("ordinal"), F.col("d.start").alias("start"), (F.col("d.stop") - F.col("d.start")).alias("n_tokens"), F.col("d.ended").alias("ended"))
+    summed = scanned.withColumns({"at": F.coalesce(F.sum("size").over(before), F.lit(0)), "seen": F.coalesce(F.sum(n).over(before), F.lit(0)).cast("long"), "final": F.lead("block").over(by).isNull()})
+    carried = summed.withColumn("since", F.coalesce(F.last(last, ignorenulls=True).over(before) + 1, F.lit(0)))
+    owner = [F.element_at("doc_ids", F.col("i") + 1).alias("doc_id")] if "doc_ids" in scanned.columns else []
+    start = F.when(F.col("i") == 0, F.col("since")).otherwise(F.col("at") + F.element_at("places", F.greatest(F.col("i"), F.lit(1))) + 1)
+    ended = carried.select("*", F.posexplode("places").alias("i", "p")).select("file", (F.col("seen") + F.col("i")).alias("ordinal"), start.alias("start"), (F.col("at") + F.col("p") - start).alias("n_tokens"), F.lit(True).alias("ended"), *owner)
+    tail, stop = F.when(n > 0, last + 1).otherwise(F.col("since")), F.col("at") + F.col("size")
+    open_ = carried.where(F.col("final") & (stop > tail)).select("file", (F.col("seen") + n).alias("ordinal"), tail.alias("start"), (stop - tail).alias("n_tokens"), F.lit(False).alias("ended"), *([F.lit(None).cast("long").alias("doc_id")] if owner else []))
+    return ended.unionByName(open_)
 
 
 def flat_blocks(df: DataFrame, path: str, *, end_id: int, width: int = 2, block_tokens: int = 1 << 16, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -84,7 +97,7 @@ def flat_blocks(df: DataFrame, path: str, *, end_id: int, width: int = 2, block_
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from localfreq.llm.bpe import ByteBpe
 
-        bpe, dtype, step = ByteBpe(path, special_as_text=True), {2: np.dtype("<u2"), 4: np.dtype("<u4")}[width], width * block_tokens
+        bpe, end, step = ByteBpe(path, special_as_text=True, packed=width), end_id.to_bytes(width, "little"), width * block_tokens
         name, block, rest, owners = f"part-{TaskContext.get().partitionId():06d}", 0, bytearray(), []  # owners: (end in rest, id)
 
         def out(data: bytes, ids: list) -> pa.RecordBatch:
@@ -92,8 +105,7 @@ def flat_blocks(df: DataFrame, path: str, *, end_id: int, width: int = 2, block_
 
         for b in batches(rows):
             for i, t in zip(b.column(0).to_pylist(), texts_of(b.column(1)), strict=True):
-                ids = np.fromstring(bpe.encode(t)[1].decode(), dtype=np.int64, sep=",") if t else np.zeros(0, np.int64)
-                rest += np.append(ids, end_id).astype(dtype).tobytes()
+                rest += bpe.encode(t)[1] + end
                 owners.append((len(rest), i))
                 while len(rest) >= step:
                     k = sum(e <= step for e, _ in owners)
@@ -112,20 +124,4 @@ def op9_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
 
     end = 50256
     blocks = flat_blocks(read_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"), end_id=end)
-
-    def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in rows:
-            found = [_scan(x, "<u2", end) for x in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array([n for n, _ in found], pa.int64()), pa.array([p.tolist() for _, p in found], pa.list_(pa.int64())), b.column(3)], ["file", "block", "size", "places", "doc_ids"])
-
-    by = Window.partitionBy("file").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
-    n = F.size("places")
-    scanned = blocks.mapInArrow(run, "file string, block long, size long, places array<long>, doc_ids array<long>")
-    carried = (
-        scanned.withColumn("at", F.coalesce(F.sum("size").over(by), F.lit(0)))
-        .withColumn("seen", F.coalesce(F.sum(n).over(by), F.lit(0)))
-        .withColumn("since", F.coalesce(F.last(F.when(n > 0, F.col("at") + F.element_at("places", -1)), ignorenulls=True).over(by) + 1, F.lit(0)))
-    )
-    rows = carried.select("file", "at", "seen", "since", "places", "doc_ids", F.posexplode("places").alias("i", "p"))
-    start = F.when(F.col("i") == 0, F.col("since")).otherwise(F.col("at") + F.element_at("places", F.greatest(F.col("i"), F.lit(1))) + 1)
-    return rows.select(F.element_at("doc_ids", F.col("i") + 1).alias("doc_id"), "file", (F.col("seen") + F.col("i")).alias("ordinal"), start.alias("start"), (F.col("at") + F.col("p") - start).alias("n_tokens"))
+    return scan_separators(blocks, end_id=end).where("ended").select("doc_id", "file", "ordinal", "start", "n_tokens")

@@ -130,6 +130,7 @@ def test_packing_rows(spark):
 @pytest.mark.parametrize("step", [1, 3, 1000])
 def test_separator_scan_of_files(spark, tmp_path, step):
     docs = [[[5, 6], [], [7] * 9, [1]], [[2]], []]
+    (tmp_path / "f3.bin").write_bytes(b"")
     for i, d in enumerate(docs):
         flat = [x for doc in d for x in [*doc, 9]] + ([4, 4] if i == 1 else [])
         (tmp_path / f"f{i}.bin").write_bytes(np.array(flat, "<u2").tobytes())
@@ -151,3 +152,26 @@ def test_counts_of_documents(spark):
     tok.encode_special_tokens = True
     got = {r["ordinal"]: r["n_tokens"] for r in tokencount.scan_separators(blocks, end_id=50256).collect()}
     assert got == {i: len(tok.encode(r["text"] or "", add_special_tokens=False).ids) for i, r in enumerate(rows.collect())}
+
+
+def test_token_count_query(spark):
+    """The registered query on a whole table against the library, and its places against a running sum."""
+    got = tokencount.op9_token_counts(spark, "/root/testdata/sf0.001").collect()
+    tok = load_tokenizer(BYTE)
+    tok.encode_special_tokens = True
+    rows = spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()
+    assert sorted((r["doc_id"], r["n_tokens"]) for r in got) == sorted((r["doc_id"], len(tok.encode(r["text"] or "", add_special_tokens=False).ids)) for r in rows)
+    for name in {r["file"] for r in got}:
+        at = 0
+        for i, r in enumerate(sorted((x for x in got if x["file"] == name), key=lambda x: x["ordinal"])):
+            assert (r["ordinal"], r["start"]) == (i, at)
+            at += r["n_tokens"] + 1
+
+
+def test_token_counts_of_odd_tables(spark, tmp_path):
+    rows = [(None, "a b", "x"), (3, None, "y"), (3, None, "y"), (4, "word " * 200_000, "z")]
+    spark.createDataFrame(rows, "doc_id long, text string, file string").write.parquet(f"{tmp_path}/a/documents.parquet")
+    got = tokencount.op9_token_counts(spark, f"{tmp_path}/a").collect()
+    assert sorted(r["n_tokens"] for r in got)[:3] == [0, 0, 2] and max(r["n_tokens"] for r in got) >= 200_000
+    spark.createDataFrame([], "doc_id long, text string").write.parquet(f"{tmp_path}/b/documents.parquet")
+    assert tokencount.op9_token_counts(spark, f"{tmp_path}/b").count() == 0
