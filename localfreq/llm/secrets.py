@@ -42,9 +42,10 @@ _PARTS = {
 }
 _NOT_SECRET = re.compile(r"^(?:true|false|null|none|nil|undefined|yes|no|example\w*|change_?me|placeholder|your\w*|x{3,}|\*{3,}|<.*>|\$\{.*\}|\{\{.*\}\})$", re.IGNORECASE)
 _WORDS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+")
-#: A name read backwards from its operator. Neither this nor a quoted value runs past the next operator or quote of its kind, so unbounded lengths cost one scan.
+#: A name read backwards from its operator. Neither this nor a quoted value runs past the next operator or quote of its kind, so unbounded lengths cost one scan;
+#: a value without quotes has at most eight operators inside, each of which begins a pair of its own.
 _NAME = re.compile(r"\n?[ \t]*+\]?[\"']?([A-Za-z0-9_.-]*[A-Za-z_])")
-_VALUE = re.compile(r"[>=]?[ \t]*+(?:\"((?:[^\"\\\n]++|\\.)++)\"|'((?:[^'\\\n]++|\\.)++)'|([^\s,;\"'#(){}\[\]]+))")
+_VALUE = re.compile(r"[>=]?[ \t]*+(?:\"((?:[^\"\\\n]++|\\.)++)\"|'((?:[^'\\\n]++|\\.)++)'|(?=[^\s,;\"'#(){}\[\]])((?:[^\s,;\"'#(){}\[\]=:]*+[=:]){0,8}[^\s,;\"'#(){}\[\]=:]*+))")
 _OPERATOR = re.compile(r"[:=]")
 _BASE_HINTS = ("passw", "secret", "token", "api")
 

@@ -7,6 +7,7 @@ import zlib
 import numpy as np
 import pyarrow as pa
 import pytest
+from pyspark.sql import functions as F
 
 from localfreq.llm import bradleyterry, secrets, simjoin, toxicity, urlfilter
 
@@ -69,8 +70,6 @@ def test_url_rules(spark):
 def test_url_trees_learn(spark):
     rows = [(f"https://h{i}.example.{'bad' if i % 3 == 0 else 'good'}/p/{i}", float(i % 3 == 0)) for i in range(300)]
     df = spark.createDataFrame(rows, "url string, label double")
-    from pyspark.sql import functions as F
-
     host, path = urlfilter.host_and_path(F.col("url"))
     x = df.select("label", *(c.alias(k) for k, c in urlfilter.features(F.col("url"), host, path).items()))
     trees = urlfilter.UrlTrees(trees=3).fit(x)
@@ -106,6 +105,15 @@ def test_gradients_match_differences():
     tape: dict = {}
     net.forward(net.gates(rows), first, size, tape)
     grads = net.backward(tape, weigh.astype(np.float32), net.embed(rows))
+    by_word = grads.pop("x") * tape["mask"][:, :, None]
+    word = rows[0, 0]
+    net.tables = [t.astype(np.float64) for t in net.tables]
+    net.tables[0][word, 1] += 1e-3
+    up = f()
+    net.tables[0][word, 1] -= 2e-3
+    down = f()
+    net.tables[0][word, 1] += 1e-3
+    assert by_word[:, :, 1][rows[tape["at"], 0] == word].sum() == pytest.approx((up - down) / 2e-3, rel=0.05, abs=2e-3)
     for k, p in net.p.items():
         i = tuple(rng.integers(0, n) for n in p.shape)
         old, e = p[i], 1e-2
@@ -176,3 +184,42 @@ def simjoin_sets(text):
 
 def similar(a, b):
     return bool(a) and 100 * len(a & b) >= 80 * len(a | b)
+
+
+def test_training_sets_are_bounded_and_read_long_texts(spark):
+    """Rows, not ids, are bounded; long texts train by their windows; score columns replace those of their name."""
+    long = " ".join(["plain"] * 3000 + ["vile"] * 50 + ["plain"] * 3000)
+    rows = [(i % 4, ("vile words here " if i % 2 else "plain words here ") * 3, 0.5) for i in range(80)] + [(9, long, 0.5)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, toxicity_score double").withColumn("quality_score", F.lit("x"))
+    labels = spark.createDataFrame([(i, i % 2, i % 2) for i in range(10)], "doc_id long, quality int, toxic int")
+    net = toxicity.fit_toxicity(docs, labels, sample=20, clean=10)
+    scored = toxicity.score_toxicity(docs, net)
+    assert scored.columns.count("toxicity_score") == 1 and scored.schema["quality_score"].dataType.simpleString() == "string"
+    got = {r["text"]: r["toxicity_score"] for r in scored.collect()}
+    assert got[rows[1][1]] > got[rows[0][1]] and got[long] > got[rows[0][1]]
+    assert bradleyterry.score_quality(docs, bradleyterry.fit_ranker(docs, labels, sample=30)).columns.count("quality_score") == 1
+    words = np.arange(6050 * 3).reshape(-1, 3)
+    assert len(toxicity._spread(words, 480)) == 480 and toxicity._spread(words[:100], 480).shape == (100, 3)
+
+
+def test_filters_on_empty_tables(spark, tmp_path):
+    spark.createDataFrame([], "doc_id long, text string, lang string, source string, n_chars long").write.parquet(f"{tmp_path}/documents.parquet")
+    spark.createDataFrame([], "doc_id long, quality int, toxic int").write.parquet(f"{tmp_path}/labels.parquet")
+    spark.createDataFrame([], "page_id long, url string, html string").write.parquet(f"{tmp_path}/pages.parquet")
+    import corpus_pipeline
+
+    for f in (bradleyterry.op1_quality_scores, toxicity.op6_toxicity, secrets.op10_secret_scans, urlfilter.op8_url_filters, corpus_pipeline.run):
+        assert f(spark, str(tmp_path)).count() == 0, f
+
+
+def test_scans_of_long_texts():
+    """Cost grows with the text: many assignments, long values, long runs of operators."""
+    import time
+
+    lines = "\n".join(f"k{i} = 'v{i}'\npassword = 'Abcdef12345{i}'" for i in range(20_000))
+    for text in (lines, "a=" * 100_000, "=" * 200_000, 'x = "' + "y" * 500_000, "AKIA" * 100_000):
+        start = time.time()
+        secrets.find_spans(text)
+        assert time.time() - start < 20
+    assert secrets.find_spans('db_pwd = "' + "aB3$" * 1200 + '"')[1] == [(10, 3, 4810)]
+    assert len(secrets.find_spans("secret_" + "n" * 200 + ' = "Q7x!92kdLw0"')[1]) == 1
