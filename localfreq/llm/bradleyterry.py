@@ -109,24 +109,24 @@ class PairRanker:
 
 
 def fit_ranker(documents: DataFrame, labels: DataFrame, *, sample: int = 6000) -> PairRanker:
-    """A ranker from at most ``sample`` labelled documents that are not held out."""
+    """A ranker from at most ``sample`` rows of labelled documents that are not held out, repeated ids included."""
     known = labels.where("quality is not null and doc_id is not null").where(F.crc32(F.col("doc_id").cast("string")) % 3 != 1)
     chosen = known.groupBy("doc_id").agg(F.max("quality").alias("quality")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(sample)
-    rows = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("text", F.col("quality").cast("int").alias("quality"))
+    rows = documents.select("doc_id", "text").join(F.broadcast(chosen), "doc_id").select("doc_id", "text", F.col("quality").cast("int").alias("quality"))
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches(batches_in, 1 << 20):
-            x = text_features(b.column(0))
-            yield pa.RecordBatch.from_arrays([pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), x.shape[1]).cast(pa.list_(pa.float64())), b.column(1)], ["x", "quality"])
+            x = text_features(b.column(1))
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.FixedSizeListArray.from_arrays(pa.array(x.ravel()), x.shape[1]).cast(pa.list_(pa.float64())), b.column(2)], ["doc_id", "x", "quality"])
 
-    got = rows.mapInArrow(run, "x array<double>, quality int").toArrow()
-    order = np.lexsort((got.column(1).to_numpy(), np.array([hash(tuple(v)) for v in got.column(0).to_pylist()])))
-    x = np.array(got.column(0).to_pylist(), float).reshape(-1, len(FEATURES))
-    return PairRanker().fit(x[order], got.column(1).to_numpy()[order])
+    got = rows.mapInArrow(run, "doc_id long, x array<double>, quality int").orderBy(F.xxhash64("doc_id"), "doc_id", "x").limit(sample).toArrow()
+    x = np.array(got.column(1).to_pylist(), float).reshape(-1, len(FEATURES))
+    return PairRanker().fit(x, got.column(2).to_numpy())
 
 
 def score_quality(df: DataFrame, ranker: PairRanker) -> DataFrame:
-    """``df`` with a column ``quality_score``; narrow, all other columns stay."""
+    """``df`` with a column ``quality_score``, in place of one of that name; narrow, all other columns stay."""
+    df = df.drop("quality_score")
     at = df.columns.index("text")
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

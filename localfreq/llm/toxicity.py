@@ -1,12 +1,13 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling, trained in numpy.
 
 A text's words (letters and digits, lower case) are read in windows of ``WINDOW`` words, each half over the last. A
-word's input joins a word part and character parts (its first and last characters): hashed rows of an embedding whose
-first channel holds the smoothed log-odds of the row among the training documents and whose other channels are fixed random
-numbers. Forward and backward gated recurrent units read a window, attention weighs their states, and a linear layer gives the window's
+word's input joins a word part and character parts (its first and last characters): hashed rows of embeddings whose
+first channel holds the smoothed log-odds of the row among the training documents and whose other channels start as random
+numbers and are trained with the network. Forward and backward gated recurrent units read a window, attention weighs their states, and a linear layer gives the window's
 logit. A document's logit is the largest of all its windows; training follows that window (multiple-instance learning).
 
-At most ``sample`` toxic and ``clean`` other labelled documents train the model, of at most ``most_chars`` characters each. Scoring reads all
+At most ``sample`` toxic and ``clean`` other labelled rows train the model; of texts of more than ``most_words`` words,
+evenly spread windows of that many words in all do. Scoring reads all
 windows of every whole text, in blocks of fixed size, without a shuffle.
 
 Null and empty texts and texts without words score as the least suspicious window would. Without labels of both kinds all
@@ -159,9 +160,20 @@ class AttentiveGru:
         x = inputs[tape["at"]] * mask[:, :, None]
         dgates *= mask[:, :, None]
         g["w"] = np.einsum("tnc,tng->cg", x, dgates)
+        g["x"] = dgates @ self.p["w"].T
         g["b"] = dgates.sum(axis=(0, 1))
         return g
 
+    def _train_tables(self, rows: np.ndarray, grads: np.ndarray, moved: list[np.ndarray], rate: float = 0.02) -> None:
+        """One step of the embeddings of the words read, each channel by the size of its gradients so far; log-odds stay."""
+        c = 1 + _RANDOM
+        for i, t in enumerate(self.tables):
+            at, back = np.unique(rows[:, :, i], return_inverse=True)
+            g = np.zeros((len(at), _RANDOM), np.float32)
+            np.add.at(g, back.ravel(), grads[:, :, i * c + 1:(i + 1) * c].reshape(-1, _RANDOM))
+            moved[i][at] += g * g
+            t[at, 1:] -= rate * g / np.sqrt(moved[i][at])
+
     def logits(self, rows: np.ndarray, many: np.ndarray, block: int = 2048) -> np.ndarray:
         """The largest logit over all windows of each document; -20 without words."""
         first, size, doc = windows_of(many)
@@ -194,6 +206,7 @@ class AttentiveGru:
             self.constant = float(label.mean())
             return self
         m, v = ({k: np.zeros_like(x) for k, x in self.p.items()} for _ in range(2))
+        moved = [np.full((len(t), _RANDOM), 1e-6, np.float32) for t in self.tables]
         for step in range(1, steps + 1):
             chosen = np.concatenate([rng.choice(u, batch // 2) for u in usable])
             rows, many = np.concatenate([docs[i] for i in chosen]), np.array([len(docs[i]) for i in chosen])
@@ -206,6 +219,7 @@ class AttentiveGru:
             x = self.forward(gates, first[top], size[top], tape)
             y = label[chosen][doc[top]]
             grads = self.backward(tape, ((_sigmoid(x) - y) / len(y)).astype(np.float32), self.embed(rows))
+            self._train_tables(rows[tape["at"]], grads.pop("x") * tape["mask"][:, :, None], moved)
             for k, gr in grads.items():
                 gr = np.clip(gr + 1e-4 * self.p[k], -1, 1)
                 m[k] = 0.9 * m[k] + 0.1 * gr
@@ -220,31 +234,42 @@ class AttentiveGru:
         return self
 
 
-def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500, clean: int = 4000, most_chars: int = 20_000) -> AttentiveGru:
-    """A network from at most ``sample`` toxic and ``clean`` other labelled documents that are not held out."""
+def _spread(rows: np.ndarray, most_words: int) -> np.ndarray:
+    """The words' rows of one text, or of evenly spread windows of ``most_words`` words in all."""
+    if len(rows) <= most_words:
+        return rows
+    first = np.linspace(0, len(rows) - WINDOW, most_words // WINDOW).astype(np.int64)
+    return rows[(first[:, None] + np.arange(WINDOW)).ravel()]
+
+
+def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500, clean: int = 4000, most_words: int = 4800) -> AttentiveGru:
+    """A network from at most ``sample`` toxic and ``clean`` other labelled rows that are not held out, repeated ids included."""
     known = labels.where("toxic is not null and doc_id is not null").where(F.crc32(F.col("doc_id").cast("string")) % 4 != 2).groupBy("doc_id").agg(F.max("toxic").cast("int").alias("toxic"))
     chosen = [known.where(F.col("toxic") == y).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n) for y, n in ((0, clean), (1, sample))]
-    rows = documents.select("doc_id", "text").where(F.length("text") <= most_chars).join(F.broadcast(chosen[0].unionByName(chosen[1])), "doc_id").select("doc_id", "text", "toxic")
+    rows = documents.select("doc_id", "text").join(F.broadcast(chosen[0].unionByName(chosen[1])), "doc_id").select("doc_id", "text", "toxic")
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches(batches_in, 1 << 20):
             rows, doc = word_inputs(*string_bytes(b.column(1)))
-            many = np.bincount(doc, minlength=b.num_rows)
-            offsets = pa.array(np.concatenate([[0], np.cumsum(many)]) * 3, pa.int32())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, pa.array(rows.ravel())), b.column(2)], ["doc_id", "rows", "toxic"])
-
-    got = rows.mapInArrow(run, "doc_id long, rows array<int>, toxic int").toArrow().combine_chunks()
-    ids, label = got.column(0).to_numpy(), got.column(2).to_numpy()
-    lists = got.column(1)
+            bounds = np.searchsorted(doc, np.arange(b.num_rows + 1))
+            parts = [_spread(rows[i:j], most_words) for i, j in zip(bounds[:-1], bounds[1:], strict=True)]
+            offsets = pa.array(np.cumsum([0, *map(len, parts)]) * 3, pa.int32())
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.ListArray.from_arrays(offsets, pa.array(np.concatenate(parts).ravel())), b.column(2)], ["doc_id", "rows", "toxic"])
+
+    read = rows.mapInArrow(run, "doc_id long, rows array<int>, toxic int")
+    order = [F.xxhash64("doc_id"), "doc_id", F.xxhash64("rows")]
+    got = read.where("toxic = 0").orderBy(*order).limit(clean).unionByName(read.where("toxic = 1").orderBy(*order).limit(sample)).toArrow().combine_chunks()
+    label, lists = got.column(2).to_numpy(), got.column(1)
     docs = [np.asarray(lists[i].values.to_numpy(zero_copy_only=False), np.int32).reshape(-1, 3) for i in range(len(lists))]
-    order = np.lexsort((np.array([len(d) for d in docs]), ids))
+    order = np.lexsort((np.array([len(d) for d in docs]), got.column(0).to_numpy()))
     return AttentiveGru().fit([docs[i] for i in order], label[order].astype(np.float32))
 
 
 def score_toxicity(df: DataFrame, model: AttentiveGru) -> DataFrame:
-    """``df`` with a column ``toxicity_score``; narrow, all other columns stay."""
+    """``df`` with a column ``toxicity_score``, in place of one of that name; narrow, all other columns stay."""
     from pyspark.sql.types import DoubleType, StructType
 
+    df = df.drop("toxicity_score")
     at = df.columns.index("text")
     shared = df.sparkSession.sparkContext.broadcast(model)  # of fixed size
 
