@@ -45,13 +45,18 @@ def prune_by_subsets(candidates: DataFrame, level: DataFrame, k: int) -> DataFra
     return candidates.join(full, "pattern", "left_semi")
 
 
-def extend_occurrences(occ: DataFrame, candidates: DataFrame) -> DataFrame:
+def extend_occurrences(occ: DataFrame, candidates: DataFrame, *, narrow: bool = False) -> DataFrame:
     """Occurrences (prefix, last, pattern, t) of the candidates from those (prefix, last, t) of the level below.
 
     Times are intersected by joining on (prefix, t); candidates keep only what may be dense. No item's times are ever one array.
+    ``narrow`` first drops occurrences of patterns that no candidate is made of: worth its two joins once candidates are pruned.
     """
     a = occ.select(F.col("prefix").alias("p"), F.col("last").alias("a"), "t")
     b = occ.select(F.col("prefix").alias("p"), F.col("last").alias("b"), "t")
+    if narrow:
+        a = a.withColumn("of", joined(F.col("p"), F.col("a"))).join(candidates.select(F.col("prefix").alias("of")).distinct(), "of", "left_semi").drop("of")
+        uppers = candidates.select(joined(F.array_join(F.slice(items_of(F.col("prefix")), 1, F.greatest(F.size(items_of(F.col("prefix"))) - 1, F.lit(0))), "|"), F.col("last")).alias("of")).distinct()
+        b = b.withColumn("of", joined(F.col("p"), F.col("b"))).join(uppers, "of", "left_semi").drop("of")
     pairs = a.join(b, ["p", "t"]).where("a < b").select(joined(F.col("p"), F.col("a")).alias("prefix"), F.col("b").alias("last"), "t")
     return pairs.join(candidates.select("prefix", "last", "pattern"), ["prefix", "last"])
 

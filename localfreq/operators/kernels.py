@@ -11,7 +11,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-__all__ = ["KERNELS", "keep_position", "scan_by_pattern", "scan_every", "scan_skip", "skip_profile"]
+__all__ = ["KERNELS", "keep_position", "scan_by_pattern", "scan_every", "scan_skip", "skip_positions", "skip_profile"]
 
 _CHUNK = 1 << 20
 
@@ -101,8 +101,8 @@ def scan_by_pattern(occ: DataFrame, width: int, sigma: int, *, t_max: int, kerne
     return occ.groupBy("pattern").cogroup(named.groupBy("of")).applyInPandas(both, schema)
 
 
-def skip_profile(occ: DataFrame, width: int, sigma: int) -> DataFrame:
-    """(pattern, n_dense, mean_surplus, mean_stride) over occurrences that start a dense window.
+def skip_positions(occ: DataFrame, width: int, sigma: int) -> DataFrame:
+    """(pattern, t, c, keep) of occurrences that start a dense window.
 
     The window at occurrence i holds c occurrences; the scan may go on after the first of the last sigma, which is c - sigma places on.
     """
@@ -113,5 +113,10 @@ def skip_profile(occ: DataFrame, width: int, sigma: int) -> DataFrame:
     curve = occ.select("pattern", "t", F.row_number().over(by).alias("i"), count.alias("c"))
     dense = curve.where(F.col("c") >= sigma).withColumn("j", F.col("i") + F.col("c") - sigma)
     kept = curve.select("pattern", F.col("i").alias("j"), F.col("t").alias("keep"))
-    joined = dense.join(kept, ["pattern", "j"])
+    return dense.join(kept, ["pattern", "j"]).select("pattern", "t", "c", "keep")
+
+
+def skip_profile(occ: DataFrame, width: int, sigma: int) -> DataFrame:
+    """(pattern, n_dense, mean_surplus, mean_stride) over occurrences that start a dense window."""
+    joined = skip_positions(occ, width, sigma)
     return joined.groupBy("pattern").agg(F.count(F.lit(1)).alias("n_dense"), F.round(F.avg(F.col("c") - sigma), 6).alias("mean_surplus"), F.round(F.avg(F.col("keep") + 1 - F.col("t")), 6).alias("mean_stride"))

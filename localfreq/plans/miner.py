@@ -21,32 +21,38 @@ def level_wise(occ: DataFrame, keep: Callable[[DataFrame, int], DataFrame], k_ma
     """(k, occurrences, kept) level by level from OCC of single items.
 
     ``keep(occurrences, k)`` gives a frame with the column ``pattern`` whose patterns go on; it must be safe: a superset of a dropped
-    pattern is dropped as well. ``trim`` may remove occurrences that cannot help a larger pattern. Each level is checkpointed, so
-    lineage stays short; the driver sees one emptiness test a level.
+    pattern is dropped as well. ``trim`` may remove occurrences that cannot help a larger pattern. A level's occurrences are made once
+    and held while ``keep`` and ``trim`` read them; what stays is checkpointed, so lineage stays short. The driver sees one emptiness test a level.
     """
-    level = occ.select(F.lit("").alias("prefix"), F.col("pattern").alias("last"), "pattern", "t")
+    level = occ.select(F.lit("").alias("prefix"), F.col("pattern").alias("last"), "pattern", "t").persist()
     k = 1
     while k_max is None or k <= k_max:
         kept = checkpointed(keep(level, k))
         if counters is not None:
             counters.append({"level": k, "kept": kept.select("pattern").distinct().count()})
         if kept.isEmpty():
+            level.unpersist()
             return
-        names = kept.select("pattern").distinct()
-        level = level.join(names, "pattern", "left_semi")
+        made = level
+        level = made.join(kept.select("pattern").distinct(), "pattern", "left_semi")
         if trim is not None:
             level = trim(level, kept)
+        if k == k_max:  # nobody extends this level: its occurrences are made again only if they are asked for
+            made.unpersist()
+            yield k, level, kept
+            return
         level = checkpointed(level)
+        made.unpersist()
         yield k, level, kept
-        if k == k_max:
-            return
         shape = level.select("prefix", "last").distinct()
         generated = join_candidates(shape)
         candidates = prune_by_subsets(generated, shape, k + 1)
+        if k > 1:
+            candidates = checkpointed(candidates)
         if counters is not None:
             n = generated.count()
             counters[-1] |= {"generated": n, "pruned_subset": n - candidates.count()}
-        level = extend_occurrences(level, candidates)
+        level = extend_occurrences(level, candidates, narrow=k > 1).persist()
         k += 1
 
 

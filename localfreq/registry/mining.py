@@ -79,18 +79,18 @@ def profile_dataset(spark, d):
 
 # --- support and detection
 
-@query(f"{base()}, w as (select pattern, l from (select distinct pattern from occ) p cross join (select unnest(range(0, tmax, 500)) as l from tm) g) select w.pattern, w.l, count(occ.t) as sup from w left join occ on occ.pattern = w.pattern and occ.t between w.l and w.l + 250 group by 1, 2")
+@query(f"{base()}, w as (select pattern, l from (select distinct pattern from occ) p cross join (select unnest(range(0, tmax + 1, 250)) as l from tm) g) select w.pattern, w.l, count(occ.t) as sup from w left join occ on occ.pattern = w.pattern and occ.t between w.l and w.l + 250 group by 1, 2")
 def interval_support(spark, d):
     occ, t_max = occurrences(spark, d, "brand")
-    windows = occ.select("pattern").distinct().crossJoin(F.broadcast(spark.range(0, t_max, 500).select(F.col("id").alias("l"))))
+    windows = occ.select("pattern").distinct().crossJoin(F.broadcast(spark.range(0, t_max + 1, 250).select(F.col("id").alias("l"))))
     return detect.interval_support(occ, windows, 250)
 
 
-@query(f"{base()}, w as (select pattern, l from (select distinct pattern from occ) p cross join (select unnest(range(0, tmax, 500)) as l from tm) g), c as (select w.pattern, w.l, count(occ.t) as sup from w left join occ on occ.pattern = w.pattern and occ.t between w.l and w.l + 250 group by 1, 2) select pattern, l, sup, cast(sup >= 38 as integer) as is_dense from c")
+@query(f"{base()}, c as (select pattern, t as l, count(*) over (partition by pattern order by t range between current row and 250 following) as sup from occ) select pattern, l, sup, cast(sup >= 38 as integer) as is_dense from c")
 def dense_windows(spark, d):
-    occ, t_max = occurrences(spark, d, "brand")
-    windows = occ.select("pattern").distinct().crossJoin(F.broadcast(spark.range(0, t_max, 500).select(F.col("id").alias("l"))))
-    return detect.dense_windows(occ, windows, 250, 38)
+    """The windows at every occurrence."""
+    occ, _ = occurrences(spark, d, "brand")
+    return detect.dense_windows(occ, occ.select("pattern", F.col("t").alias("l")), 250, 38)
 
 
 @query(f"{base()} select a.pattern, a.t, count(*) as sup from occ a join occ b on b.pattern = a.pattern and b.t between a.t and a.t + 250 group by 1, 2")
@@ -159,24 +159,19 @@ def dense_intervals_events(spark, d):
     return detect.dense_intervals(occ, 60, 6)
 
 
+@query(f"with {_EVENTS.format(us=60_000_000, item='event_type')}, {brute('r', 'occ', 60, 10)} select pattern, s, e from r")
+def dense_intervals_events_60_10(spark, d):
+    return detect.dense_intervals(event_occurrences(spark, d, "event_type", 60), 60, 10)
+
+
 @query(f"with {_EVENTS.format(us=3_600_000_000, item='cast(user_id as varchar)')}, {brute('r', 'occ', 24, 5)} select pattern, s, e from r")
 def dense_intervals_users(spark, d):
     return detect.dense_intervals(event_occurrences(spark, d, "user_id", 3600), 24, 5)
 
 
-@query(f"{base()}, n as (select pattern, t, row_number() over (partition by pattern order by t) as i, count(*) over (partition by pattern order by t range between current row and 250 following) as c from occ), k as (select n.pattern, n.t, m.t as keep from n join n m on m.pattern = n.pattern and m.i = n.i + n.c - 55 where n.c >= 55) select pattern, t, keep from k")
+@query(f"{base()}, n as (select pattern, t, count(*) over (partition by pattern order by t range between current row and 250 following) as c from occ), k as (select pattern, t, c, lead(t, greatest(c - 55, 0)) over (partition by pattern order by t) as keep from n) select pattern, t, keep from k where c >= 55")
 def stride_skip_positions(spark, d):
-    import numpy as np
-    import pandas as pd
-
-    occ, _ = occurrences(spark, d, "brand")
-
-    def run(g: pd.DataFrame) -> pd.DataFrame:
-        times = np.sort(g["t"].to_numpy())
-        rows = [(g["pattern"].iloc[0], int(t), kernels.keep_position(times, int(t), 250, 55)) for t in times]
-        return pd.DataFrame([r for r in rows if r[2] is not None], columns=["pattern", "t", "keep"])
-
-    return occ.groupBy("pattern").applyInPandas(run, "pattern string, t long, keep long")
+    return kernels.skip_positions(occurrences(spark, d, "brand")[0], 250, 55).select("pattern", "t", "keep")
 
 
 @query(f"{base()}, n as (select pattern, t, row_number() over (partition by pattern order by t) as i, count(*) over (partition by pattern order by t range between current row and 250 following) as c from occ) select n.pattern, count(*) as n_dense, round(avg(n.c - 45), 6) as mean_surplus, round(avg(m.t + 1 - n.t), 6) as mean_stride from n join n m on m.pattern = n.pattern and m.i = n.i + n.c - 45 where n.c >= 45 group by 1")
@@ -197,6 +192,11 @@ def mine_dense_brand_k3(spark, d):
     return miner.mine_dense(transactions(spark, d, "brand"), 250, 14, k_max=3)
 
 
+@query(_mine_sql("brand", 250, 10, k=2))
+def mine_dense_brand_250_10(spark, d):
+    return miner.mine_dense(transactions(spark, d, "brand"), 250, 10, k_max=2)
+
+
 @query(_mine_sql("brand", 500, 24, k=2))
 def mine_dense_brand_500(spark, d):
     return miner.mine_dense(transactions(spark, d, "brand"), 500, 24, k_max=2)

@@ -319,11 +319,11 @@ def fn_array_subsets(spark, d):
     return tx.select("t", F.array_join(less, ";").alias("subsets"))
 
 
-@query(f"{base('type')}, b as (select t, list_sort(list(pattern)) as items from occ group by t), n as (select t, items, lead(items) over (order by t) as nxt, lead(t) over (order by t) as t2 from b) select t, len(list_intersect(items, nxt)) as common, len(list_filter(items, lambda x: not list_contains(nxt, x))) as gone from n where t2 = t + 1 and t % 50 = 0")
+@query(f"{base('type')}, b as (select t, list_sort(list(pattern)) as items from occ group by t), n as (select t, items, lead(items) over (order by t) as nxt, lead(t) over (order by t) as t2 from b) select t, len(list_intersect(items, nxt)) as common, len(list_filter(items, lambda x: not list_contains(nxt, x))) as gone from n where t2 = t + 1")
 def fn_array_setops(spark, d):
     tx = transactions(spark, d, "type").where(F.size("items") > 0)
     nxt = tx.select((F.col("t") - 1).alias("t"), F.col("items").alias("nxt"))
-    return tx.where(F.col("t") % 50 == 0).join(nxt, "t").select("t", F.size(F.array_intersect("items", "nxt")).cast("long").alias("common"), F.size(F.array_except("items", "nxt")).cast("long").alias("gone"))
+    return tx.join(nxt, "t").select("t", F.size(F.array_intersect("items", "nxt")).cast("long").alias("common"), F.size(F.array_except("items", "nxt")).cast("long").alias("gone"))
 
 
 @query(f"{base()}, g as (select pattern, t - lag(t) over (partition by pattern order by t) as gap from occ) select pattern, cast(sum(greatest(gap - 5, 0)) as bigint) as surplus from g group by 1")

@@ -34,8 +34,8 @@ def write_basket_lines(tx: DataFrame, path: str) -> None:
 
 
 def write_intervals(res: DataFrame, path: str) -> None:
-    """Results as Parquet by pattern length, sorted by pattern, so readers of one length or pattern skip the rest."""
-    res.repartition("len").sortWithinPartitions("pattern", "s").write.mode("overwrite").partitionBy("len").parquet(path)
+    """Results as Parquet by pattern length, sorted by pattern, so readers of one length or pattern skip the rest. Ranges of patterns, not lengths, are dealt to tasks."""
+    res.repartitionByRange("len", "pattern", "s").sortWithinPartitions("len", "pattern", "s").write.mode("overwrite").partitionBy("len").parquet(path)
 
 
 def round_trip(df: DataFrame, path: str, kind: str) -> DataFrame:
