@@ -22,24 +22,26 @@ def accuracy(spark, sf_dir: str, view: str = "brand", width: int = 250, sigma: i
 
     from localfreq.operators import metrics
     from localfreq.plans import baselines, grid
-    from localfreq.registry.accuracy import _two
+    from localfreq.registry.accuracy import _LOCAL_AXES, _SURPLUS_AXES, _two
+    from localfreq.session import checkpointed
     from localfreq.sources.tables import order_ranks, transactions
     from localfreq.workloads import reference
 
-    tx = transactions(spark, sf_dir, view)
-    ref, (occ, t_max) = reference(spark, sf_dir, view, width, sigma), _two(spark, sf_dir, view)
+    tx = checkpointed(transactions(spark, sf_dir, view))
+    ref, (occ, t_max) = checkpointed(reference(spark, sf_dir, view, width, sigma)), _two(spark, sf_dir, view)
+    occ = checkpointed(occ)
     ordinals = order_ranks(spark, sf_dir).select("t", F.col("t").alias("ord"))
     rows = {
         "frequent": metrics.score(baselines.mine_frequent(tx, sigma, k_max=2).where("len = 2"), ref, intervals=False),
         "periodic": grid.best(grid.grid_periodic(occ, ref, t_max, sigma, 900), ["max_per"]),
         "partial-periodic": grid.best(grid.grid_partial(occ, ref, t_max, sigma, 120), ["max_per", "min_pr"]),
-        "gap-local": grid.best(grid.grid_gap_local(occ, ref, ordinals, [1, 2, 3, 4, 5, 10], (10, 100, 15), (10, 400, 60)), ["local_sup", "max_gap", "min_dur"]),
-        "surplus-local": grid.best(grid.grid_surplus_local(tx, ref, [(p, d, s) for p in (30, 50) for s in (20, 60) for d in (105, 305, 505)]), ["max_per", "min_dur", "max_so_per"]),
+        "gap-local": grid.best(grid.grid_gap_local(occ, ref, ordinals, *_LOCAL_AXES)[1], ["local_sup", "max_gap", "min_dur"]),
+        "surplus-local": grid.best(grid.grid_surplus_local(occ, ref, *_SURPLUS_AXES)[1], ["max_per", "min_dur", "max_so_per"]),
         "recurring": grid.best(grid.grid_recurring(occ, ref, sigma, 250), ["max_per"]),
         "span": metrics.interval_scores(baselines.span_intervals(occ, ref), ref),
     }
     for name, df in rows.items():
-        print(name, df.first().asDict(), flush=True)
+        print(view, width, sigma, name, df.first().asDict(), flush=True)
 
 
 def scalability(spark, share: float, repeats: int) -> None:

@@ -2,12 +2,17 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from localfreq.operators.metrics import interval_scores
 from localfreq.plans.baselines import gap_runs, gap_stats, short_gaps
+from localfreq.session import checkpointed
 
 __all__ = ["best", "f1_by_setting", "grid_gap_local", "grid_partial", "grid_periodic", "grid_recurring", "grid_surplus_local", "values"]
 
@@ -57,6 +62,7 @@ def grid_partial(occ: DataFrame, ref: DataFrame, t_max: int, min_sup: int, high:
 
 def _with_intervals(pred: DataFrame, ref: DataFrame, params: list[str]) -> DataFrame:
     """Scores of (params, pattern, s, e) against a reference that is the same for every setting."""
+    pred = checkpointed(pred)
     n_ref = ref.select("pattern").distinct().count()
     counts = _marked(pred.select(*params, "pattern").distinct(), ref).groupBy(*params).agg(F.count(F.lit(1)).alias("n_pred"), F.sum("hit").cast("long").alias("n_common"))
     settings = pred.select(*params).distinct()
@@ -71,24 +77,91 @@ def grid_recurring(occ: DataFrame, ref: DataFrame, min_ps: int, high: int, step:
     return _with_intervals(pred, ref, ["max_per"])
 
 
-def grid_gap_local(occ: DataFrame, ref: DataFrame, ordinals: DataFrame, sups: list[int], gaps: tuple[int, int, int], durs: tuple[int, int, int]) -> DataFrame:
-    """(local_sup, max_gap, min_dur, …): sessions once per gap, then thresholds as rows."""
+def _top(rows: DataFrame) -> DataFrame:
+    """The settings that share the highest F1: at most as many rows as the grid has."""
+    return rows.join(F.broadcast(rows.agg(F.max("f1").alias("f1"))), "f1", "left_semi")
+
+
+def _counted(longest: DataFrame, ref: DataFrame, params: list[str], axis: str, low: int, high: int, step: int, grid: DataFrame) -> DataFrame:
+    """(params, axis, n_pred, n_common, f1): a pattern counts at all durations up to its longest interval ``d``, so one running sum from
+    the largest duration down gives the whole axis. ``grid`` holds all settings of the other parameters.
+    """
+    reach = F.least(F.lit(high), F.lit(low) + F.floor((F.col("d") - low) / F.lit(step)) * step).cast("long")
+    added = _marked(longest.where(F.col("d") >= low), ref).groupBy(*params, reach.alias(axis)).agg(F.count(F.lit(1)).alias("n"), F.sum("hit").alias("h"))
+    cells = grid.crossJoin(F.broadcast(values(longest, axis, low, high, step))).join(added, [*params, axis], "left")
+    by = Window.partitionBy(*params).orderBy(F.desc(axis)).rowsBetween(Window.unboundedPreceding, 0)  # over grid points
+    sums = cells.select(*params, axis, F.sum(F.coalesce("n", F.lit(0))).over(by).cast("long").alias("n_pred"), F.sum(F.coalesce("h", F.lit(0))).over(by).cast("long").alias("n_common"))
+    return f1_by_setting(sums.where("n_pred > 0"), ref.select("pattern").distinct().count())
+
+
+def grid_gap_local(occ: DataFrame, ref: DataFrame, ordinals: DataFrame, sups: list[int], gaps: tuple[int, int, int], durs: tuple[int, int, int]) -> tuple[DataFrame, DataFrame]:
+    """(all, top): F1 of every (local_sup, max_gap, min_dur), and the settings of the highest F1 with Jaccard and temporal precision.
+
+    Sessions once a gap. A session meets the support levels up to its own share, and durations up to its own, so no session is copied per
+    duration; intervals are compared for the best settings alone.
+    """
     spread = occ.select("pattern", "t").crossJoin(F.broadcast(values(occ, "max_gap", *gaps)))
-    runs = gap_runs(spread, F.col("max_gap"), keys=("max_gap", "pattern"), ordinals=ordinals)
-    sup = F.explode(F.array(*(F.lit(x).cast("long") for x in sups)))
-    both = runs.withColumn("local_sup", sup).where(F.col("n") * 100 >= F.col("local_sup") * F.col("n_tx")).crossJoin(F.broadcast(values(occ, "min_dur", *durs))).where(F.col("e") - F.col("s") >= F.col("min_dur"))
-    return _with_intervals(both.select("local_sup", "max_gap", "min_dur", "pattern", "s", "e"), ref, ["local_sup", "max_gap", "min_dur"])
-
-
-def grid_surplus_local(tx: DataFrame, ref: DataFrame, settings: list[tuple[int, int, int]], *, k_max: int = 2) -> DataFrame:
-    """(max_per, min_dur, max_so_per, …): one search per (max_per, max_so_per), whose sessions all durations share."""
-    from localfreq.plans.baselines import mine_surplus_local
-
-    out = None
-    for per, so in sorted({(p, s) for p, _, s in settings}):
-        durs = sorted({d for p, d, s in settings if (p, s) == (per, so)})
-        found = mine_surplus_local(tx, per, durs[0], so, k_max=k_max).where("len >= 2")
-        rows = found.withColumn("min_dur", F.explode(F.array(*(F.lit(d).cast("long") for d in durs)))).where(F.col("e") - F.col("s") >= F.col("min_dur"))
-        rows = rows.select(F.lit(per).cast("long").alias("max_per"), "min_dur", F.lit(so).cast("long").alias("max_so_per"), "pattern", "s", "e")
-        out = rows if out is None else out.unionByName(rows)
-    return _with_intervals(out, ref, ["max_per", "min_dur", "max_so_per"])
+    runs = checkpointed(gap_runs(spread, F.col("max_gap"), keys=("max_gap", "pattern"), ordinals=ordinals).where(F.col("e") - F.col("s") >= durs[0]))
+    levels = F.filter(F.array(*(F.lit(x).cast("long") for x in sups)), lambda x: F.col("n") * 100 >= x * F.col("n_tx"))
+    longest = runs.withColumn("local_sup", F.explode(levels)).groupBy("local_sup", "max_gap", "pattern").agg(F.max(F.col("e") - F.col("s")).alias("d"))
+    grid = values(occ, "max_gap", *gaps).withColumn("local_sup", F.explode(F.array(*(F.lit(x).cast("long") for x in sups))))
+    params = ["local_sup", "max_gap", "min_dur"]
+    rows = checkpointed(_counted(longest, ref, params[:2], "min_dur", *durs, grid))
+    pred = runs.join(F.broadcast(_top(rows).select(*params)), "max_gap").where((F.col("n") * 100 >= F.col("local_sup") * F.col("n_tx")) & (F.col("e") - F.col("s") >= F.col("min_dur")))
+    return rows, _with_intervals(pred.select(*params, "pattern", "s", "e"), ref, params)
+
+
+def _surplus_intervals(times: np.ndarray, per: np.ndarray, so: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray, int]]:
+    """(settings, starts, end) as intervals of sorted times close, for all settings (per, so) at once.
+
+    An interval opens at the first of two occurrences at most ``per`` apart and closes at the last one before the summed surplus of gaps passes ``so``.
+    """
+    start, surplus = np.full(len(per), -1, np.int64), np.zeros(len(per), np.int64)
+    for before, t in zip(times[:-1].tolist(), times[1:].tolist(), strict=True):
+        gap, inside = t - before, start >= 0
+        surplus = np.where(inside, np.maximum(0, surplus + gap - per), 0)
+        ends = inside & (surplus > so)
+        if ends.any():
+            at = np.flatnonzero(ends)
+            yield at, start[at], before
+            start[at], surplus[at] = -1, 0
+        start[~inside & (gap <= per)] = before
+    at = np.flatnonzero(start >= 0)
+    if len(at):
+        yield at, start[at], int(times[-1])
+
+
+def grid_surplus_local(occ: DataFrame, ref: DataFrame, pers: tuple[int, int, int], durs: tuple[int, int, int], sos: tuple[int, int, int]) -> tuple[DataFrame, DataFrame]:
+    """(all, top) for every (max_per, min_dur, max_so_per), as ``grid_gap_local``.
+
+    One pass over a pattern's times moves the states of all (max_per, max_so_per) together. A pattern's times must fit one worker.
+    """
+    axis = lambda x: np.arange(x[0], x[1] + 1, x[2])
+    per, so = (x.ravel().astype(np.int64) for x in np.meshgrid(axis(pers), axis(sos), indexing="ij"))
+
+    def longest(g: pd.DataFrame) -> pd.DataFrame:
+        d = np.full(len(per), -1, np.int64)
+        for at, start, end in _surplus_intervals(np.unique(g["t"].to_numpy()), per, so):
+            d[at] = np.maximum(d[at], end - start)
+        kept = d >= durs[0]
+        return pd.DataFrame({"max_per": per[kept], "max_so_per": so[kept], "pattern": g["pattern"].iloc[0], "d": d[kept]})
+
+    params, two = ["max_per", "min_dur", "max_so_per"], ["max_per", "max_so_per"]
+    found = occ.select("pattern", "t").groupBy("pattern").applyInPandas(longest, "max_per long, max_so_per long, pattern string, d long")
+    grid = values(occ, "max_per", *pers).crossJoin(F.broadcast(values(occ, "max_so_per", *sos)))
+    rows = checkpointed(_counted(checkpointed(found), ref, two, "min_dur", *durs, grid))
+    top = _top(rows).select(*params)
+    wanted = {(r["max_per"], r["max_so_per"]): r["d"] for r in top.groupBy(*two).agg(F.min("min_dur").alias("d")).collect()}  # at most the grid's size
+    chosen = np.array([(p, s, d) for (p, s), d in sorted(wanted.items())], np.int64).reshape(-1, 3)
+
+    def intervals(g: pd.DataFrame) -> pd.DataFrame:
+        parts = [(chosen[at], start, np.full(len(at), end)) for at, start, end in _surplus_intervals(np.unique(g["t"].to_numpy()), chosen[:, 0], chosen[:, 1])]
+        if not parts:
+            return pd.DataFrame({"max_per": [], "max_so_per": [], "pattern": [], "s": [], "e": []})
+        which, s, e = (np.concatenate(x) for x in zip(*parts, strict=True))
+        kept = e - s >= which[:, 2]
+        return pd.DataFrame({"max_per": which[kept, 0], "max_so_per": which[kept, 1], "pattern": g["pattern"].iloc[0], "s": s[kept], "e": e[kept]})
+
+    pred = occ.select("pattern", "t").groupBy("pattern").applyInPandas(intervals, "max_per long, max_so_per long, pattern string, s long, e long")
+    pred = pred.join(F.broadcast(top), two).where(F.col("e") - F.col("s") >= F.col("min_dur"))
+    return rows, _with_intervals(pred.select(*params, "pattern", "s", "e"), ref, params)

@@ -9,6 +9,7 @@ from localfreq.operators import detect, metrics, promo
 from localfreq.operators.baskets import to_occurrences
 from localfreq.plans import baselines, grid, miner, sharded
 from localfreq.registry.sqltext import CAMPAIGNS, PAIRS, base, brute, islands, merged, runs
+from localfreq.session import checkpointed
 from localfreq.sources.tables import occurrences, order_ranks, transactions
 from localfreq.workloads import reference
 
@@ -114,35 +115,37 @@ _SCORES = "s as (select round(avg(case when len_p + len_r - inter > 0 then inter
 _F1_ROW = "n_pred, n_ref, n_common, round(case when n_pred + n_ref > 0 then 2 * n_common / (n_pred + n_ref) else 1.0 end, 6) as f1, round(case when n_pred > 0 then n_common / n_pred else 0.0 end, 6) as precision, round(case when n_ref > 0 then n_common / n_ref else 0.0 end, 6) as recall"
 
 
-def _pred(spark, d) -> DataFrame:
-    return baselines.mine_recurring(transactions(spark, d, "brand"), 50, 14, k_max=2).where("len = 2")
+def _pred_and_ref(spark, d) -> tuple[DataFrame, DataFrame]:
+    """Recurring pairs and the exact reference, from one timeline."""
+    tx = checkpointed(transactions(spark, d, "brand"))
+    return baselines.mine_recurring(tx, 50, 14, k_max=2).where("len = 2"), miner.mine_dense(tx, 250, 14, k_max=2, min_len=2)
 
 
 @query(f"{_PRED}, {_F1} select {_F1_ROW} from f")
 def metric_f1(spark, d):
-    return metrics.pattern_f1(_pred(spark, d), reference(spark, d, "brand", 250, 14))
+    return metrics.pattern_f1(*_pred_and_ref(spark, d))
 
 
 @query(f"{_PRED}, {_COVER}, {_SCORES} select jaccard from s")
 def metric_jaccard(spark, d):
-    return metrics.interval_scores(_pred(spark, d), reference(spark, d, "brand", 250, 14)).select("jaccard")
+    return metrics.interval_scores(*_pred_and_ref(spark, d)).select("jaccard")
 
 
 @query(f"{_PRED}, {_COVER}, {_SCORES} select tp from s")
 def metric_temporal_precision(spark, d):
-    return metrics.interval_scores(_pred(spark, d), reference(spark, d, "brand", 250, 14)).select("tp")
+    return metrics.interval_scores(*_pred_and_ref(spark, d)).select("tp")
 
 
 @query(f"{_PRED}, {_F1}, {_COVER}, {_SCORES} select {_F1_ROW}, jaccard, tp from f, s")
 def scorecard(spark, d):
-    return metrics.score(_pred(spark, d), reference(spark, d, "brand", 250, 14))
+    return metrics.score(*_pred_and_ref(spark, d))
 
 
 @query("select n as n_pred, n as n_ref, n as n_common, 1.0::double as f1, 1.0::double as precision, 1.0::double as recall, 1.0::double as jaccard, 1.0::double as tp from (" + f"{_REF} select count(distinct pattern) as n from ref" + ") q")
 def exactness_scorecard(spark, d):
     """The sharded miner against the level-wise one: both exact, so every measure is 1."""
-    pred = sharded.mine_dense_sharded(transactions(spark, d, "brand"), 250, 14, shard_width=3000, k_max=2, min_len=2)
-    return metrics.score(pred, reference(spark, d, "brand", 250, 14))
+    tx = checkpointed(transactions(spark, d, "brand"))
+    return metrics.score(sharded.mine_dense_sharded(tx, 250, 14, shard_width=3000, k_max=2, min_len=2), miner.mine_dense(tx, 250, 14, k_max=2, min_len=2))
 
 
 _SPAN = f"{_REF}, pred as (select pattern, min(t) as s, max(t) as e from pairs where pattern in (select pattern from ref) group by 1)"
@@ -189,11 +192,11 @@ def _grid_sql(spread: str, where: str, params: str) -> str:
  res as (select c.*, round(2 * n_common / (n_pred + n_ref), 6) as f1, jaccard, tp from c join sc using ({params}) cross join nr)"""
 
 
-_RECUR = _grid_sql(f"sp as (select max_per, pattern, t from pairs cross join (select unnest(range(5, 101, 5)) as max_per) p), {runs('rr', 'sp', 'max_per', 'max_per, pattern')}", "n >= 14", "max_per")
+_RECUR = _grid_sql(f"sp as (select max_per, pattern, t from pairs cross join (select unnest(range(5, 251, 5)) as max_per) p), {runs('rr', 'sp', 'max_per', 'max_per, pattern')}", "n >= 14", "max_per")
 
 
 def _grid_recurring(spark, d):
-    return grid.grid_recurring(_two(spark, d)[0], reference(spark, d, "brand", 250, 14), 14, 100)
+    return grid.grid_recurring(_two(spark, d)[0], reference(spark, d, "brand", 250, 14), 14, 250)
 
 
 @query(f"{_RECUR} select max_per, n_pred, n_common, f1, jaccard, tp from res order by f1 desc, jaccard desc, max_per limit 1")
@@ -207,35 +210,75 @@ def sweep_recurring(spark, d):
     return _grid_recurring(spark, d).select("max_per", "f1", "tp")
 
 
-_LOCAL = _grid_sql(f"sp as (select max_gap, pattern, t from pairs cross join (select unnest(range(10, 101, 15)) as max_gap) p), {runs('r0', 'sp', 'max_gap', 'max_gap, pattern')}, nx as (select *, (select count(*) from tx where tx.t between r0.s and r0.e) as n_tx from r0), rr as (select a.local_sup, max_gap, b.min_dur, pattern, s, e from nx join (select unnest([1, 2, 3, 4, 5, 10]) as local_sup) a on n * 100 >= a.local_sup * n_tx join (select unnest(range(10, 401, 60)) as min_dur) b on e - s >= b.min_dur)", "1 = 1", "local_sup, max_gap, min_dur")
+#: Axes of the searches: 19,000 settings, and 200,000.
+_LOCAL_AXES = ([1, 2, 3, 4, 5, 10, 15, 20, 25, 30], (10, 100, 5), (10, 1000, 10))
+_SURPLUS_AXES = ((5, 50, 5), (5, 1000, 5), (5, 500, 5))
 
+#: Ranks are 1, 2, ..., so a run has e - s + 1 transactions. A pattern's longest run that meets a support level tells at which durations it counts.
+_LOCAL = _grid_sql(f"""sp as (select max_gap, pattern, t from pairs cross join (select unnest(range(10, 101, 5)) as max_gap) p), {runs('r0', 'sp', 'max_gap', 'max_gap, pattern')},
+ rs as (select a.local_sup, max_gap, pattern, s, e from r0 join (select cast(unnest({_LOCAL_AXES[0]}) as bigint) as local_sup) a on n * 100 >= a.local_sup * (e - s + 1)),
+ ld as (select local_sup, max_gap, pattern, max(e - s) as d from rs group by all),
+ ct as (select local_sup, max_gap, b.min_dur, count(*) as np, count(hit.pattern) as nc from ld join (select unnest(range(10, 1001, 10)) as min_dur) b on d >= b.min_dur left join hit on hit.pattern = ld.pattern group by all),
+ fs as (select *, round(2 * nc / (np + (select n_ref from nr)), 6) as f from ct), tops as (select local_sup, max_gap, min_dur from fs where f = (select max(f) from fs)),
+ rr as (select local_sup, max_gap, min_dur, pattern, s, e from rs join tops using (local_sup, max_gap) where e - s >= min_dur)""", "1 = 1", "local_sup, max_gap, min_dur")
 
-@query(f"{_LOCAL} select cast(local_sup as bigint) as local_sup, max_gap, min_dur, n_pred, n_common, f1, jaccard, tp from res order by f1 desc, jaccard desc, local_sup, max_gap, min_dur limit 1")
-def grid_gap_local(spark, d):
+
+def _grid_gap_local(spark, d):
     ordinals = order_ranks(spark, d).select("t", F.col("t").alias("ord"))
-    rows = grid.grid_gap_local(_two(spark, d)[0], reference(spark, d, "brand", 250, 14), ordinals, [1, 2, 3, 4, 5, 10], (10, 100, 15), (10, 400, 60))
-    return grid.best(rows, ["local_sup", "max_gap", "min_dur"])
+    return grid.grid_gap_local(_two(spark, d)[0], reference(spark, d, "brand", 250, 14), ordinals, *_LOCAL_AXES)
+
+
+@query(f"{_LOCAL} select local_sup, max_gap, min_dur, n_pred, n_common, f1, jaccard, tp from res order by f1 desc, jaccard desc, local_sup, max_gap, min_dur limit 1")
+def grid_gap_local(spark, d):
+    return grid.best(_grid_gap_local(spark, d)[1], ["local_sup", "max_gap", "min_dur"])
+
+
+@query(f"{_LOCAL} select max_gap, max(f) as f1 from fs group by 1")
+def sweep_gap_local(spark, d):
+    """Best F1 of each gap parameter over all support levels and durations."""
+    return _grid_gap_local(spark, d)[0].groupBy("max_gap").agg(F.max("f1").alias("f1"))
+
+
+def _grid_surplus_local(spark, d):
+    return grid.grid_surplus_local(_two(spark, d)[0], reference(spark, d, "brand", 250, 14), *_SURPLUS_AXES)
 
 
 @query()
 def grid_surplus_local(spark, d):
-    tx = transactions(spark, d, "brand")
-    settings = [(per, dur, so) for per in (30, 50) for so in (20, 60) for dur in (105, 305, 505)]
-    return grid.best(grid.grid_surplus_local(tx, reference(spark, d, "brand", 250, 14), settings), ["max_per", "min_dur", "max_so_per"])
+    return grid.best(_grid_surplus_local(spark, d)[1], ["max_per", "min_dur", "max_so_per"])
+
+
+@query()
+def sweep_surplus_local(spark, d):
+    """Best F1 of each period over all durations and surplus limits."""
+    return _grid_surplus_local(spark, d)[0].groupBy("max_per").agg(F.max("f1").alias("f1"))
 
 
 # --- promotions: brands on day slots, windows of 47 and 141 days
 
-_DAYS = f"{base(days=True)}, {PAIRS}, {islands('n1', 'occ', 47_000, 15)}, {islands('n2', 'pairs', 47_000, 15)}, {islands('w1', 'occ', 141_000, 32)}, {islands('w2', 'pairs', 141_000, 32)}"
-_NARROW = "nar as (select pattern, s // 1000 as s, e // 1000 as e from n1 union all select pattern, s // 1000, e // 1000 from n2)"
-_WIDE = "wid as (select pattern, s // 1000 as s, e // 1000 as e from w1 union all select pattern, s // 1000, e // 1000 from w2)"
-_CAMP = f"{CAMPAIGNS}, pc as (select distinct pattern, campaign_id, c.s, c.e from (select distinct pattern from nar) p join camp_items c on c.item in (split_part(p.pattern, '|', 1), split_part(p.pattern, '|', 2))), {merged('mc', 'pc')}"
+def _five_levels(x: str, width: int, sigma: int) -> str:
+    """``x``1 to ``x``5: dense intervals by length. From triples on, occurrences come from dense patterns of one item less whose pairs are dense."""
+    dense = lambda k: f"(select pattern from {x}{k})"
+    parts = [islands(f"{x}1", "occ", width, sigma), islands(f"{x}2", "pairs", width, sigma), f"{x}o2 as (select a.pattern || '|' || b.pattern as pattern, a.t, b.pattern as last from occ a join occ b on a.t = b.t and a.pattern < b.pattern)"]
+    for k in (3, 4, 5):
+        parts += [f"{x}o{k} as (select o.pattern || '|' || i.pattern as pattern, o.t, i.pattern as last from {x}o{k - 1} o join occ i on i.t = o.t and i.pattern > o.last where o.pattern in {dense(k - 1)} and o.last || '|' || i.pattern in {dense(2)})", islands(f"{x}{k}", f"{x}o{k}", width, sigma)]
+    return ", ".join(parts)
+
+
+def _levels_sql(x: str, columns: str) -> str:
+    return " union all ".join(f"select {columns.format(k=k)} from {x}{k}" for k in range(1, 6))
+
+
+_DAYS = f"{base(days=True)}, {PAIRS}, {_five_levels('n', 47_000, 15)}, {_five_levels('w', 141_000, 32)}"
+_NARROW = f"nar as ({_levels_sql('n', 'pattern, s // 1000 as s, e // 1000 as e')})"
+_WIDE = f"wid as ({_levels_sql('w', 'pattern, s // 1000 as s, e // 1000 as e')})"
+_CAMP = f"{CAMPAIGNS}, pc as (select distinct pattern, campaign_id, c.s, c.e from (select distinct pattern from nar) p join camp_items c on list_contains(string_split(p.pattern, '|'), c.item)), {merged('mc', 'pc')}"
 _RATIO = "inside as (select nar.pattern, sum(least(nar.e, mc.e) - greatest(nar.s, mc.s)) as x from nar join mc on mc.pattern = nar.pattern and nar.s < mc.e and mc.s < nar.e group by 1), rat as (select nar.pattern, round(coalesce(max(x), 0) / sum(e - s), 6) as ratio from nar left join inside on inside.pattern = nar.pattern group by 1)"
 _COUNTS = "cnt as (select k.pattern, k.s, k.e, count(distinct campaign_id) as n from (select distinct pattern, s, e from nar) k left join pc on pc.pattern = k.pattern and pc.s < k.e and k.s < pc.e group by 1, 2, 3)"
 _PROMO = f"{_DAYS}, {_NARROW}, {_WIDE}, {_CAMP}, {_RATIO}, {_COUNTS}"
 
 
-#: Longest patterns of the promotion experiment. The SQL lists singles and pairs only; it is the whole answer where no triple is dense.
+#: Longest patterns of the promotion experiment.
 _DAYS_K_MAX = 5
 
 
@@ -251,12 +294,12 @@ def _narrow(spark, d):
     return _day_result(spark, d, 47_000, 15)
 
 
-@query(f"{_DAYS} select pattern, 1 as len, s, e from n1 union all select pattern, 2, s, e from n2")
+@query(f"{_DAYS} {_levels_sql('n', 'pattern, {k} as len, s, e')}")
 def mine_dense_days_47(spark, d):
     return _mine_days(spark, d, 47_000, 15)
 
 
-@query(f"{_DAYS} select pattern, 1 as len, s, e from w1 union all select pattern, 2, s, e from w2")
+@query(f"{_DAYS} {_levels_sql('w', 'pattern, {k} as len, s, e')}")
 def mine_dense_days_141(spark, d):
     return _mine_days(spark, d, 141_000, 32)
 
