@@ -14,7 +14,7 @@ from localfreq.operators.intervals import covers
 from localfreq.schema import pattern_len
 from localfreq.session import checkpointed
 
-__all__ = ["as_map", "check_monotone", "dense_items", "filter_patterns", "level_wise", "maximal_patterns", "mine_dense", "mine_dense_many", "nested", "prune_counters", "topk_patterns", "trim_occurrences"]
+__all__ = ["as_map", "check_monotone", "closed_patterns", "dense_items", "filter_patterns", "level_wise", "maximal_patterns", "mine_dense", "mine_dense_many", "nested", "prune_counters", "topk_patterns", "trim_occurrences"]
 
 
 def level_wise(occ: DataFrame, keep: Callable[[DataFrame, int], DataFrame], k_max: int | None = None, *, trim: Callable[[DataFrame, DataFrame], DataFrame] | None = None, counters: list | None = None) -> Iterator[tuple[int, DataFrame, DataFrame]]:
@@ -112,11 +112,32 @@ def mine_dense_many(tx: DataFrame, settings: list[tuple[int, int]], *, k_max: in
 
 
 def prune_counters(tx: DataFrame, width: int, sigma: int, k_max: int | None = None) -> DataFrame:
-    """Per level: dense patterns, candidates made from them, and candidates dropped for a missing subset."""
+    """Per level: candidates generated, dropped for a missing subset, without a common occurrence, without a common range of their items, scanned, and dense."""
+    t_max = last_time(tx)
     counters: list[dict] = []
-    mine_dense(tx, width, sigma, k_max=k_max, counters=counters)
-    rows = [(c["level"], c["kept"], c.get("generated", 0), c.get("pruned_subset", 0)) for c in counters]
-    return tx.sparkSession.createDataFrame(rows, "level int, dense long, generated long, pruned_subset long")
+    met: list[tuple[int, int]] = []
+    singles: list[DataFrame] = []
+
+    def keep(level: DataFrame, k: int) -> DataFrame:
+        names = level.select("pattern").distinct()
+        found = dense_intervals(level, width, sigma, t_max=-1 if t_max is None else t_max)
+        n = names.count()
+        if k == 1:
+            found = checkpointed(found)
+            singles.append(found)
+            met.append((n, n))
+        else:
+            met.append((n, candidate_ranges(names, singles[0], width, k).select("pattern").distinct().count()))
+        return found
+
+    for _ in level_wise(to_occurrences(tx), keep, k_max, counters=counters):
+        pass
+    rows, made = [], {"generated": met[0][0] if met else 0, "pruned_subset": 0}
+    for c, (occurring, ranged) in zip(counters, met, strict=True):
+        left = made["generated"] - made["pruned_subset"]
+        rows.append((c["level"], made["generated"], made["pruned_subset"], left - occurring, occurring - ranged, ranged, c["kept"]))
+        made = c
+    return tx.sparkSession.createDataFrame(rows, "level int, generated long, pruned_subset long, empty_occurrences long, empty_ranges long, scanned long, dense long")
 
 
 def nested(res: DataFrame) -> DataFrame:
@@ -150,13 +171,23 @@ def maximal_patterns(res: DataFrame) -> DataFrame:
     return res.select("pattern", "len").distinct().join(below, "pattern", "left_anti")
 
 
-def topk_patterns(res: DataFrame, k: int) -> DataFrame:
-    """(len, rank, pattern, duration): per length the k patterns of longest total duration, ties by text."""
+def closed_patterns(res: DataFrame) -> DataFrame:
+    """Dense patterns whose intervals no dense pattern of one more item has in the same form: (pattern, len)."""
+    form = lambda df, name: nested(df).select("pattern", F.xxhash64("intervals").alias(name))
+    above = _subsets(res).join(form(res, "h"), "pattern").select(F.col("subset").alias("pattern"), "h").distinct()
+    return res.select("pattern", "len").distinct().join(form(res, "h"), "pattern").join(above, ["pattern", "h"], "left_anti").select("pattern", "len")
+
+
+def topk_patterns(res: DataFrame, k: int, *, by: str = "duration") -> DataFrame:
+    """(len, rank, pattern, ``by``): per length the k patterns of longest total duration, or of the highest ``peak_sup`` (from ``with_support``), ties by text."""
     from pyspark.sql.window import Window
 
-    total = res.groupBy("len", "pattern").agg(F.sum(F.col("e") - F.col("s")).alias("duration"))
-    by = Window.partitionBy("len").orderBy(F.desc("duration"), "pattern")
-    return total.withColumn("rank", F.row_number().over(by)).where(F.col("rank") <= k).select("len", "rank", "pattern", "duration")
+    if by not in ("duration", "peak_sup"):
+        raise ValueError(f"no such order: {by}")
+    value = F.sum(F.col("e") - F.col("s")) if by == "duration" else F.max("peak_sup")
+    total = res.groupBy("len", "pattern").agg(value.alias(by))
+    order = Window.partitionBy("len").orderBy(F.desc(by), "pattern")
+    return total.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k).select("len", "rank", "pattern", by)
 
 
 def check_monotone(res: DataFrame) -> DataFrame:

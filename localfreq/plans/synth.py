@@ -26,9 +26,11 @@ def generate(spark: SparkSession, transactions: int, items: int, mean_len: int,
     t = i * 2 + F.floor(_uniform(seed, i, F.lit("gap")) * 2).cast("long")
     normal = F.sqrt(-2 * F.log(_uniform(seed, i, F.lit("u")))) * F.cos(2 * math.pi * _uniform(seed, i, F.lit("v")))
     size = F.greatest(F.lit(0), F.least(F.lit(items), F.round(mean_len + normal * max(1.0, mean_len / 3)).cast("int")))
-    # distinct items: an affine walk modulo a prime above the number of items, over half again as many steps as needed
-    draws = F.transform(F.sequence(F.lit(0), F.greatest(F.lit(0), size * 2 + 4)), lambda k: F.floor(_uniform(seed, i, k) * items).cast("int"))
-    chosen = F.slice(F.array_distinct(draws), F.lit(1), size)
+    # distinct items: an affine walk modulo the least prime of at least the number of items; no number comes twice, and those past the items are skipped
+    prime = next(p for p in range(max(2, items), 2 * max(2, items) + 1) if all(p % q for q in range(2, math.isqrt(p) + 1)))
+    first, step = F.floor(_uniform(seed, i, F.lit("first")) * prime), 1 + F.floor(_uniform(seed, i, F.lit("step")) * (prime - 1))
+    draws = F.transform(F.sequence(F.lit(0), F.least(F.lit(prime - 1), size + (prime - items))), lambda k: ((first + k * step) % prime).cast("int"))
+    chosen = F.slice(F.filter(draws, lambda x: x < items), F.lit(1), size)
     background = F.transform(chosen, lambda x: F.concat(F.lit("i"), x.cast("string")))
     rows = base.select(i.alias("id"), t.alias("t"), background.alias("items"))
     if not patterns:

@@ -67,6 +67,11 @@ def occurrences_items(spark, d):
     return occurrences(spark, d, "brand")[0]
 
 
+@query(f"{base()}, w as (select pattern, row_number() over (order by pattern) - 1 as code from (select distinct pattern from occ) q) select code as item, t from occ join w using (pattern)")
+def occurrences_coded(spark, d):
+    return baskets.encode_items(occurrences(spark, d, "brand")[0])[0]
+
+
 @query(f"{base()} select t from occ where pattern in ('Brand#1', 'Brand#2') group by t having count(*) = 2")
 def occurrences_itemset(spark, d):
     return baskets.occurrences_of(transactions(spark, d, "brand"), ["Brand#1", "Brand#2"])
@@ -266,7 +271,20 @@ def candidate_ranges(spark, d):
     return candidates.candidate_ranges(candidates.join_candidates(shape), found, 250, 2)
 
 
-@query()
+_COUNTERS = f"""{base()}, {PAIRS}, {TRIPLES}, {brute('r1', 'occ', 250, 14)}, {brute('r2', 'pairs', 250, 14)}, {brute('r3', 'triples', 250, 14)},
+ l1 as (select distinct pattern from r1), l2 as (select distinct pattern, split_part(pattern, '|', 1) as x, split_part(pattern, '|', 2) as y from r2),
+ c2 as (select a.pattern || '|' || b.pattern as pattern, a.pattern as x, b.pattern as y from l1 a join l1 b on a.pattern < b.pattern), o2 as (select * from c2 where pattern in (select pattern from pairs)),
+ g2 as (select distinct o2.pattern from o2 join r1_d p on p.pattern = x join r1_d q on q.pattern = y and q.l = p.l),
+ j3 as (select a.pattern || '|' || b.y as pattern, a.x, a.y, b.y as z from l2 a join l2 b on a.x = b.x and a.y < b.y), c3 as (select * from j3 where y || '|' || z in (select pattern from l2)), o3 as (select * from c3 where pattern in (select pattern from triples)),
+ g3 as (select distinct o3.pattern from o3 join r1_d p on p.pattern = x join r1_d q on q.pattern = y and q.l = p.l join r1_d r on r.pattern = z and r.l = p.l)"""
+_N = lambda x: f"(select count(*) from {x})"
+
+
+@query(f"""{_COUNTERS}, i as (select distinct pattern from occ), u as (
+ select 1 as level, {_N('i')} as generated, 0 as pruned_subset, 0 as empty_occurrences, 0 as empty_ranges, {_N('i')} as scanned, {_N('l1')} as dense
+ union all select 2, {_N('c2')}, 0, {_N('c2')} - {_N('o2')}, {_N('o2')} - {_N('g2')}, {_N('g2')}, {_N('l2')}
+ union all select 3, {_N('j3')}, {_N('j3')} - {_N('c3')}, {_N('c3')} - {_N('o3')}, {_N('o3')} - {_N('g3')}, {_N('g3')}, (select count(distinct pattern) from r3))
+ select cast(level as integer) as level, generated, cast(pruned_subset as bigint) as pruned_subset, cast(empty_occurrences as bigint) as empty_occurrences, cast(empty_ranges as bigint) as empty_ranges, scanned, dense from u""")
 def prune_counters(spark, d):
     return miner.prune_counters(transactions(spark, d, "brand"), 250, 14, 3)
 
@@ -299,6 +317,18 @@ def topk_dense(spark, d):
     return miner.topk_patterns(miner.mine_dense(transactions(spark, d, "brand"), 500, 24, k_max=2), 10)
 
 
+@query(f"{_mine_sql('supp', 250, 5, islands, 2).replace(' select pattern, 1 as len', ', u as (select pattern, 1 as len', 1)}), k as (select pattern, len, string_agg(s || '-' || e, ',' order by s) as h from u group by 1, 2) select pattern, len from k where not exists (select 1 from k b where b.len = k.len + 1 and b.h = k.h and (split_part(b.pattern, '|', 1) = k.pattern or split_part(b.pattern, '|', 2) = k.pattern))")
+def closed_dense_patterns(spark, d):
+    return miner.closed_patterns(miner.mine_dense(transactions(spark, d, "supp"), 250, 5, k_max=2))
+
+
+@query(f"{base()}, {brute('r', 'occ', 250, 55)}, k as (select r.pattern, cast(max(c.sup) as bigint) as peak_sup from r join r_c c on c.pattern = r.pattern and c.l between r.s and r.e - 250 group by 1), n as (select 1 as len, cast(row_number() over (order by peak_sup desc, pattern) as integer) as rank, pattern, peak_sup from k) select len, rank, pattern, peak_sup from n where rank <= 10")
+def topk_dense_by_peak(spark, d):
+    occ, t_max = occurrences(spark, d, "brand")
+    found = detect.with_support(detect.dense_intervals(occ, 250, 55, t_max=t_max), occ, 250)
+    return miner.topk_patterns(found.withColumn("len", F.lit(1)), 10, by="peak_sup")
+
+
 @query("select cast(null as varchar) as pattern, cast(null as varchar) as subset, cast(null as bigint) as s, cast(null as bigint) as e where 1 = 0")
 def containment_violations(spark, d):
     return miner.check_monotone(miner.mine_dense(transactions(spark, d, "brand"), 250, 14, k_max=2))

@@ -7,11 +7,11 @@ import uuid
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from localfreq.registry.sqltext import LAST, RANKS, base, islands
+from localfreq.registry.sqltext import TRIPLES, base, islands
 from localfreq.session import shared_folder
 from localfreq.sources.tables import table, transactions
 from localfreq.streaming import windows
-from localfreq.streaming.dense import ShardedTimeline, latest, online_dense_items
+from localfreq.streaming.dense import ShardedTimeline, late_counts, latest, online_dense_items
 
 QUERIES: dict = {}
 ORACLES: dict[str, str] = {}
@@ -51,10 +51,10 @@ _MINUTES = "tx as (select (epoch_us(ts) // 1000000) // 60 as t from events), tm
 @query(f"with {_MINUTES}, {islands('r', 'occ', 60, 6, clip=False)} select pattern, s, e from r")
 def stream_dense_items(spark, d):
     rows = windows.event_stream(spark, d, watermark=None).select(F.col("event_type").alias("pattern"), F.floor(F.unix_seconds("ts") / 60).cast("long").alias("t"))
-    return latest(windows.run_to_table(online_dense_items(rows, 60, 6)))
+    return latest(windows.run_to_table(online_dense_items(rows, 60, 6)), 60)
 
 
-@query(f"{base('type')}, p as (select a.pattern || '|' || b.pattern as pattern, a.t from occ a join occ b on a.t = b.t and a.pattern < b.pattern), {islands('r1', 'occ', 250, 110, clip=False)}, {islands('r2', 'p', 250, 70, clip=False)} select pattern, s, e from r1")
+@query(f"{base('type')}, p as (select a.pattern || '|' || b.pattern as pattern, a.t from occ a join occ b on a.t = b.t and a.pattern < b.pattern), {islands('r1', 'occ', 250, 68, clip=False)}, {islands('r2', 'p', 250, 68, clip=False)}, {TRIPLES}, {islands('r3', 'triples', 250, 68, clip=False)} select pattern, s, e from r1 union all select pattern, s, e from r2 union all select pattern, s, e from r3")
 def stream_dense_itemsets(spark, d):
     """Transactions arrive as two batches; the second re-mines only the shards that its times reach."""
     folder = f"{shared_folder(spark)}/timeline-{uuid.uuid4().hex}"
@@ -62,17 +62,35 @@ def stream_dense_itemsets(spark, d):
     half = tx.agg(F.expr("percentile_approx(t, 0.5)")).first()[0] or 0
     for i, part in enumerate((tx.where(F.col("t") <= half), tx.where(F.col("t") > half))):
         part.write.parquet(f"{folder}/in/part={i}")
-    miner = ShardedTimeline(spark, f"{folder}/out", 250, 110, shard_width=4000)
+    miner = ShardedTimeline(spark, f"{folder}/out", 250, 68, shard_width=4000)
     stream = spark.readStream.schema("t long, items array<string>").option("maxFilesPerTrigger", 4).parquet(f"{folder}/in/part=*")
     windows.run_to_table(stream.where(F.size("items") > 0), each=miner.add)
     return miner.intervals()
 
 
-@query("with r as (select event_id, ts, row_number() over (order by event_id) as i from events) select count(*) as n from r")
+_LATE = "ev as (select event_type as pattern, (epoch_us(ts) // 1000000) // 60 as t, event_id % 10 = 0 as second from events), m as (select pattern, max(t) as top from ev where not second group by 1), seen as (select ev.*, second and t < top - 1440 as late from ev join m using (pattern)), tx as (select 0 as t), tm as (select max(t) as tmax from ev), occ as (select distinct pattern, t from seen where not late)"
+
+
+def _in_two_batches(spark, d) -> DataFrame:
+    """(pattern, t) of the events as a stream of two files: first nine tenths, then every tenth event, most of them long overdue."""
+    folder = f"{shared_folder(spark)}/late-{uuid.uuid4().hex}"
+    rows = table(spark, d, "events", "event_id", "event_type", "ts").select("event_id", F.col("event_type").alias("pattern"), F.floor(F.unix_seconds(F.col("ts").cast("timestamp")) / 60).cast("long").alias("t"))
+    for i, part in enumerate((rows.where("event_id % 10 <> 0"), rows.where("event_id % 10 = 0"))):
+        part.select("pattern", "t").coalesce(1).write.parquet(f"{folder}/part={i}")
+    return spark.readStream.schema("pattern string, t long").option("maxFilesPerTrigger", 1).parquet(f"{folder}/part=*")
+
+
+@query(f"with {_LATE}, {islands('r', 'occ', 60, 6, clip=False)} select pattern, s, e, cast((select count(*) from seen where seen.pattern = r.pattern and late) as bigint) as late from r")
 def stream_late_data(spark, d):
-    """All events pass: they come in time order, so none is later than the watermark allows."""
-    rows = windows.event_stream(spark, d).dropDuplicatesWithinWatermark(["event_id"]).select("event_id")
-    return windows.run_to_table(rows).agg(F.count(F.lit(1)).alias("n"))
+    """Times up to a day late still make dense intervals; later ones are left out and counted."""
+    log = windows.run_to_table(online_dense_items(_in_two_batches(spark, d), 60, 6, delay=1440))
+    return latest(log, 60).join(late_counts(log), "pattern").select("pattern", "s", "e", "late")
+
+
+@query("select event_id from events")
+def stream_dedup_ids(spark, d):
+    """Every event once: repeats within the watermark are dropped."""
+    return windows.run_to_table(windows.event_stream(spark, d).dropDuplicatesWithinWatermark(["event_id"]).select("event_id"))
 
 
 @query("select distinct (epoch_us(ts) // 1000000) // 3600 as t, event_type as item from events")

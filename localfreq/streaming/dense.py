@@ -4,43 +4,66 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-__all__ = ["ShardedTimeline", "latest", "online_dense_items"]
+from localfreq.operators.segments import merge_runs
 
+__all__ = ["ShardedTimeline", "late_counts", "latest", "online_dense_items"]
 
-def online_dense_items(occ: DataFrame, width: int, sigma: int) -> DataFrame:
-    """A log of (pattern, s, e) from a stream of (pattern, t): a row whenever an interval begins or grows.
 
-    State per pattern: its last sigma occurrences and the run that may still grow. Times of a pattern must come in order
-    across batches; within a batch they are sorted. Repeated times count once. Ends are not cut, since the last time is unknown.
+def online_dense_items(occ: DataFrame, width: int, sigma: int, *, delay: int = 0, expire_ms: int | None = None) -> DataFrame:
+    """A log of (pattern, s, e, late) from a stream of (pattern, t): runs of dense starts that new times begin or extend, and counts of late times.
+
+    State per pattern: its largest time, and the times at most ``delay`` + ``width`` before it, which later arrivals may still meet. A time that is more than
+    ``delay`` below the largest of the batches before is late: it is counted (a row without s) and left out. Repeated times count once. Adding
+    times only adds dense starts, so ``latest`` of the log is exact for all times that were not late. Ends are not cut, since the last time is unknown.
+
+    ``expire_ms`` drops a pattern's state so long after the watermark of its last batch; the stream needs an event time with a watermark then, and
+    Spark itself leaves out (and counts) rows behind the watermark.
     """
     def update(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        times, s, d = state.get if state.exists else ([], -1, -1)
-        times = list(times)
-        out: dict[int, int] = {}
-        for t in sorted({int(x) for f in frames for x in f["t"]}):
-            if times and t <= times[-1]:
-                continue
-            times = [*times, t][-sigma:]
-            if len(times) == sigma and t - times[0] <= width:
-                a, b = max(0, t - width), times[0]
-                if s < 0 or a > d + 1:
-                    s = a
-                d = b
-                out[s] = d
-        state.update((times, s, d))
-        yield pd.DataFrame([(key[0], a, b + width) for a, b in out.items()], columns=["pattern", "s", "e"])
-
-    return occ.groupBy("pattern").applyInPandasWithState(update, "pattern string, s long, e long", "times array<long>, s long, d long", "append", GroupStateTimeout.NoTimeout)
-
-
-def latest(log: DataFrame) -> DataFrame:
-    """The intervals of a log: the last end of each beginning."""
-    return log.groupBy("pattern", "s").agg(F.max("e").alias("e"))
+        if state.hasTimedOut:
+            state.remove()
+            return
+        held, top = state.get if state.exists else ([], -1)
+        arrived = np.concatenate([f["t"].to_numpy(np.int64) for f in frames])
+        horizon = top - delay if top >= 0 else np.iinfo(np.int64).min
+        new = np.unique(arrived[arrived >= horizon])
+        late = len(arrived) - int((arrived >= horizon).sum())
+        rows = [(key[0], None, None, late)] if late else []
+        if len(new):
+            times = np.union1d(np.array(held, np.int64), new)
+            top = max(top, int(times[-1]))
+            first, last = times[:len(times) - sigma + 1], times[sigma - 1:]
+            near = last - first <= width
+            near &= np.searchsorted(new, last, "right") > np.searchsorted(new, first, "left")  # groups that hold a new time
+            a, b = np.maximum(0, last[near] - width), first[near]
+            cuts = np.flatnonzero(a[1:] > b[:-1] + 1) + 1
+            if len(a):
+                rows += [(key[0], int(a[i]), int(b[j - 1]) + width, 0) for i, j in zip([0, *cuts], [*cuts, len(a)], strict=True)]
+            held = times[times >= top - delay - width].tolist()
+        state.update((held, top))
+        if expire_ms is not None:
+            state.setTimeoutTimestamp(max(0, state.getCurrentWatermarkMs()) + expire_ms)
+        yield pd.DataFrame(rows, columns=["pattern", "s", "e", "late"]).astype({"s": "Int64", "e": "Int64", "late": "int64"})
+
+    timeout = GroupStateTimeout.NoTimeout if expire_ms is None else GroupStateTimeout.EventTimeTimeout
+    return occ.groupBy("pattern").applyInPandasWithState(update, "pattern string, s long, e long, late long", "times array<long>, top long", "append", timeout)
+
+
+def latest(log: DataFrame, width: int) -> DataFrame:
+    """(pattern, s, e): the intervals of a log, its runs joined where they touch."""
+    runs = log.where("s is not null").select("pattern", "s", (F.col("e") - width).alias("d"))
+    return merge_runs(runs, ["pattern"]).select("pattern", "s", (F.col("d") + width).alias("e"))
+
+
+def late_counts(log: DataFrame) -> DataFrame:
+    """(pattern, late): how many times of each pattern came too late; 0 for patterns without."""
+    return log.groupBy("pattern").agg(F.sum("late").alias("late"))
 
 
 class ShardedTimeline:
@@ -81,14 +104,12 @@ class ShardedTimeline:
             return pd.DataFrame([(int(key[0]), list(p), s, d) for p, s, d in found], columns=["shard", "items", "s", "d"])
 
         runs = dealt.groupBy("shard").applyInPandas(local, "shard long, items array<string>, s long, d long")
-        rows = runs.select(pattern_text(F.col("items")).alias("pattern"), "s", "d", "shard").persist()
-        for shard in shards:  # each shard's folder is replaced as a whole, also by nothing
-            rows.where(F.col("shard") == shard).drop("shard").write.mode("overwrite").parquet(f"{self.path}/runs/shard={shard}")
-        rows.unpersist()
+        rows = runs.select(pattern_text(F.col("items")).alias("pattern"), "s", "d", "shard")
+        empty = self.spark.createDataFrame([(shard,) for shard in shards], "shard long").select(F.lit(None).cast("string").alias("pattern"), F.lit(None).cast("long").alias("s"), F.lit(None).cast("long").alias("d"), "shard")
+        # one job replaces the folders of all these shards as a whole; a row without pattern stands for a shard that has nothing
+        rows.unionByName(empty).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("shard").parquet(f"{self.path}/runs")
 
     def intervals(self) -> DataFrame:
         """(pattern, s, e) of all data so far, ends not cut."""
-        from localfreq.operators.segments import merge_runs
-
-        runs = self.spark.read.schema("pattern string, s long, d long").parquet(f"{self.path}/runs/*")
+        runs = self.spark.read.schema("pattern string, s long, d long, shard long").parquet(f"{self.path}/runs").where("pattern is not null")
         return merge_runs(runs.select("pattern", "s", "d"), ["pattern"]).select("pattern", "s", (F.col("d") + self.width).alias("e"))

@@ -34,9 +34,6 @@ def run_to_table(df: DataFrame, *, mode: str = "append", each: Callable[[DataFra
         writer.format("parquet").outputMode("append").start(f"{base}/rows").awaitTermination()
         return spark.read.schema(df.schema).parquet(f"{base}/rows")
 
-    def save(batch: DataFrame, i: int) -> None:
-        batch.withColumn("_batch", F.lit(i)).write.mode("overwrite").parquet(f"{base}/rows/_batch={i}")
-
     def keep(batch: DataFrame, i: int) -> None:
         batch.write.mode("overwrite").parquet(f"{base}/rows/batch={i}")
 

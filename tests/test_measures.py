@@ -7,7 +7,7 @@ from localfreq.operators import metrics, promo, timeline
 from localfreq.operators.baskets import resolve_duplicates, to_baskets
 from localfreq.plans import baselines, cost, miner, synth
 from localfreq.sources import formats
-from localfreq.streaming.dense import ShardedTimeline, latest, online_dense_items
+from localfreq.streaming.dense import ShardedTimeline, late_counts, latest, online_dense_items
 from localfreq.streaming.windows import run_to_table
 
 SCHEMA = "pattern string, s long, e long"
@@ -102,7 +102,7 @@ def test_stream_in_batches_equals_batch(spark, tmp_path):
     stream = spark.readStream.schema("pattern string, t long").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/batch=*")
     from localfreq.operators.detect import dense_intervals
 
-    got = sorted((r["s"], r["e"]) for r in latest(run_to_table(online_dense_items(stream, 10, 3))).collect())
+    got = sorted((r["s"], r["e"]) for r in latest(run_to_table(online_dense_items(stream, 10, 3)), 10).collect())
     want = sorted((r["s"], r["e"]) for r in dense_intervals(spark.createDataFrame([("x", t) for t in times], "pattern string, t long"), 10, 3, clip_end=False).collect())
     assert got == want
 
@@ -117,3 +117,54 @@ def test_sharded_timeline_mines_only_what_changes(spark, tmp_path):
     assert m.mined[len(before):] == [4]
     got = sorted((r["pattern"], r["s"], r["e"]) for r in m.intervals().collect())
     assert got == [("a", 0, 11), ("a", 89, 105), ("a|b", 0, 11), ("b", 0, 11)]
+
+
+def test_stream_takes_times_out_of_order_and_counts_late_ones(spark, tmp_path):
+    batches = [[1, 9, 30], [5, 7, 33, 28], [31, 2, 60], [3, 29, 61, 62, 55]]  # after 33, times below 13 are late; after 60, those below 40
+    for i, times in enumerate(batches):
+        spark.createDataFrame([("x", t) for t in times], "pattern string, t long").coalesce(1).write.parquet(f"{tmp_path}/in/batch={i:03d}")
+    stream = spark.readStream.schema("pattern string, t long").option("maxFilesPerTrigger", 1).parquet(f"{tmp_path}/in/batch=*")
+    from localfreq.operators.detect import dense_intervals
+
+    log = run_to_table(online_dense_items(stream, 10, 3, delay=20)).cache()
+    late = {5, 7, 2, 3, 29}
+    kept = [t for b in batches for t in b if t not in late]
+    got = sorted((r["s"], r["e"]) for r in latest(log, 10).collect())
+    assert got == sorted((r["s"], r["e"]) for r in dense_intervals(spark.createDataFrame([("x", t) for t in kept], "pattern string, t long"), 10, 3, clip_end=False).collect())
+    assert [(r["pattern"], r["late"]) for r in late_counts(log).collect()] == [("x", len(late))]
+
+
+def test_surplus_grid_against_the_miner(spark):
+    import random
+
+    from localfreq.plans import baselines, grid
+    from localfreq.plans.miner import mine_dense
+
+    rng = random.Random(3)
+    tx = spark.createDataFrame([(t, sorted(x for x in "abcd" if rng.random() < (0.7 if t // 25 % 2 else 0.25))) for t in range(1, 150)], "t long, items array<string>").cache()
+    ref = mine_dense(tx, 20, 8, k_max=2, min_len=2).cache()
+    occ = tx.selectExpr("t", "explode(items) a").alias("l").join(tx.selectExpr("t", "explode(items) b"), "t").where("a < b").selectExpr("concat(a, '|', b) as pattern", "t").cache()
+    rows, top = grid.grid_surplus_local(occ, ref, (1, 4, 1), (3, 24, 7), (1, 7, 3))
+    names = {r["pattern"] for r in ref.select("pattern").collect()}
+    got = {(r["max_per"], r["min_dur"], r["max_so_per"]): (r["n_pred"], r["n_common"]) for r in rows.collect()}
+    best = {(r["max_per"], r["min_dur"], r["max_so_per"]): (r["f1"], r["jaccard"]) for r in top.collect()}
+    assert best and {k for k in got} >= set(best)
+    for per, dur, so in [(1, 3, 1), (2, 10, 4), (3, 17, 1), (4, 24, 7), (2, 3, 7)]:
+        found = {r["pattern"] for r in baselines.mine_surplus_local(tx, per, dur, so, k_max=2).where("len = 2").collect()}
+        assert got.get((per, dur, so), (0, 0)) == (len(found), len(found & names)), (per, dur, so)
+    (per, dur, so), (f1, jaccard) = sorted(best.items())[0]
+    from localfreq.operators import metrics
+
+    score = metrics.score(baselines.mine_surplus_local(tx, per, dur, so, k_max=2).where("len = 2"), ref).first()
+    assert (round(score["f1"], 6), round(score["jaccard"], 6)) == (round(f1, 6), round(jaccard, 6))
+
+
+def test_baskets_have_their_lengths_when_items_are_few(spark):
+    from pyspark.sql import functions as F
+
+    from localfreq.plans import synth
+
+    rows = synth.generate(spark, 4000, 12, 10, patterns=0)
+    assert rows.where(F.size("items") != F.size(F.array_distinct("items"))).count() == 0
+    # lengths are normal around 10 with deviation 10 / 3, cut at 0 and 12
+    assert abs(rows.agg(F.avg(F.size("items"))).first()[0] - 9.46) < 0.2
