@@ -508,6 +508,12 @@ def _solved(docs: DataFrame, width: int, percent: int, scratch: Scratch, *, long
     return rows, labels
 
 
+def _by_label(rows: DataFrame, found: DataFrame, parts: int = 16) -> DataFrame:
+    """``rows`` (node, label, ...) joined with one row a label; the rows of one component are dealt over ``parts`` keys."""
+    copies = found.withColumn("part", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(parts - 1).cast("long"))))
+    return rows.withColumn("part", F.pmod(F.xxhash64("node"), F.lit(parts))).join(copies, ["label", "part"]).drop("part")
+
+
 def _docs(df: DataFrame, doc_id: str, text: str) -> DataFrame:
     return df.select(df[doc_id].cast("long").alias("doc_id"), df[text].cast("string").alias("text"))
 
@@ -516,9 +522,10 @@ def jaccard_components(df: DataFrame, *, width: int = 5, percent: int = 80, doc_
     """(doc_id, n_shingles, component_id) of every row: texts link when 100 * |intersection| >= percent * |union|."""
     rows, labels = _solved(_docs(df, doc_id, text), width, percent, Scratch(df.sparkSession), **sizes)
     classes = rows.where("node is not null").groupBy("node").agg(F.min("doc_id").alias("least"))
-    named = classes.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
-    ids = named.groupBy("label").agg(F.min("least").alias("component_id"))
-    final = named.join(ids, "label").select("node", "component_id")
+    roots = labels.select(F.col("label").alias("node"), "label").distinct()  # a component's smallest class has no row of its own
+    linked = classes.join(labels.unionByName(roots), "node")
+    of = _by_label(linked, linked.groupBy("label").agg(F.min("least").alias("component_id"))).select("node", "component_id")
+    final = classes.join(of, "node", "left").select("node", F.coalesce("component_id", "least").alias("component_id"))
     return rows.join(final, "node", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
 
 
@@ -534,7 +541,7 @@ def keep_one(df: DataFrame, *, width: int = 5, percent: int = 80, doc_id: str =
     each = each.join(labels, "node", "left").withColumn("label", F.coalesce("label", "node"))
     best = each.groupBy("label").agg(F.min(F.struct((~F.col("known")).alias("last"), "key", "node")).alias("best"), F.sum("n").alias("size")).where("size > 1").drop("size")
     ours = (F.col("best.node") == F.col("node")) & (F.col("best.key") == F.col("key")) & (F.col("best.last") != F.col("known"))
-    judged = each.join(best, "label").select(*keys, ours.alias("ours"), "n").where("not ours or n > 1")
+    judged = _by_label(each, best).select(*keys, ours.alias("ours"), "n").where("not ours or n > 1")
     judged = scratch.keep(judged.select(*keys, "ours"))
     scratch.drop(rows, labels)
 

@@ -96,8 +96,8 @@ def test_keep_one_judges_rows(spark):
 
 def test_join_on_a_whole_table(spark):
     """All of the documents of a given table against all pairs of them."""
-    rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet("/root/testdata/sf0.001/documents.parquet").collect()]
-    got = simjoin.op2_ngram_jaccard_join(spark, "/root/testdata/sf0.001")
+    rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()]
+    got = simjoin.op2_ngram_jaccard_join(spark, "/root/testdata/sf0.01")
     assert sorted(map(tuple, got.collect())) == brute(rows, 4, 85)
 
 
