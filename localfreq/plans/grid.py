@@ -144,7 +144,7 @@ def grid_surplus_local(occ: DataFrame, ref: DataFrame, pers: tuple[int, int, int
         for at, start, end in _surplus_intervals(np.unique(g["t"].to_numpy()), per, so):
             d[at] = np.maximum(d[at], end - start)
         kept = d >= durs[0]
-        return pd.DataFrame({"max_per": per[kept], "max_so_per": so[kept], "pattern": g["pattern"].iloc[0], "d": d[kept]})
+        return pd.DataFrame({"max_per": per[kept], "max_so_per": so[kept], "pattern": np.full(int(kept.sum()), g["pattern"].iloc[0], object), "d": d[kept]}).astype({"pattern": object})
 
     params, two = ["max_per", "min_dur", "max_so_per"], ["max_per", "max_so_per"]
     found = occ.select("pattern", "t").groupBy("pattern").applyInPandas(longest, "max_per long, max_so_per long, pattern string, d long")
@@ -157,10 +157,10 @@ def grid_surplus_local(occ: DataFrame, ref: DataFrame, pers: tuple[int, int, int
     def intervals(g: pd.DataFrame) -> pd.DataFrame:
         parts = [(chosen[at], start, np.full(len(at), end)) for at, start, end in _surplus_intervals(np.unique(g["t"].to_numpy()), chosen[:, 0], chosen[:, 1])]
         if not parts:
-            return pd.DataFrame({"max_per": [], "max_so_per": [], "pattern": [], "s": [], "e": []})
+            return pd.DataFrame({"max_per": [], "max_so_per": [], "pattern": [], "s": [], "e": []}, dtype=object)
         which, s, e = (np.concatenate(x) for x in zip(*parts, strict=True))
         kept = e - s >= which[:, 2]
-        return pd.DataFrame({"max_per": which[kept, 0], "max_so_per": which[kept, 1], "pattern": g["pattern"].iloc[0], "s": s[kept], "e": e[kept]})
+        return pd.DataFrame({"max_per": which[kept, 0], "max_so_per": which[kept, 1], "pattern": np.full(int(kept.sum()), g["pattern"].iloc[0], object), "s": s[kept], "e": e[kept]}).astype({"pattern": object})
 
     pred = occ.select("pattern", "t").groupBy("pattern").applyInPandas(intervals, "max_per long, max_so_per long, pattern string, s long, e long")
     pred = pred.join(F.broadcast(top), two).where(F.col("e") - F.col("s") >= F.col("min_dur"))
