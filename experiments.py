@@ -68,18 +68,20 @@ def scalability(spark, share: float, repeats: int) -> None:
 def ablation(spark, sf_dir: str) -> None:
     """Seconds of each strategy: every position, the ranges' positions, stride-skip, window expressions, shards."""
     from localfreq.operators import detect
+    from localfreq.operators.candidates import candidate_ranges
     from localfreq.operators.kernels import scan_by_pattern
     from localfreq.plans import cost, sharded
     from localfreq.registry.accuracy import _two
-    from localfreq.sources.tables import transactions
+    from localfreq.sources.tables import occurrences, transactions
     from localfreq.workloads import SETTINGS
 
-    for name in ("A1", "A3"):
+    for name in ("A1", "A2", "A3"):
         for view, width, sigma in SETTINGS[name]:
             occ, t_max = _two(spark, sf_dir, view)
             occ = occ.persist()
             tx = transactions(spark, sf_dir, view).persist()
-            ranges = detect.dense_intervals(occ, width, max(1, sigma - 1), t_max=t_max).persist()
+            singles = detect.dense_intervals(occurrences(spark, sf_dir, view)[0], width, sigma, t_max=t_max)
+            ranges = candidate_ranges(occ.select("pattern").distinct(), singles, width, 2).persist()  # the common ranges of the items
             plans = {
                 "every": lambda: scan_by_pattern(occ, width, sigma, t_max=t_max, kernel="every"),
                 "every_ranges": lambda: scan_by_pattern(occ, width, sigma, t_max=t_max, kernel="every", ranges=ranges),
