@@ -4,7 +4,9 @@ Two finders work on the whole of each text. The *base* finder reports fixed shap
 assignments, access-key identifiers and long lower-case hexadecimal runs. The *lexer* finds name-literal
 pairs of source and configuration syntax (``name = "x"``, ``"name": "x"``, ``name => x``, ``name := x``),
 follows names that stand for a constant seen before, and scores each literal by its shape and by how
-sensitive its target's name is. Literals at or over the threshold become spans of kind ``literal``.
+sensitive its target's name is. Literals at or over the threshold become spans of kind ``literal``. Literals joined by
+an operator, by standing side by side, or within parentheses are scored as one value and give a span each. What a
+comment assigns is scored too, but defines no constant.
 
 Nulls and empty texts have no spans. A text's spans depend on that text alone, so repeated rows get equal
 results; rows are never dropped and nothing is shuffled.
@@ -45,7 +47,13 @@ _WORDS = re.compile(r"[A-Z]+(?![a-z])|[A-Z]?[a-z]+")
 #: A name read backwards from its operator. Neither this nor a quoted value runs past the next operator or quote of its kind, so unbounded lengths cost one scan;
 #: a value without quotes has at most eight operators inside, each of which begins a pair of its own.
 _NAME = re.compile(r"\n?[ \t]*+\]?[\"']?([A-Za-z0-9_.-]*[A-Za-z_])")
-_VALUE = re.compile(r"[>=]?[ \t]*+(?:\"((?:[^\"\\\n]++|\\.)++)\"|'((?:[^'\\\n]++|\\.)++)'|(?=[^\s,;\"'#(){}\[\]])((?:[^\s,;\"'#(){}\[\]=:]*+[=:]){0,8}[^\s,;\"'#(){}\[\]=:]*+))")
+_QUOTED = r"\"(?:[^\"\\\n]++|\\.)++\"|'(?:[^'\\\n]++|\\.)++'"
+_VALUE = re.compile(rf"[>=]?[ \t]*+(?:/\*[^*\n]*+\*/[ \t]*+)?(?:(?P<open>\()[ \t\n]*+(?=[\"']))?(?:(?P<quoted>{_QUOTED})|(?=[^\s,;\"'#(){{}}\[\]])(?P<bare>(?:[^\s,;\"'#(){{}}\[\]=:]*+[=:]){{0,8}}[^\s,;\"'#(){{}}\[\]=:]*+))")
+#: The next literal of a concatenation: after an operator, or beside its neighbour on one (continued) line; in parentheses lines may change freely. No name of a pair.
+_JOINED = re.compile(rf"(?:[ \t]*+(?:\\?\n[ \t]*+)?(?:\+|\.\.?|&)[ \t]*+(?:\\?\n[ \t]*+)?|[ \t]*+(?:\\\n[ \t]*+)?)({_QUOTED})(?![ \t]*+[:=])")
+_JOINED_OPEN = re.compile(rf"[ \t\n]*+(?:(?:\+|\.\.?|&)[ \t\n]*+)?({_QUOTED})(?![ \t]*+[:=])")
+#: Lines that are comments, and where a block comment begins.
+_COMMENT = re.compile(r"^[ \t]*+(?:#|//|--|;)[^\n]*+|/\*", re.MULTILINE)
 _OPERATOR = re.compile(r"[:=]")
 _BASE_HINTS = ("passw", "secret", "token", "api")
 
@@ -69,8 +77,20 @@ def literal_score(name: str, value: str) -> float:
     return weight * shape
 
 
-def _pairs(text: str) -> Iterator[tuple[str, str, int, int, bool]]:
-    """(name, value, start, end, quoted) of each assignment-like pair, in text order."""
+def _comments(text: str) -> Iterator[tuple[int, int]]:
+    """Start and end of each comment line and closed block comment, in text order."""
+    at, last = 0, text.rfind("*/")
+    while m := _COMMENT.search(text, at):
+        at = m.end()
+        if m.group() != "/*":
+            yield m.span()
+        elif m.end() <= last:
+            at = text.index("*/", m.end()) + 2
+            yield m.start(), at
+
+
+def _pairs(text: str) -> Iterator[tuple[str, str, list[tuple[int, int]], bool, int]]:
+    """(name, value, spans of its literals, quoted, place of the operator) of each assignment-like pair, in text order."""
     back = text[::-1]
     for m in _OPERATOR.finditer(text):
         p = m.start()
@@ -79,9 +99,16 @@ def _pairs(text: str) -> Iterator[tuple[str, str, int, int, bool]]:
             continue
         name = _NAME.match(back, len(text) - p)
         value = name and _VALUE.match(text, p + 1)
-        if value:
-            g = value.lastindex
-            yield name.group(1)[::-1], value.group(g), *value.span(g), g < 3
+        if not value:
+            continue
+        if value["quoted"] is None:
+            yield name.group(1)[::-1], value["bare"], [value.span("bare")], False, p
+            continue
+        spans, more = [value.span("quoted")], _JOINED_OPEN if value["open"] else _JOINED
+        while piece := more.match(text, spans[-1][1]):
+            spans.append(piece.span(1))
+        spans = [(s + 1, e - 1) for s, e in spans]
+        yield name.group(1)[::-1], "".join(text[s:e] for s, e in spans), spans, True, p
 
 
 def _union(spans: list[tuple[int, int, int]]) -> tuple[list[int], list[int]]:
@@ -97,6 +124,12 @@ def _union(spans: list[tuple[int, int, int]]) -> tuple[list[int], list[int]]:
     return starts, ends
 
 
+def _covered(span: tuple[int, int], starts: list[int], ends: list[int]) -> bool:
+    """Whether one of the stretches holds all of the span."""
+    i = bisect_right(starts, span[0]) - 1
+    return i >= 0 and span[1] <= ends[i]
+
+
 def find_spans(text: str | None, threshold: float = 0.45) -> tuple[list[tuple[int, int, int]], list[tuple[int, int, int]]]:
     """(base, added) spans as (start, kind's place in KINDS, end), each sorted; places count code points."""
     if not text:
@@ -112,18 +145,21 @@ def find_spans(text: str | None, threshold: float = 0.45) -> tuple[list[tuple[in
     added: list[tuple[int, int, int]] = []
     if "=" in text or ":" in text:
         starts, ends = _union(base)
-        known: dict[str, tuple[str, int, int]] = {}
+        known: dict[str, tuple[str, list[tuple[int, int]]]] = {}
         seen = set()
-        for name, value, s, e, quoted in _pairs(text):
-            literal = (value, s, e) if quoted else known.get(value, (value, s, e))
-            known[name] = literal
-            value, s, e = literal
-            i = bisect_right(starts, s) - 1
-            if (s, e) in seen or (i >= 0 and e <= ends[i]):  # base spans cover all of it
-                continue
-            if literal_score(name, value) >= threshold:
-                seen.add((s, e))
-                added.append((s, 3, e))
+        comments = _comments(text)
+        inside = next(comments, None)
+        for name, value, spans, quoted, p in _pairs(text):
+            while inside and inside[1] <= p:
+                inside = next(comments, None)
+            literal = (value, spans) if quoted else known.get(value, (value, spans))
+            if not inside or p < inside[0]:  # what a comment assigns is judged, but no constant
+                known[name] = literal
+            value, spans = literal
+            left = [x for x in spans if x not in seen and not _covered(x, starts, ends)]
+            if left and literal_score(name, value) >= threshold:
+                seen.update(left)
+                added += [(s, 3, e) for s, e in left]
         added.sort()
     return base, added
 
