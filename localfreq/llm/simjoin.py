@@ -376,6 +376,7 @@ def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int
     """(a, b, more) of two blocks, or of one with itself (right None): pairs of different labels that may be similar.
 
     Without ``every`` only the closest pair for each two labels is given, and ``more`` says whether it stands for others.
+    In one block the members of its commonest label are met by the others and not looked at one by one.
     """
     sides = [left] if right is None else [left, right]
     texts = [x.column(3).to_pylist() for x in sides]
@@ -383,10 +384,15 @@ def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int
     folded = [_folded(t, size) for t in texts]
     (node_l, label_l, n_l), (node_r, label_r, n_r) = ([sides[i].column(c).to_numpy(zero_copy_only=False) for c in (0, 1, 2)] for i in (0, len(sides) - 1))
     out: list[list[np.ndarray]] = [[], [], [], [], []]
-    for k in range(len(node_l)):
+    asked, earlier = np.arange(len(node_l)), np.zeros(len(node_r), bool)
+    if right is None:
+        found, place, k = np.unique(label_l, return_inverse=True, return_counts=True)
+        common = place == np.argmax(k) if len(found) else np.zeros(0, bool)
+        asked, earlier = np.flatnonzero(~common), common
+    for k in asked:
         apart = np.bitwise_count(folded[-1] ^ folded[0][k]).sum(axis=1, dtype=np.int64)
         near = _may_link(n_l[k], n_r, apart, percent) & (label_r != label_l[k])
-        hit = np.flatnonzero(near if right is not None else near & (node_r > node_l[k]))
+        hit = np.flatnonzero(near if right is not None else near & (earlier | (node_r > node_l[k])))
         for x, y in zip(out, (np.full(len(hit), node_l[k]), node_r[hit], np.full(len(hit), label_l[k]), label_r[hit], apart[hit]), strict=True):
             x.append(y)
     a, b, low, high, apart = (np.concatenate(x).astype(np.int64) if x else np.zeros(0, np.int64) for x in out)
@@ -403,20 +409,20 @@ def _block_hits(left: pa.RecordBatch, right: pa.RecordBatch | None, percent: int
 def _open_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, percent: int, scratch: Scratch, *, every: bool) -> DataFrame:
     """A table (bucket, a, b, more): pairs of different components that share a bucket and may be similar.
 
-    Block by block: the classes outside a bucket's largest component meet each other and the blocks of the largest one. No block
-    holds more than about ``_BLOCK`` classes, and joins of members are by bucket and block, whatever the bucket's size.
+    A bucket of up to ``_BLOCK`` classes is one block. In a larger one the classes outside its largest component meet each other and the blocks of the
+    largest one. No block holds more than about ``_BLOCK`` classes, and joins of members are by bucket and block, whatever the bucket's size.
     """
     placed = members.join(labels, "node", "left").select("bucket", "i", "node", F.coalesce("label", "node").alias("label"))
     spread = placed.groupBy("bucket").agg(F.min("label").alias("x"), F.max("label").alias("y")).where("x <> y").select("bucket")
     cells = placed.select("bucket", "i").distinct().join(spread, "bucket")
     placed = scratch.keep(placed.join(cells, ["bucket", "i"]))
-    counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg((F.sum("k") - F.max("k")).alias("others"), F.max(F.struct("k", "label"))["label"].alias("main"))
+    counts = placed.groupBy("bucket", "label").agg(F.count(F.lit(1)).alias("k")).groupBy("bucket").agg((F.sum("k") - F.max("k")).alias("others"), F.max(F.struct("k", "label"))["label"].alias("main"), (F.sum("k") <= _BLOCK).alias("whole"))
     mains = placed.select("bucket", "i").distinct().join(counts, "bucket")
     rows = placed.join(mains, ["bucket", "i"]).join(sketches, "node")
     apart = F.pmod(F.xxhash64("node"), F.ceil(F.col("others") / F.lit(_BLOCK))).cast("long")
-    outside = F.col("label") != F.col("main")
+    outside, whole = F.col("label") != F.col("main"), F.col("whole")
     gather = F.collect_list(F.struct("node", "label", "n", "sketch")).alias("l")
-    gathered = scratch.keep(rows.groupBy("bucket", outside.alias("outside"), F.when(outside, apart).otherwise(F.col("i")).alias("i")).agg(gather))
+    gathered = scratch.keep(rows.groupBy("bucket", "whole", (whole | outside).alias("outside"), F.when(whole, 0).when(outside, apart).otherwise(F.col("i")).alias("i")).agg(gather))
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches_in:
@@ -426,10 +432,11 @@ def _open_pairs(members: DataFrame, labels: DataFrame, sketches: DataFrame, perc
                 x, y, more = _block_hits(left, right, percent, every)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(x), b.column(0)[i].as_py(), np.int64)), pa.array(np.minimum(x, y)), pa.array(np.maximum(x, y)), pa.array(more)], ["bucket", "a", "b", "more"])
 
-    out = gathered.where("outside").select("bucket", "i", "l")
-    other = gathered.select("bucket", "outside", F.col("i").alias("j"), F.col("l").alias("r"))
+    parted = gathered.where("not whole")
+    out = parted.where("outside").select("bucket", "i", "l")
+    other = parted.select("bucket", "outside", F.col("i").alias("j"), F.col("l").alias("r"))
     met = out.join(other, "bucket").where("not outside or i < j").select("bucket", "l", "r")
-    alone = out.select("bucket", "l", F.lit(None).cast(gathered.schema["l"].dataType).alias("r"))
+    alone = gathered.where("outside").select("bucket", "l", F.lit(None).cast(gathered.schema["l"].dataType).alias("r"))
     hits = scratch.keep(alone.unionByName(met).mapInArrow(run, "bucket long, a long, b long, more boolean"))
     scratch.drop(placed, gathered)
     return hits
