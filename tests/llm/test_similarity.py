@@ -85,6 +85,14 @@ def test_join_with_hot_signatures_and_long_buckets(spark):
         assert sorted(map(tuple, simjoin.jaccard_components(df, width=4, percent=80, **sizes).collect())) == want
 
 
+def test_join_with_buckets_of_many_blocks(spark, monkeypatch):
+    """Buckets too large for one block, whose blocks meet by joins, lose no link."""
+    monkeypatch.setattr(simjoin, "_BLOCK", 2)
+    rows = corpus(5, 160)
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    assert sorted(map(tuple, simjoin.jaccard_components(df, width=2, percent=60).collect())) == brute(rows, 2, 60)
+
+
 def test_keep_one_judges_rows(spark):
     """Repeated ids of different texts are judged each on its own; equal rows leave one; clashing columns stay as they are."""
     text = " ".join(f"w{i}" for i in range(40))
