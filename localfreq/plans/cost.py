@@ -4,12 +4,12 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from localfreq.operators.kernels import scan_by_pattern
 
-__all__ = ["ablation", "growth", "pattern_counts", "peak_memory_mb", "range_reduction", "timed"]
+__all__ = ["ablation", "growth", "pattern_counts", "peak_memory_mb", "range_reduction", "stage_costs", "timed"]
 
 
 def ablation(occ: DataFrame, ranges: DataFrame, width: int, sigma: int, t_max: int) -> DataFrame:
@@ -60,3 +60,31 @@ def peak_memory_mb(spark) -> dict[str, float]:
 
     jvm = spark.sparkContext._jvm.java.lang.ProcessHandle.current().pid()
     return {"python_mb": high_water(os.getpid()), "jvm_mb": high_water(int(jvm))}
+
+
+#: The fields of Spark's event log that count here.
+_EVENT = """Event string, `Stage ID` long, `Task Info` struct<`Launch Time`: long, `Finish Time`: long>, `Task Metrics` struct<`Executor Run Time`: long,
+ `Memory Bytes Spilled`: long, `Disk Bytes Spilled`: long, `Shuffle Write Metrics`: struct<`Shuffle Bytes Written`: long>,
+ `Shuffle Read Metrics`: struct<`Remote Bytes Read`: long, `Local Bytes Read`: long>>"""
+
+
+def stage_costs(spark: SparkSession, log: str, *, since: int = 0, until: int | None = None) -> DataFrame:
+    """(stage, tasks, written, read, spilled, seconds, median_s, longest_s, skew) of the tasks in an event log, by stage.
+
+    ``log`` is a file or folder of Spark's uncompressed event logs; ``since`` and ``until`` limit the finish times (ms). Bytes are of shuffles
+    and of spills to disk; skew is the longest task over the median one, null where that took no time. Tasks without metrics count with none.
+    """
+    done = F.col("Task Info")["Finish Time"]
+    kept = (F.col("Event") == "SparkListenerTaskEnd") & (done >= since)
+    if until is not None:
+        kept &= done <= until
+    m = F.col("Task Metrics")
+    read = m["Shuffle Read Metrics"]["Remote Bytes Read"] + m["Shuffle Read Metrics"]["Local Bytes Read"]
+    number = lambda c: F.coalesce(c, F.lit(0))
+    tasks = spark.read.schema(_EVENT).json(log).where(kept).select(
+        F.col("Stage ID").alias("stage"), number(m["Shuffle Write Metrics"]["Shuffle Bytes Written"]).alias("written"), number(read).alias("read"),
+        number(m["Disk Bytes Spilled"]).alias("spilled"), (number(m["Executor Run Time"]) / 1000).alias("s"))
+    total = tasks.groupBy("stage").agg(
+        F.count(F.lit(1)).alias("tasks"), F.sum("written").alias("written"), F.sum("read").alias("read"), F.sum("spilled").alias("spilled"),
+        F.round(F.sum("s"), 3).alias("seconds"), F.round(F.median("s"), 3).alias("median_s"), F.round(F.max("s"), 3).alias("longest_s"))
+    return total.withColumn("skew", F.when(F.col("median_s") > 0, F.round(F.col("longest_s") / F.col("median_s"), 3)))

@@ -168,3 +168,20 @@ def test_baskets_have_their_lengths_when_items_are_few(spark):
     assert rows.where(F.size("items") != F.size(F.array_distinct("items"))).count() == 0
     # lengths are normal around 10 with deviation 10 / 3, cut at 0 and 12
     assert abs(rows.agg(F.avg(F.size("items"))).first()[0] - 9.46) < 0.2
+
+
+def test_stage_costs_from_an_event_log(spark, tmp_path):
+    import json
+
+    from localfreq.plans import cost
+
+    def task(stage, finish, ms, written=0, spilled=0, read=0):
+        return {"Event": "SparkListenerTaskEnd", "Stage ID": stage, "Task Info": {"Launch Time": finish - ms, "Finish Time": finish}, "Task Metrics": {
+            "Executor Run Time": ms, "Disk Bytes Spilled": spilled, "Shuffle Write Metrics": {"Shuffle Bytes Written": written},
+            "Shuffle Read Metrics": {"Remote Bytes Read": read, "Local Bytes Read": 1}}}
+
+    lost = {"Event": "SparkListenerTaskEnd", "Stage ID": 2, "Task Info": {"Launch Time": 1, "Finish Time": 50}}
+    events = [{"Event": "SparkListenerApplicationStart", "App Name": "x"}, task(1, 10, 1000, written=5), task(1, 20, 2000, written=7, spilled=3), task(1, 30, 6000, read=4), lost, task(3, 99, 1)]
+    (tmp_path / "log").write_text("\n".join(map(json.dumps, events)))
+    got = sorted(map(tuple, cost.stage_costs(spark, str(tmp_path / "log"), until=60).collect()))
+    assert got == [(1, 3, 12, 7, 3, 9.0, 2.0, 6.0, 3.0), (2, 1, 0, 0, 0, 0.0, 0.0, 0.0, None)]
