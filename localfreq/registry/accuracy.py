@@ -83,7 +83,19 @@ def gap_local_plain_pruning(spark, d):
     return baselines.mine_gap_local(transactions(spark, d, "brand"), 4, 85, 370, k_max=2, complete=False)
 
 
-@query()
+def _surplus_sql(max_per: int, min_dur: int, max_so_per: int) -> str:
+    """Occurrence by occurrence, as the definition reads: the open interval's start, the surplus so far, and the interval that closes here, if any."""
+    over = f"greatest(0, fold.surplus + m.t - fold.t - {max_per})"
+    closes = f"fold.s is not null and {over} > {max_so_per}"
+    return f"""{_ALL.replace('with ', 'with recursive ', 1)}, m as materialized (select pattern, len, t, row_number() over (partition by pattern order by t) as i, count(*) over (partition by pattern) as n from alls),
+ fold as (select pattern, len, i, n, t, cast(null as bigint) as s, cast(0 as bigint) as surplus, cast(null as bigint) as from_t, cast(null as bigint) as to_t from m where i = 1
+  union all select m.pattern, m.len, m.i, m.n, m.t, case when fold.s is null then case when m.t - fold.t <= {max_per} then fold.t end when {closes} then null else fold.s end,
+   case when fold.s is null or {closes} then 0 else {over} end, case when {closes} then fold.s end, case when {closes} then fold.t end from fold join m on m.pattern = fold.pattern and m.i = fold.i + 1),
+ found as (select pattern, len, from_t as s, to_t as e from fold where from_t is not null union all select pattern, len, s, t from fold where i = n and s is not null)
+ select pattern, len, s, e from found where e - s >= {min_dur}"""
+
+
+@query(_surplus_sql(50, 400, 60))
 def surplus_local_patterns(spark, d):
     return baselines.mine_surplus_local(transactions(spark, d, "brand"), 50, 400, 60, k_max=2)
 

@@ -391,7 +391,25 @@ def interval_overlap_count(spark, d):
 
 # --- cost and generators
 
-@query()
+def _ablation_sql(width: int, sigma: int) -> str:
+    """Windows and runs of brands and their pairs. The jumps of the skipping scan are a recursive query with one row an evaluated window."""
+    end = f"len(list_filter(ts, lambda x: x <= l + {width}))"
+    return f"""{base().replace('with ', 'with recursive ', 1)}, {PAIRS}, alls as materialized (select pattern, t from occ union all select pattern, t from pairs),
+ {brute('r1', 'occ', width, sigma)}, {brute('ra', 'alls', width, sigma)},
+ items as (select distinct pattern from occ),
+ spans as (select pattern, 0 as lo, tmax - {width} as hi from items, tm union all select a.pattern || '|' || b.pattern, greatest(a.s, b.s), least(a.e, b.e) - {width} from r1 a join r1 b on a.pattern < b.pattern where greatest(a.s, b.s) <= least(a.e, b.e) - {width}),
+ lists as materialized (select pattern, list(t order by t) as ts from alls group by 1),
+ met as (select pattern, lo, hi, ts, len(list_filter(ts, lambda x: x < lo)) + {sigma} as nth from spans join lists using (pattern)),
+ scan as (select pattern, lo, hi, greatest(lo, ts[nth] - {width}) as l from met where nth <= len(ts) and greatest(lo, ts[nth] - {width}) <= hi
+  union all select pattern, lo, hi, upto from (select pattern, lo, hi, case when c >= {sigma} then ts[n - {sigma} + 1] + 1 when n < len(ts) then greatest(l + 1, ts[n + 1] - {width}) end as upto
+   from (select pattern, lo, hi, l, ts, {end} as n, {end} - len(list_filter(ts, lambda x: x < l)) as c from scan join lists using (pattern)) q) w where upto <= hi),
+ total as (select count(*) as runs from ra)
+ select 'every' as strategy, cast(count(*) * (max(tmax) - {width} + 1) as bigint) as windows, max(runs) as runs from lists, tm, total
+ union all select 'every_ranges', cast(sum(hi - lo + 1) as bigint), max(runs) from spans, total
+ union all select 'skip_ranges', count(*), (select runs from total) from scan"""
+
+
+@query(_ablation_sql(250, 14))
 def ablation_windows(spark, d):
     """Windows of single brands and all their pairs under the three strategies."""
     occ, t_max = occurrences(spark, d, "brand")

@@ -11,7 +11,7 @@ DATA = "/root/testdata/sf0.001"
 QUERIES = {k: f for m in (mining, accuracy, surround, streams) for k, f in m.QUERIES.items()}
 ORACLES = {k: s for m in (mining, accuracy, surround, streams) for k, s in m.ORACLES.items()}
 #: Long searches; the driver compares them as well.
-LONG = {"grid_surplus_local", "sweep_surplus_local", "sweep_gap_local", "grid_gap_local", "ablation_windows", "mine_dense_supp_k3", "mine_dense_brand_1000", "metric_jaccard", "metric_temporal_precision", "sweep_recurring"}
+LONG = {"grid_surplus_local", "sweep_surplus_local", "sweep_gap_local", "grid_gap_local", "mine_dense_supp_k3", "mine_dense_brand_1000", "metric_jaccard", "metric_temporal_precision", "sweep_recurring"}
 
 
 @pytest.fixture(scope="module")
