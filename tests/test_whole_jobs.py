@@ -5,7 +5,8 @@ from itertools import combinations
 
 import pytest
 
-from localfreq.registry import accuracy, streams
+from localfreq.registry import accuracy, mining, streams
+from localfreq.sources.tables import transactions
 
 
 def order_tables(spark, folder, orders):
@@ -39,3 +40,13 @@ def test_day_measures_count_larger_patterns(spark, days):
 def test_streamed_itemsets_of_every_length(spark, tmp_path):
     d = order_tables(spark, tmp_path, [(day, ["a", "b", "c"]) for day in range(400)])
     assert {r["pattern"] for r in streams.QUERIES["stream_dense_itemsets"](spark, d).collect()} == {"a", "b", "c", "a|b", "a|c", "b|c", "a|b|c"}
+
+
+def test_orders_of_a_full_day_share_slots(spark, tmp_path):
+    """1,500 orders a day over 1,000 slots: orders 0 and 1 of a day share its first slot, as integer division has it."""
+    d = order_tables(spark, tmp_path, [(day, ["a"] if i % 2 else ["b"]) for day in range(2) for i in range(1500)])
+    want = {(day * 1500 + i, day * 1000 + i * 1000 // 1500) for day in range(2) for i in range(1500)}
+    assert {tuple(r) for r in mining.QUERIES["timeline_day_slot"](spark, d).select("o_orderkey", "t").collect()} == want
+    assert {tuple(r) for r in mining.QUERIES["timeline_slot_day"](spark, d).select("day", "n").collect()} == {(0, 1500), (1, 1500)}
+    tx = transactions(spark, d, "brand", days=True).collect()
+    assert len(tx) == 2000 and {r["t"]: r["items"] for r in tx}[0] == ["a", "b"]
