@@ -50,3 +50,18 @@ def test_orders_of_a_full_day_share_slots(spark, tmp_path):
     assert {tuple(r) for r in mining.QUERIES["timeline_slot_day"](spark, d).select("day", "n").collect()} == {(0, 1500), (1, 1500)}
     tx = transactions(spark, d, "brand", days=True).collect()
     assert len(tx) == 2000 and {r["t"]: r["items"] for r in tx}[0] == ["a", "b"]
+
+
+def test_full_days_are_mined_by_bitmaps_of_shards(spark, tmp_path):
+    """Days of more orders than slots: the union of orders in a slot is what is mined, and the level-wise search agrees."""
+    import random
+
+    from localfreq.plans.miner import mine_dense
+    from localfreq.plans.sharded import mine_dense_sharded
+
+    rng = random.Random(4)
+    d = order_tables(spark, tmp_path, [(day, [x for x in "abcdef" if rng.random() < (0.8 if day == 1 else 0.2)]) for day in range(3) for _ in range(1300)])
+    tx = transactions(spark, d, "brand", days=True).cache()
+    for width, sigma in ((500, 260), (300, 40), (1000, 15)):
+        want = {tuple(r) for r in mine_dense(tx, width, sigma, k_max=5).select("pattern", "len", "s", "e").collect()}
+        assert len(want) > 20 and {tuple(r) for r in mine_dense_sharded(tx, width, sigma, shard_width=700, k_max=5).select("pattern", "len", "s", "e").collect()} == want
