@@ -65,3 +65,17 @@ def test_full_days_are_mined_by_bitmaps_of_shards(spark, tmp_path):
     for width, sigma in ((500, 260), (300, 40), (1000, 15)):
         want = {tuple(r) for r in mine_dense(tx, width, sigma, k_max=5).select("pattern", "len", "s", "e").collect()}
         assert len(want) > 20 and {tuple(r) for r in mine_dense_sharded(tx, width, sigma, shard_width=700, k_max=5).select("pattern", "len", "s", "e").collect()} == want
+
+
+@pytest.mark.parametrize("name", ["promo_ratio", "promo_overlap_counts", "promo_overlap_distribution", "window_summary", "window_exclusive_patterns", "pattern_coverage_days", "promo_extremes"])
+def test_promotions_over_full_days_agree_with_their_sql(spark, tmp_path, name):
+    import duckdb
+
+    d = order_tables(spark, tmp_path, [(day, ["Brand#1", "Brand#2"] if day < 60 or i % 40 else []) for day in range(0, 160, 4) for i in range(1001 if day == 8 else 9)])
+    con = duckdb.connect()
+    for t in ("orders", "lineitem", "part"):
+        con.execute(f"create view {t} as select * from '{d}/{t}.parquet/*.parquet'")
+    df = accuracy.QUERIES[name](spark, d)
+    tidy = lambda rows: sorted(tuple(round(v, 5) if isinstance(v, float) else v for v in r) for r in rows)
+    got = tidy(df.collect())
+    assert got and got == tidy(con.execute(f"select {', '.join(df.columns)} from ({accuracy.ORACLES[name]}) q").fetchall())
