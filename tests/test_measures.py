@@ -185,3 +185,31 @@ def test_stage_costs_from_an_event_log(spark, tmp_path):
     (tmp_path / "log").write_text("\n".join(map(json.dumps, events)))
     got = sorted(map(tuple, cost.stage_costs(spark, str(tmp_path / "log"), until=60).collect()))
     assert got == [(1, 3, 12, 7, 3, 9.0, 2.0, 6.0, 3.0), (2, 1, 0, 0, 0, 0.0, 0.0, 0.0, None)]
+
+
+def test_grids_hand_on_no_copy_a_setting(spark):
+    """What leaves a pattern's pass is at most a row a setting, however many occurrences and runs there are, and equals one run a setting."""
+    from localfreq.operators import metrics
+    from localfreq.plans import baselines, grid
+
+    rows = [(p, t) for p, step in (("a|b", 3), ("a|c", 7), ("b|c", 40)) for t in range(1, 3000, step) if t // 90 % 3 != len(p + str(step)) % 3]
+    occ = spark.createDataFrame(rows, "pattern string, t long")
+    ref = spark.createDataFrame([("a|b", 2, 1, 700), ("a|b", 2, 500, 900), ("a|c", 2, 40, 50), ("x|y", 2, 1, 9)], "pattern string, len int, s long, e long")
+    recurring = grid.grid_recurring(occ, ref, 5, 50)
+    found, top = grid.grid_gap_local(occ, ref, None, [1, 10, 30], (5, 50, 5), (10, 100, 10))
+    for df in (recurring, found, top):
+        assert "CartesianProduct" not in df._jdf.queryExecution().toString()
+    got = {r["max_per"]: tuple(r) for r in recurring.collect()}
+    ordinals = spark.range(1, 3000).selectExpr("id as t", "id as ord")
+    for per in range(5, 51, 5):
+        pred = baselines.gap_runs(occ, per).where("n >= 5")
+        want = metrics.score(pred, ref).first()
+        if want["n_pred"]:
+            assert got[per] == (per, want["n_pred"], want["n_common"], want["f1"], want["jaccard"], want["tp"])
+    names = [c for c in top.columns]
+    assert names == ["local_sup", "max_gap", "min_dur", "n_pred", "n_common", "f1", "jaccard", "tp"]
+    best = top.orderBy("local_sup", "max_gap", "min_dur").collect()
+    for r in (best[0], best[-1]):
+        pred = baselines.gap_runs(occ, r["max_gap"], ordinals=ordinals).where(f"e - s >= {r['min_dur']} and n * 100 >= {r['local_sup']} * n_tx")
+        want = metrics.score(pred, ref).first()
+        assert tuple(r)[3:] == (want["n_pred"], want["n_common"], want["f1"], want["jaccard"], want["tp"])
