@@ -5,7 +5,7 @@ from itertools import combinations
 
 import pytest
 
-from localfreq.registry import accuracy, mining, streams
+from localfreq.registry import accuracy, mining, streams, surround
 from localfreq.sources.tables import transactions
 
 
@@ -79,3 +79,10 @@ def test_promotions_over_full_days_agree_with_their_sql(spark, tmp_path, name):
     tidy = lambda rows: sorted(tuple(round(v, 5) if isinstance(v, float) else v for v in r) for r in rows)
     got = tidy(df.collect())
     assert got and got == tidy(con.execute(f"select {', '.join(df.columns)} from ({accuracy.ORACLES[name]}) q").fetchall())
+
+
+@pytest.mark.parametrize("name", ["campaign_profile", "generated_counts", "join_cross_grid"])
+def test_jobs_read_given_tables(spark, name):
+    d = "/root/testdata/sf0.001"
+    files = (accuracy.QUERIES | mining.QUERIES | surround.QUERIES)[name](spark, d).inputFiles()
+    assert any("lineitem" in f for f in files), files
