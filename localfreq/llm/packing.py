@@ -27,7 +27,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-from localfreq.llm.common import batches, checkpointed, read_table, texts_of
+from localfreq.llm.common import batches, checkpointed, read_table, texts_of, trim
 from localfreq.llm.wordcache import WordIds
 
 __all__ = ["BinTree", "best_fit_decreasing", "op3_best_fit_packing", "pack_pieces", "plan_blocks", "token_pieces"]
@@ -133,6 +133,8 @@ def token_pieces(df: DataFrame, path: str, *, capacity: int = 2048, end_id: int
                 [b.column(0).take(pa.array(owner, pa.int64())), pa.array(piece, pa.int32()), pa.array(start, pa.int64()), pa.array(n), pa.array(crc, pa.int64()), pa.array(np.full(len(n), task, np.int32)), pa.array(ranks)],
                 ["doc_id", "piece", "start", "length", "ids_crc32", "task", "rank"],
             )
+        del words  # before memory goes back: a kept worker would hold the place of the vocabulary
+        trim()
 
     return df.select(df[doc_id].cast("long").alias("doc_id"), df[text].cast("string").alias("text")).mapInArrow(run, "doc_id long, piece int, start long, length long, ids_crc32 long, task int, rank long")
 

@@ -18,6 +18,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from copy import copy
 
 import numpy as np
 import pyarrow as pa
@@ -82,14 +83,23 @@ class AttentiveGru:
             self.p["w"][[0, 1 + _RANDOM, 2 + 2 * _RANDOM], side + 2 * h:side + 3 * h] += 0.3
         self.p["v"] += 0.3
         self.p["o"] += 0.3
-        self.shift, self.constant = 0.0, None
+        self.shift, self.constant, self.projected = 0.0, None, None
 
     def embed(self, rows: np.ndarray) -> np.ndarray:
         return np.concatenate([t[rows[:, i]] for i, t in enumerate(self.tables)], axis=1)
 
+    def project(self) -> None:
+        """Takes the tables through the input weights once, for scoring in small blocks."""
+        c = 1 + _RANDOM
+        self.projected = [t @ self.p["w"][i * c:(i + 1) * c] for i, t in enumerate(self.tables)]
+
     def gates(self, rows: np.ndarray) -> np.ndarray:
         """Input parts of all gates of both directions, per word."""
         out = np.repeat(self.p["b"][None], len(rows), axis=0)
+        if self.projected is not None:
+            for i, t in enumerate(self.projected):
+                out += t[rows[:, i]]
+            return out
         c = 1 + _RANDOM
         for i, t in enumerate(self.tables):
             out += (t @ self.p["w"][i * c:(i + 1) * c])[rows[:, i]] if len(rows) > len(t) else t[rows[:, i]] @ self.p["w"][i * c:(i + 1) * c]
@@ -249,7 +259,7 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500,
     rows = documents.select("doc_id", "text").join(F.broadcast(chosen[0].unionByName(chosen[1])), "doc_id").select("doc_id", "text", "toxic")
 
     def run(batches_in: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches(batches_in, 1 << 20):
+        for b in batches(batches_in, 1 << 18):
             rows, doc = word_inputs(*string_bytes(b.column(1)))
             bounds = np.searchsorted(doc, np.arange(b.num_rows + 1))
             parts = [_spread(rows[i:j], most_words) for i, j in zip(bounds[:-1], bounds[1:], strict=True)]
@@ -274,9 +284,11 @@ def score_toxicity(df: DataFrame, model: AttentiveGru) -> DataFrame:
     shared = df.sparkSession.sparkContext.broadcast(model)  # of fixed size
 
     def run(rows: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches(rows, 1 << 20):
+        model = copy(shared.value)  # its projections go with the task
+        model.project()
+        for b in batches(rows, 1 << 18):
             words, doc = word_inputs(*string_bytes(b.column(at)))
-            score = shared.value.score(words, np.bincount(doc, minlength=b.num_rows))
+            score = model.score(words, np.bincount(doc, minlength=b.num_rows))
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(score, pa.float64())], [*b.schema.names, "toxicity_score"])
 
     return df.mapInArrow(run, StructType([*df.schema.fields]).add("toxicity_score", DoubleType()))
