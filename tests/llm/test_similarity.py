@@ -102,6 +102,57 @@ def test_keep_one_judges_rows(spark):
     assert got == sorted([rows[0], rows[2], rows[3], rows[6], rows[7], rows[8]], key=str)
 
 
+@pytest.mark.parametrize("bits", [0, 1 << 28])
+def test_keep_one_agrees_with_brute_force_with_and_without_its_filter(spark, monkeypatch, bits):
+    monkeypatch.setattr(simjoin, "_FILTER", bits)
+    rows = corpus(23)
+    rows += [(None, rows[5][1]), (None, "a text of its own without any id"), (6, "another text under an id that is there"), (-(1 << 63), "the least id")]
+    kept = {(r["doc_id"], r["text"]) for r in simjoin.keep_one(spark.createDataFrame(rows, "doc_id long, text string").repartition(3)).collect()}
+    told = brute([(i, t) for i, (_, t) in enumerate(rows)], 5, 80)
+    first: dict = {}
+    for i, n, c in told:
+        if n:
+            first.setdefault(c, []).append((rows[i][0] is None, rows[i][0] or 0, i))
+    assert kept == {rows[min(x)[2]] for x in first.values()} | {rows[i] for i, n, _ in told if not n}
+
+
+def test_id_filter_passes_all_ids_and_few_others(spark):
+    ids = spark.range(-3_000, 3_000, 3).selectExpr("id * 7919 as k")
+    passed = lambda bitmap, df: sum(simjoin._may_be(bitmap, df.select(simjoin._id_hash(F.col(df.columns[0])).alias("h")).toArrow().column(0).combine_chunks()).to_pylist())
+    bitmap = simjoin._id_filter(ids)
+    assert passed(bitmap, ids) == ids.count()
+    assert passed(bitmap, spark.range(10_000_000, 10_020_000)) < 2_000
+    assert passed(simjoin._id_filter(ids.where("k is null")), spark.range(100)) == 0
+
+
+def test_near_copies_leave_most_texts_where_they_are(spark):
+    """2 MB of texts, 6 of them copies: before, a plan without broadcasts exchanged all texts twice."""
+    rng = random.Random(8)
+    rows = [(i, " ".join(f"{rng.getrandbits(40):x}" for _ in range(900))) for i in range(200)]
+    rows += [(1000 + i, rows[i][1] + " more") for i in range(6)]
+    store, gateway = spark.sparkContext._jsc.sc().statusStore(), spark.sparkContext._gateway
+
+    def exchanged() -> int:
+        stages = store.stageList(None, False, False, gateway.new_array(gateway.jvm.double, 0), gateway.jvm.java.util.ArrayList())
+        return sum(stages.apply(i).shuffleWriteBytes() for i in range(stages.size()))
+
+    before, limit = exchanged(), spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        signatures = simjoin._signatures(spark.createDataFrame(rows, "doc_id long, text string"), 5, 80).count()
+        assert simjoin.keep_one(spark.createDataFrame(rows, "doc_id long, text string")).count() == 200
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", limit)
+    assert exchanged() - before - 20 * signatures < 1_000_000
+
+
+def test_buckets_of_two_are_not_gathered_where_sketches_decide(spark):
+    """Two unlike texts share a part: their bucket is decided by the sketches of the first step."""
+    rows = spark.createDataFrame([(0, 1, 10, 10), (0, 1, 11, 10)] + [(1, 2, n, 20) for n in (20, 21, 22)], "home int, sig long, node long, lead long")
+    shared = simjoin._shared(rows.select("sig", "node", F.lit(None).cast("long").alias("home")))
+    assert {(r["node"], r["two"]) for r in shared.collect()} == {(10, True), (11, True), (20, False), (21, False), (22, False)}
+
+
 def test_join_on_a_whole_table(spark):
     """All of the documents of a given table against all pairs of them."""
     rows = [(r["doc_id"], r["text"]) for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").collect()]
