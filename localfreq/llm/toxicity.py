@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from localfreq.llm.common import batches, read_table, string_bytes
+from localfreq.llm.common import batches, collect_garbage, read_table, string_bytes, trim
 from localfreq.llm.simjoin import _tables, mix, word_hashes, word_spans
 
 __all__ = ["WINDOW", "AttentiveGru", "fit_toxicity", "op6_toxicity", "score_toxicity", "word_inputs"]
@@ -269,10 +269,14 @@ def fit_toxicity(documents: DataFrame, labels: DataFrame, *, sample: int = 1500,
     read = rows.mapInArrow(run, "doc_id long, rows array<int>, toxic int")
     order = [F.xxhash64("doc_id"), "doc_id", F.xxhash64("rows")]
     got = read.where("toxic = 0").orderBy(*order).limit(clean).unionByName(read.where("toxic = 1").orderBy(*order).limit(sample)).toArrow().combine_chunks()
+    collect_garbage(documents.sparkSession)  # training needs the driver's memory now
     label, lists = got.column(2).to_numpy(), got.column(1)
     docs = [np.asarray(lists[i].values.to_numpy(zero_copy_only=False), np.int32).reshape(-1, 3) for i in range(len(lists))]
     order = np.lexsort((np.array([len(d) for d in docs]), got.column(0).to_numpy()))
-    return AttentiveGru().fit([docs[i] for i in order], label[order].astype(np.float32))
+    model = AttentiveGru().fit([docs[i] for i in order], label[order].astype(np.float32))
+    del got, lists, docs
+    trim()
+    return model
 
 
 def score_toxicity(df: DataFrame, model: AttentiveGru) -> DataFrame:

@@ -2,12 +2,13 @@
 
 import random
 import re
+from unittest.mock import Mock
 
 import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from localfreq.llm import fingerprint, simjoin, topk
+from localfreq.llm import common, fingerprint, simjoin, topk
 
 WORD = re.compile(r"[^\x20\x09-\x0D]+")
 LOWER = str.maketrans("ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
@@ -146,6 +147,17 @@ def test_near_copies_leave_most_texts_where_they_are(spark):
     assert exchanged() - before - 20 * signatures < 1_000_000
 
 
+@pytest.mark.parametrize(("heap", "collections"), [(400, 0), (600, 1)])
+def test_a_grown_driver_collects_its_garbage_between_steps(spark, monkeypatch, heap, collections):
+    runtime = Mock(**{"totalMemory.return_value": heap, "maxMemory.return_value": 1000})
+    driver = Mock(**{"sparkContext._jvm.java.lang.Runtime.getRuntime.return_value": runtime})
+    collect = common.collect_garbage
+    monkeypatch.setattr(common, "collect_garbage", lambda session: collect(driver))
+    for n, step in enumerate((common.Scratch(spark).keep, common.checkpointed), 1):
+        assert step(spark.range(10)).count() == 10
+        assert runtime.gc.call_count == n * collections
+
+
 def test_buckets_of_two_are_not_gathered_where_sketches_decide(spark):
     """Two unlike texts share a part: their bucket is decided by the sketches of the first step."""
     rows = spark.createDataFrame([(0, 1, 10, 10), (0, 1, 11, 10)] + [(1, 2, n, 20) for n in (20, 21, 22)], "home int, sig long, node long, lead long")
