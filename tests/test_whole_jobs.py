@@ -67,6 +67,45 @@ def test_full_days_are_mined_by_bitmaps_of_shards(spark, tmp_path):
         assert len(want) > 20 and {tuple(r) for r in mine_dense_sharded(tx, width, sigma, shard_width=700, k_max=5).select("pattern", "len", "s", "e").collect()} == want
 
 
+def test_day_transactions_are_made_in_pieces_of_bounded_rows(spark, tmp_path):
+    """420,000 lines are joined and grouped in five pieces; coalesced by their compressed size, they were one or few, too much for a small heap at size."""
+    spark.range(60_000).selectExpr("id as o_orderkey", "if(id = 7, null, date_add(date'1995-01-01', cast(id % 100 as int))) as o_orderdate").write.parquet(f"{tmp_path}/orders.parquet")
+    spark.range(420_000).selectExpr("id % 59999 as l_orderkey", "(id * 7) % 40 as l_partkey", "0L as l_suppkey").write.parquet(f"{tmp_path}/lineitem.parquet")
+    spark.range(39).selectExpr("id as p_partkey", "concat('Brand#', id % 25) as p_brand", "'x' as p_type", "'x' as p_name").write.parquet(f"{tmp_path}/part.parquet")
+    tx = transactions(spark, str(tmp_path), "brand", days=True)
+    assert tx.rdd.getNumPartitions() == 5
+    got = {r["t"]: set(r["items"]) for r in tx.collect()}
+    want, nth = {}, {}
+    for i in range(60_000):
+        nth[i % 100] = nth.get(i % 100, 0) + (i != 7)
+        t = None if i == 7 else i % 100 * 1000 + (nth[i % 100] - 1) * 1000 // (600 - (i % 100 == 7))
+        want.setdefault(t, set()).update(f"Brand#{p % 25}" for p in ((x * 7) % 40 for x in range(i, 420_000, 59_999)) if p < 39 and i < 59_999 and t is not None)
+    assert got == want
+
+
+def test_transactions_cut_into_shards_come_together_again():
+    """Any batches of transactions, few or many items, give each shard the rows that a plain copy of them gives."""
+    import random
+
+    import pyarrow as pa
+
+    from localfreq.plans.sharded import _cut, _joined, _span
+
+    rng = random.Random(5)
+    for width, c, n_items, n_shards in ((10, 7, 5, 12), (0, 1, 3, 40), (90, 40, 700, 2), (1 << 33, 1 << 34, 4, 1)):
+        tx = [(rng.randrange(80), rng.sample(range(n_items), rng.randint(1, n_items))) for _ in range(40)]
+        batches = [pa.RecordBatch.from_pydict({"t": pa.array([t for t, _ in b], pa.int64()), "items": pa.array([[f"i{x}" for x in s] for _, s in b], pa.list_(pa.string()))}) for b in (tx[:3], tx[3:])]
+        rows = pa.Table.from_batches([_cut(b, width, c, n_shards) for b in batches])
+        want = {}
+        for t, s in tx:
+            for k in range(max(0, t - width) // c, min(t // c, n_shards - 1) + 1):
+                want.setdefault(k, []).extend((t, f"i{x}") for x in s)
+        assert set(rows.column("shard").to_pylist()) == set(want)
+        for k, pairs in want.items():
+            codes, times, names = _joined(rows.filter(pa.array([x == k for x in rows.column("shard").to_pylist()])), _span(width, c), k * c)
+            assert sorted(zip(times.tolist(), (names[x] for x in codes), strict=True)) == sorted(pairs)
+
+
 @pytest.mark.parametrize("name", ["promo_ratio", "promo_overlap_counts", "promo_overlap_distribution", "window_summary", "window_exclusive_patterns", "pattern_coverage_days", "promo_extremes"])
 def test_promotions_over_full_days_agree_with_their_sql(spark, tmp_path, name):
     import duckdb
