@@ -37,6 +37,20 @@ def test_day_measures_count_larger_patterns(spark, days):
     assert {r["part"]: r["n_patterns"] for r in accuracy.QUERIES["window_exclusive_patterns"](spark, days).collect()} == {"common": len(SETS)}
 
 
+def test_window_summary_counts_sets_of_every_length(spark, days, tmp_path):
+    """All six brands together are a pattern as well; of nine items, all 511 sets are, and the SQL says so too."""
+    import duckdb
+
+    assert accuracy.QUERIES["window_summary"](spark, days).first()["n_patterns"] == 63
+    d = order_tables(spark, tmp_path, [(day, [f"Brand#{b}" for b in range(1, 10)] if day < 80 or day % 9 == 0 else ["Brand#1", "Brand#7"]) for day in range(220)])
+    con = duckdb.connect()
+    for t in ("orders", "lineitem", "part"):
+        con.execute(f"create view {t} as select * from '{d}/{t}.parquet/*.parquet'")
+    row = accuracy.QUERIES["window_summary"](spark, d).first()
+    assert row["n_patterns"] == 511
+    assert tuple(row) == pytest.approx(con.execute(f"select {', '.join(row.asDict())} from ({accuracy.ORACLES['window_summary']}) q").fetchone(), abs=1e-5)
+
+
 def test_streamed_itemsets_of_every_length(spark, tmp_path):
     d = order_tables(spark, tmp_path, [(day, ["a", "b", "c"]) for day in range(400)])
     assert {r["pattern"] for r in streams.QUERIES["stream_dense_itemsets"](spark, d).collect()} == {"a", "b", "c", "a|b", "a|c", "b|c", "a|b|c"}
