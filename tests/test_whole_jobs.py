@@ -81,6 +81,48 @@ def test_full_days_are_mined_by_bitmaps_of_shards(spark, tmp_path):
         assert len(want) > 20 and {tuple(r) for r in mine_dense_sharded(tx, width, sigma, shard_width=700, k_max=5).select("pattern", "len", "s", "e").collect()} == want
 
 
+def test_patterns_dealt_by_pairs_are_those_of_the_shards(spark, tmp_path):
+    """Shared slots, items whose text needs escapes, and every length: the level-wise search agrees."""
+    import random
+
+    from localfreq.plans.miner import mine_dense
+    from localfreq.plans.sharded import mine_dense_by_pairs
+
+    rng = random.Random(6)
+    items = ["a", "b|c", "d\\", "e", "Brand#1", "Brand#10", "f"]
+    d = order_tables(spark, tmp_path, [(day, [x for x in items if rng.random() < (0.7 if day == 1 else 0.3)]) for day in range(3) for _ in range(1300)])
+    tx = transactions(spark, d, "brand", days=True).cache()
+    for width, sigma, k_max in ((500, 120, None), (300, 30, None), (1000, 40, 3)):
+        want = {tuple(r) for r in mine_dense(tx, width, sigma, k_max=k_max).select("pattern", "len", "s", "e").collect()}
+        got = [tuple(r) for r in mine_dense_by_pairs(tx, width, sigma, k_max=k_max).select("pattern", "len", "s", "e").collect()]
+        assert len(want) > 20 and len(got) == len(want) and set(got) == want
+
+
+@pytest.mark.parametrize("piece, together", [(3, 1), (40, 9), (1_000_000, 100_000)])
+def test_pairs_in_any_pieces_and_portions_are_searched_whole(monkeypatch, piece, together):
+    """Any batches, pieces of them and portions of what is found; also more items than a word has bits."""
+    import random
+
+    import pyarrow as pa
+
+    from localfreq.plans import sharded
+
+    monkeypatch.setattr(sharded, "_PIECE", piece)
+    monkeypatch.setattr(sharded, "_TOGETHER", together)
+    rng = random.Random(7)
+    for n_items, share, width, sigma in ((6, 0.6, 9, 4), (7, 0.8, 20, 11), (90, 0.05, 30, 2), (3, 0.5, 1, 1)):
+        tx = [(t, s) for t in range(80) if (s := [f"i{x}" for x in range(n_items) if rng.random() < share])]
+        want = [("|".join(p), len(p), s, d + width) for p, s, d in sharded.mine_shard(tx, width, sigma, 0, 79 - width, None)]
+        rows = {}
+        for b in (tx[30:], tx[:30]):
+            batch = pa.RecordBatch.from_pydict({"t": pa.array([t for t, _ in b], pa.int64()), "items": pa.array([s for _, s in b], pa.list_(pa.string()))})
+            for r in sharded._deal(batch, "u4"):
+                for i in range(r.num_rows):
+                    rows.setdefault((r["a"][i].as_py(), r["b"][i].as_py()), []).append(r.slice(i, 1))
+        got = [tuple(x.values()) for (a, b), r in rows.items() for o in sharded._in_batches(sharded._mine_pair(a, b, pa.Table.from_batches(r), "u4", width, sigma, 79 - width, None), width, each=50) for x in o.to_pylist()]
+        assert sorted(got) == sorted(want)
+
+
 def test_day_transactions_are_made_in_pieces_of_bounded_rows(spark, tmp_path):
     """420,000 lines are joined and grouped in five pieces; coalesced by their compressed size, they were one or few, too much for a small heap at size."""
     spark.range(60_000).selectExpr("id as o_orderkey", "if(id = 7, null, date_add(date'1995-01-01', cast(id % 100 as int))) as o_orderdate").write.parquet(f"{tmp_path}/orders.parquet")
